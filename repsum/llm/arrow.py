@@ -25,12 +25,12 @@ def slices(batch: pa.RecordBatch, column: str, limit: int = SLICE_BYTES) -> Iter
         yield batch.slice(begin)
 
 
-def add_columns(df: DataFrame, text: str, fields: list[T.StructField], work: Callable[[], Callable[[list], dict]], replace: bool = False) -> DataFrame:
+def add_columns(df: DataFrame, text: str, fields: list[T.StructField], work: Callable[[], Callable[..., dict]], also: str | None = None) -> DataFrame:
     """Append columns computed from one text column, row by row, keeping every other column.
 
     ``work()`` is called once per task and returns a function from a list of texts (None
-    for null) to a dict of equally long value lists. ``replace`` drops the input columns
-    other than those named in ``keep``. A clashing name of the input is overwritten.
+    for null) to a dict of equally long value lists. ``also`` names a second column whose
+    values are handed over as a second list. A clashing name of the input is overwritten.
     """
     names = [f.name for f in fields]
     kept = [f for f in df.schema.fields if f.name not in names]
@@ -44,7 +44,7 @@ def add_columns(df: DataFrame, text: str, fields: list[T.StructField], work: Cal
         step = work()
         for whole in batches:
             for part in slices(whole, text):
-                made = step(part.column(text).to_pylist())
+                made = step(*(part.column(c).to_pylist() for c in (text, also) if c))
                 columns = [part.column(n) for n in keep_names] + [pa.array(made[f.name], type=f.type) for f in arrow]
                 yield pa.RecordBatch.from_arrays(columns, names=keep_names + names)
 

@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from repsum.llm import pivots, token_planes
+from repsum.llm import additive, decontaminate, importance, kdshards, language, mixing, pivots, token_planes
 from repsum.plans.scratch import ship_package
 
 #: The tokenizer file of the production queries; operators take any path.
@@ -23,14 +23,52 @@ def op2_token_planes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_planes.tokenise(_table(spark, sf_dir, "documents"), TOKENIZER)
 
 
+def op4_kd_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = kdshards.shard_documents(_table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
+
+
+def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    return decontaminate.digest(decontaminate.scan_documents(docs, _table(spark, sf_dir, "benchmark")))
+
+
+def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    model = language.fit(docs.where(~language.held_out()))
+    return language.predict(docs.select("doc_id", "text"), model).select("doc_id", language.held_out().alias("held_out"), "lang_pred", "score")
+
+
+def op7_additive_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return additive.search(_table(spark, sf_dir, "embeddings"), lambda vec_id: vec_id % 20 == 0)
+
+
+def op8_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(_table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
+
+
 def op9_simhash_pivots(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = pivots.near_duplicates(_table(spark, sf_dir, "documents"))
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op10_importance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Target: rows labelled good and not toxic; as many rows are drawn as the labels say are good."""
+    labels = _table(spark, sf_dir, "labels")
+    good = (F.col("quality") == 1) & (F.col("toxic") == 0)
+    share = labels.agg(F.avg(good.cast("double"))).head()[0]
+    return importance.resample(_table(spark, sf_dir, "documents"), labels.where(good), share if share is not None else 1.0)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_token_planes": op2_token_planes,
+    "op4_kd_shards": op4_kd_shards,
+    "op5_decontaminate": op5_decontaminate,
+    "op6_language": op6_language,
+    "op7_additive_search": op7_additive_search,
+    "op8_mix_sources": op8_mix_sources,
     "op9_simhash_pivots": op9_simhash_pivots,
+    "op10_importance": op10_importance,
 }
 
 ORACLE_SQL: dict[str, str] = {}

@@ -24,6 +24,7 @@ from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window, functions as F, types as T
@@ -34,13 +35,17 @@ from repsum.plans.scratch import new_path
 #: Ids in a block, and ids after which a shelf is closed at the next document.
 BLOCK_IDS = 1 << 16
 SHELF_IDS = 1 << 18
+#: Text bytes encoded at once.
+ENCODE_BYTES = 2 << 20
 #: Distinct pieces whose ids a worker remembers.
-CACHE_PIECES = 300_000
+CACHE_PIECES = 600_000
 
 #: A single space between two characters that are not white space: every such space opens a
 #: new pre-token of the byte-level pattern, so ids on both sides do not depend on each other.
 _SAFE_SPACE = re.compile(r"(?<=\S) (?=\S)")
-_UNSAFE = re.compile(r"\s |^ | $|\s$| \s")
+#: Texts where some other space may stand (the class is RE2's, widened to all Unicode white space).
+_UNSAFE = r"[\s\x0B\x1C-\x1F\x{85}\pZ] |^ |[\s\x0B\x1C-\x1F\x{85}\pZ]$| [\s\x0B\x1C-\x1F\x{85}\pZ]"
+_MARKS = "".join(chr(c) for c in range(33, 127) if not chr(c).isalnum())
 
 SHELF = T.StructType(
     [
@@ -59,81 +64,102 @@ SHELF = T.StructType(
 
 
 class PieceEncoder:
-    """Whole-text encoding that runs the tokenizer once per distinct space-separated piece."""
+    """Whole-text encoding that asks the tokenizer's model once per distinct pre-token.
 
-    def __init__(self, path: str) -> None:
+    Texts are cut at single spaces, the distinct pieces of a batch are looked up, and unknown
+    ones are pre-tokenised and merged by the tokenizer; ids of a batch are then gathered at once.
+    """
+
+    def __init__(self, path: str, end_id: int) -> None:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
+        from tokenizers.pre_tokenizers import ByteLevel
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # a special token's name inside a text is ordinary text
-        vocabulary = self.tokenizer.get_vocab(with_added_tokens=True)
-        self.opens = np.zeros(max(vocabulary.values()) + 1, bool)
-        self.opens[[i for t, i in vocabulary.items() if t.startswith("Ġ")]] = True
+        self.end_id = end_id
+        self.fast = isinstance(self.tokenizer.pre_tokenizer, ByteLevel) and self.tokenizer.normalizer is None
+        if self.fast:  # the printable stand-in of each byte, as the pre-tokenizer writes it
+            whole = ByteLevel(add_prefix_space=False, use_regex=False)
+            self.stand_in = {}
+            for sample in map(chr, [*range(1, 0x250), *range(0x800, 0xD800, 0x40), *range(0x10000, 0x110000, 0x1000)]):
+                self.stand_in |= zip(sample.encode(), whole.pre_tokenize_str(sample)[0][0])
+            self.space = self.stand_in[32]
         self.clear()
 
     def clear(self) -> None:
         self.inner: dict[str, int] = {}
         self.first: dict[str, int] = {}
+        self.token: dict[str, tuple[int, ...]] = {}
         self.pool = np.empty(1 << 16, np.uint32)
         self.ends = np.zeros(1 << 14, np.int64)  # ends[i] closes piece i - 1; ends[0] is 0
         self.count = 0
+        self._store([(self.end_id,)])  # piece 0 closes a document
 
-    def _store(self, ids: np.ndarray, ends: np.ndarray) -> None:
-        held, n = int(self.ends[self.count]), len(ends)
+    def _store(self, pieces: list) -> None:
+        sizes = np.fromiter(map(len, pieces), np.int64, len(pieces))
+        ids = np.fromiter((i for p in pieces for i in p), np.uint32, int(sizes.sum()))
+        held, n = int(self.ends[self.count]), len(pieces)
         while held + len(ids) > len(self.pool):
             self.pool = np.concatenate([self.pool, np.empty_like(self.pool)])
         while self.count + n + 1 > len(self.ends):
             self.ends = np.concatenate([self.ends, np.zeros_like(self.ends)])
         self.pool[held : held + len(ids)] = ids
-        self.ends[self.count + 1 : self.count + n + 1] = held + ends
+        self.ends[self.count + 1 : self.count + n + 1] = held + np.cumsum(sizes)
         self.count += n
 
-    def _learn_inner(self, pieces: list[str]) -> None:
-        plain = [p for p in pieces if " " not in p and not p[:1].isspace() and not p[-1:].isspace()]
-        for begin in range(0, len(plain), 20_000):
-            some = plain[begin : begin + 20_000]
-            ids = np.array(self.tokenizer.encode("x " + " ".join(some), add_special_tokens=False).ids, np.uint32)
-            starts = np.flatnonzero(self.opens[ids])
-            if len(starts) != len(some):  # an added token of another vocabulary; never seen with the default one
-                self._learn_alone(some, self.inner, " ")
-                continue
-            for k, p in enumerate(some):
-                self.inner[p] = self.count + k
-            self._store(ids[starts[0] :], np.append(starts[1:], len(ids)) - starts[0])
-        known = self.inner
-        self._learn_alone([p for p in pieces if p not in known], self.inner, " ")
-
-    def _learn_alone(self, pieces: list[str], into: dict[str, int], lead: str) -> None:
-        for begin in range(0, len(pieces), 1000):
-            some = pieces[begin : begin + 1000]
-            found = [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast([lead + p for p in some], add_special_tokens=False)]
-            for k, p in enumerate(some):
-                into[p] = self.count + k
-            self._store(np.concatenate(found), np.cumsum([len(x) for x in found]))
-
-    def encode(self, texts: list[str]) -> list[np.ndarray]:
-        """Ids of each text, as uint32."""
+    def _merge(self, token: str) -> tuple[int, ...]:
+        known = self.token.get(token)
+        if known is None:
+            known = self.token[token] = tuple(t.id for t in self.tokenizer.model.tokenize(token))
+        return known
+
+    def _piece(self, text: str) -> tuple[int, ...]:
+        """Ids of one piece, its leading space included."""
+        if not self.fast:
+            return tuple(self.tokenizer.encode(text, add_special_tokens=False).ids)
+        if text[:1] == " ":
+            core = text[1:].rstrip(_MARKS)
+            if core.isalpha():  # one pre-token of letters, then at most one of ASCII marks
+                marks = text[1 + len(core) :]
+                if not core.isascii():
+                    core = core.encode().decode("latin-1").translate(self.stand_in)
+                return self._merge(self.space + core) + self._merge(marks) if marks else self._merge(self.space + core)
+        return tuple(i for token, _ in self.tokenizer.pre_tokenizer.pre_tokenize_str(text) for i in self._merge(token)) if text else ()
+
+    def _numbers(self, pieces: list[str], into: dict[str, int], lead: str) -> np.ndarray:
+        found = list(map(into.get, pieces))
+        if None in found:
+            news = list(dict.fromkeys(p for p, f in zip(pieces, found) if f is None))
+            into.update(zip(news, range(self.count, self.count + len(news))))
+            self._store([self._piece(lead + p) for p in news])
+            found = list(map(into.__getitem__, pieces))
+        return np.array(found, np.int64)
+
+    def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all texts, the end id after each; number of ids of each text)."""
         if len(self.inner) + len(self.first) > CACHE_PIECES:
             self.clear()
-        cut = [_SAFE_SPACE.split(t) if _UNSAFE.search(t) else t.split(" ") for t in texts]
-        news: dict[str, None] = {}
-        inner, first = self.inner, self.first
-        for pieces in cut:
-            for p in pieces[1:]:
-                if p not in inner:
-                    news[p] = None
-        if news:
-            self._learn_inner(list(news))
-        if heads := [p for p in dict.fromkeys(x[0] for x in cut) if p not in first]:
-            self._learn_alone(heads, first, "")
-        out = []
-        for pieces in cut:
-            at = np.array([first[pieces[0]], *map(inner.__getitem__, pieces[1:])], np.int64)
-            begin, size = self.ends[at], self.ends[at + 1] - self.ends[at]
-            shift = begin - (np.cumsum(size) - size)
-            out.append(self.pool[np.repeat(shift, size) + np.arange(int(size.sum()))])
-        return out
+        odd = pc.match_substring_regex(texts, _UNSAFE).to_numpy(zero_copy_only=False)
+        if odd.any():
+            lists = pa.array([_SAFE_SPACE.split(t) if o else t.split(" ") for t, o in zip(texts.to_pylist(), odd)], pa.list_(pa.string()))
+        else:
+            lists = pc.split_pattern(texts, " ")
+        coded = lists.flatten().dictionary_encode()
+        names = coded.dictionary.to_pylist()
+        starts = lists.offsets.to_numpy().astype(np.int64) - lists.offsets[0].as_py()
+        number = self._numbers(names, self.inner, " ")
+        index = coded.indices.to_numpy()
+        at = number[index]
+        heads = starts[:-1]
+        at[heads] = self._numbers([names[i] for i in index[heads]], self.first, "")
+        at = np.insert(at, starts[1:], 0)
+        ends = starts[1:] + np.arange(1, len(starts))
+        begin = self.ends[at]
+        size = self.ends[at + 1] - begin
+        upto = np.cumsum(size)
+        ids = self.pool[np.repeat(begin - (upto - size), size) + np.arange(int(upto[-1]) if len(upto) else 0)]
+        return ids, np.diff(upto[ends - 1], prepend=0)
 
 
 def to_planes(ids: np.ndarray, layout: str) -> list[bytes]:
@@ -175,53 +201,39 @@ def unpack_blocks(sizes: list[int], ends: list[int], payload: bytes, layout: str
     return np.concatenate(out) if out else np.empty(0, np.uint32)
 
 
-def encode_documents(docs: DataFrame, tokenizer: str, end_id: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, tie, ids): little-endian ids of each whole text with the end id."""
-    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    schema = "doc_id long, tie long, ids binary"
-
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = PieceEncoder(tokenizer)
-        end = np.array([end_id], np.uint32)
-        for whole in batches:
-            for part in slices(whole, "text"):
-                ids = [np.concatenate([x, end]) for x in encoder.encode(part.column("text").to_pylist())]
-                # two bytes an id on the way through the shuffle where they suffice
-                rows = [b"\2" + x.astype("<u2").tobytes() if x.max() < 1 << 16 else b"\4" + x.astype("<u4").tobytes() for x in ids]
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([zlib.crc32(r) for r in rows], pa.int64()), pa.array(rows, pa.binary())], names=["doc_id", "tie", "ids"])
-
-    return src.mapInArrow(run, schema)
-
-
-def _ids(raw: bytes) -> np.ndarray:
-    return np.frombuffer(raw, "<u2" if raw[0] == 2 else "<u4", offset=1).astype(np.uint32)
+def write_shelves(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, layout: str = "byte", block: int = BLOCK_IDS, shelf: int = SHELF_IDS, level: int = 3, id_col: str = "doc_id", text_col: str = "text") -> None:
+    """Encode whole texts in ascending doc_id order and write them in the plane format below ``path``.
 
-
-def write_shelves(encoded: DataFrame, path: str, layout: str = "byte", block: int = BLOCK_IDS, shelf: int = SHELF_IDS, level: int = 3) -> None:
-    """Write encoded documents in ascending doc_id order in the plane format below ``path``."""
-    ordered = encoded.repartitionByRange("doc_id", "tie").sortWithinPartitions("doc_id", "tie")
+    Texts are dealt by range before they are encoded: the one shuffle moves texts, and what the
+    range bounds are sampled from costs no encoding.
+    """
+    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).withColumn("tie", F.xxhash64("text"))
+    ordered = src.repartitionByRange("doc_id", "tie").sortWithinPartitions("doc_id", "tie").select("doc_id", "text")
+    types = [pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.int64()), pa.binary()]
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, number, start = TaskContext.get().partitionId(), 0, 0
-        docs: list = []
-        held: list[np.ndarray] = []
-        total = 0
+        encoder = _encoder(tokenizer, end_id)
+        part, number, start, total = TaskContext.get().partitionId(), 0, 0, 0
+        ids: list[np.ndarray] = []
+        docs: list[list] = []
+        lens: list[np.ndarray] = []
 
         def close() -> pa.RecordBatch:
             nonlocal number, start, total
-            sizes, ends, payload = pack_blocks(np.concatenate(held), layout, block, level)
-            row = [part, number, start, total, layout, list(docs), [len(x) for x in held], sizes, ends, payload]
+            sizes, ends, payload = pack_blocks(np.concatenate(ids), layout, block, level)
+            row = [part, number, start, total, layout, [d for x in docs for d in x], np.concatenate(lens).tolist(), sizes, ends, payload]
             number, start, total = number + 1, start + total, 0
-            docs.clear()
-            held.clear()
+            for held in (ids, docs, lens):
+                held.clear()
             return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row, types)], names=SHELF.fieldNames())
 
-        types = [pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.int64()), pa.binary()]
-        for batch in batches:
-            for doc, raw in zip(batch.column("doc_id").to_pylist(), batch.column("ids")):
-                docs.append(doc)
-                held.append(_ids(raw.as_py()))
-                total += len(held[-1])
+        for whole in batches:
+            for some in slices(whole, "text", ENCODE_BYTES):
+                made, sizes = encoder.encode(some.column("text"))
+                ids.append(made)
+                docs.append(some.column("doc_id").to_pylist())
+                lens.append(sizes)
+                total += len(made)
                 if total >= shelf:
                     yield close()
         if docs:
@@ -230,6 +242,17 @@ def write_shelves(encoded: DataFrame, path: str, layout: str = "byte", block: in
     ordered.mapInArrow(run, SHELF).write.option("compression", "uncompressed").parquet(path)
 
 
+_ENCODERS: dict[tuple[str, int], PieceEncoder] = {}
+
+
+def _encoder(path: str, end_id: int) -> PieceEncoder:
+    """One encoder per worker process; its memory of pieces serves later tasks too."""
+    if (path, end_id) not in _ENCODERS:
+        _ENCODERS.clear()
+        _ENCODERS[path, end_id] = PieceEncoder(path, end_id)
+    return _ENCODERS[path, end_id]
+
+
 def open_shelves(spark, path: str) -> DataFrame:
     return spark.read.schema(SHELF).parquet(path)
 
@@ -267,7 +290,7 @@ def tokenise(docs: DataFrame, tokenizer: str, path: str | None = None, end_id: i
     """Encode, write, read back: (doc_id, start, n_tokens, ids_crc32) of each document."""
     spark = docs.sparkSession
     path = path or new_path(spark, "token-planes")
-    write_shelves(encode_documents(docs, tokenizer, end_id), path, layout)
+    write_shelves(docs, path, tokenizer, end_id, layout)
     shelves = open_shelves(spark, path)
     offsets = part_offsets(shelves)  # bounded by the number of written partitions, whatever the rows
     return read_documents(shelves).join(F.broadcast(offsets), "part").select("doc_id", (F.col("offset") + F.col("start_in_part")).alias("start"), "n_tokens", "ids_crc32")
