@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from repsum.llm import additive, decontaminate, importance, kdshards, language, mixing, pivots, token_planes
+from repsum.llm import additive, decontaminate, importance, kdshards, language, mixing, pivots, substrings, token_planes
 from repsum.plans.scratch import ship_package
 
 #: The tokenizer file of the production queries; operators take any path.
@@ -23,6 +23,11 @@ def op2_token_planes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_planes.tokenise(_table(spark, sf_dir, "documents"), TOKENIZER)
 
 
+def op3_repeated_strings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = substrings.remove_repeats(_table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_bytes", "n_removed", F.size("spans").cast("long").alias("n_spans"), "kept_sha256")
+
+
 def op4_kd_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = kdshards.shard_documents(_table(spark, sf_dir, "documents"))
     return found.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
@@ -62,6 +67,7 @@ def op10_importance(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_token_planes": op2_token_planes,
+    "op3_repeated_strings": op3_repeated_strings,
     "op4_kd_shards": op4_kd_shards,
     "op5_decontaminate": op5_decontaminate,
     "op6_language": op6_language,
