@@ -112,3 +112,18 @@ def mix(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, most: int = MOST
     with_words = per_row.where("size > 0").groupBy("no", "begin", "doc_id", "size", "source", "source_size", "target", "h").agg(F.sum("words").alias("taken"))
     columns = ["doc_id", "size", "source", "source_size", "target", "taken", "h"]
     return with_words.select(columns).unionByName(laid.where("size = 0").withColumn("taken", F.lit(0).cast("long")).select(columns))
+
+
+def repeat_documents(docs: DataFrame, **options) -> DataFrame:
+    """The mix as rows: each document as often as its taken words fill it, a part counting as a whole.
+
+    A document that a source's last pass cuts is kept whole, one per source at most besides the
+    last short block. Rows equal in doc_id, text and source are indistinguishable and repeated together.
+    """
+    seed = options.get("seed", "mix")
+    times = mix(docs, **options).where("taken > 0").groupBy("h", "source").agg(F.sum(F.ceil(F.col("taken") / F.col("size"))).cast("int").alias("_times"))
+    times = times.select(F.col("h").alias("_h2"), F.col("source").alias("_source2"), "_times")
+    keyed = docs.withColumn("_h", shuffle_key(F.col("doc_id"), F.col("text"), seed)).withColumn("_source", F.col("source").cast("string"))
+    single = keyed.dropDuplicates(["_h", "_source"])
+    joined = single.join(times, (F.col("_h") == F.col("_h2")) & F.col("_source").eqNullSafe(F.col("_source2")))
+    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(docs.columns)

@@ -200,13 +200,27 @@ def fingerprint_links(distinct: DataFrame, radius: int = RADIUS, piece: int = PI
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, seed: int = 42, radius: int = RADIUS) -> DataFrame:
-    """(doc_id, fp, component_id): smallest doc_id that links of at most ``radius`` bits reach."""
-    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    prints = materialise(add_fingerprints(src, "text", "fp", words, seed).select("doc_id", "fp"), "fingerprints")
+    """(doc_id, text_hash, fp, root, component_id) of every row.
+
+    component_id is the smallest doc_id that links of at most ``radius`` bits reach; root is
+    the component's smallest fingerprint and names it even where no doc_id is given.
+    """
+    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text_col).alias("text_hash"), F.col(text_col).alias("text"))
+    prints = materialise(add_fingerprints(src, "text", "fp", words, seed).select("doc_id", "text_hash", "fp"), "fingerprints")
     distinct = prints.groupBy("fp").agg(F.min("doc_id").alias("least"))
     links = materialise(fingerprint_links(distinct.select("fp"), radius), "links")
     roots = connected_components(links)  # (node, root) of linked fingerprints only
     joined = distinct.join(roots, distinct["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     smallest = joined.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = joined.join(smallest, "root").select("fp", "component_id")
-    return prints.join(named, "fp").select("doc_id", "fp", "component_id")
+    named = joined.join(smallest, "root").select("fp", "root", "component_id")
+    return prints.join(named, "fp").select("doc_id", "text_hash", "fp", "root", "component_id")
+
+
+def keep_one(docs: DataFrame) -> DataFrame:
+    """The rows of ``docs`` that stay: of each component the row of smallest doc_id (then text hash), once."""
+    found = near_duplicates(docs)
+    stay = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("n"), "doc_id", "text_hash")).alias("k"))
+    stay = stay.select(F.col("k.doc_id").alias("_id"), F.col("k.text_hash").alias("_hash"))
+    hashed = docs.withColumn("_text_hash", F.xxhash64("text"))
+    kept = hashed.join(stay, hashed["doc_id"].cast("long").eqNullSafe(stay["_id"]) & (hashed["_text_hash"] == stay["_hash"]), "left_semi")
+    return kept.dropDuplicates(["doc_id", "_text_hash"]).select(docs.columns)

@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from repsum.llm import additive, decontaminate, importance, kdshards, language, mixing, pivots, substrings, token_planes
+from repsum.llm import additive, decontaminate, importance, kdshards, language, licenses, mixing, pivots, substrings, token_planes
 from repsum.plans.scratch import ship_package
 
 #: The tokenizer file of the production queries; operators take any path.
@@ -19,6 +19,11 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    return licenses.digest(licenses.scan_licenses(docs))
+
+
 def op2_token_planes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_planes.tokenise(_table(spark, sf_dir, "documents"), TOKENIZER)
 
@@ -66,6 +71,7 @@ def op10_importance(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_license_scan": op1_license_scan,
     "op2_token_planes": op2_token_planes,
     "op3_repeated_strings": op3_repeated_strings,
     "op4_kd_shards": op4_kd_shards,
