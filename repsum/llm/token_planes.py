@@ -20,7 +20,7 @@ from __future__ import annotations
 import os
 import re
 import zlib
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -36,9 +36,9 @@ from repsum.plans.scratch import new_path
 BLOCK_IDS = 1 << 16
 SHELF_IDS = 1 << 18
 #: Text bytes encoded at once.
-ENCODE_BYTES = 2 << 20
+ENCODE_BYTES = 8 << 20
 #: Distinct pieces whose ids a worker remembers.
-CACHE_PIECES = 600_000
+CACHE_PIECES = 1_000_000
 
 #: A single space between two characters that are not white space: every such space opens a
 #: new pre-token of the byte-level pattern, so ids on both sides do not depend on each other.
@@ -79,6 +79,8 @@ class PieceEncoder:
         self.tokenizer.encode_special_tokens = True  # a special token's name inside a text is ordinary text
         self.end_id = end_id
         self.fast = isinstance(self.tokenizer.pre_tokenizer, ByteLevel) and self.tokenizer.normalizer is None
+        self.tokenize = self.tokenizer.model.tokenize
+        self.pre_tokenize = self.tokenizer.pre_tokenizer.pre_tokenize_str if self.fast else None
         if self.fast:  # the printable stand-in of each byte, as the pre-tokenizer writes it
             whole = ByteLevel(add_prefix_space=False, use_regex=False)
             self.stand_in = {}
@@ -90,12 +92,23 @@ class PieceEncoder:
     def clear(self) -> None:
         self.inner: dict[str, int] = {}
         self.first: dict[str, int] = {}
-        self.token: dict[str, tuple[int, ...]] = {}
+        self.token: dict[str, list[int]] = {}
         self.pool = np.empty(1 << 16, np.uint32)
         self.ends = np.zeros(1 << 14, np.int64)  # ends[i] closes piece i - 1; ends[0] is 0
         self.count = 0
+        self.uses = np.zeros(1 << 14, np.uint8)
         self._store([(self.end_id,)])  # piece 0 closes a document
 
+    def forget(self) -> None:
+        """Keep the pieces that more than one batch has used, and nothing if those are too many."""
+        keep = [(p, i) for p, i in self.inner.items() if self.uses[i] > 1]
+        pool, ends = self.pool, self.ends
+        self.clear()
+        if len(keep) < CACHE_PIECES // 2:
+            self.inner = {p: n for n, (p, _) in enumerate(keep, self.count)}
+            self._store([pool[ends[i] : ends[i + 1]].tolist() for _, i in keep])
+            self.uses[1 : self.count] = 1
+
     def _store(self, pieces: list) -> None:
         sizes = np.fromiter(map(len, pieces), np.int64, len(pieces))
         ids = np.fromiter((i for p in pieces for i in p), np.uint32, int(sizes.sum()))
@@ -104,42 +117,55 @@ class PieceEncoder:
             self.pool = np.concatenate([self.pool, np.empty_like(self.pool)])
         while self.count + n + 1 > len(self.ends):
             self.ends = np.concatenate([self.ends, np.zeros_like(self.ends)])
+            self.uses = np.concatenate([self.uses, np.zeros_like(self.uses)])
         self.pool[held : held + len(ids)] = ids
         self.ends[self.count + 1 : self.count + n + 1] = held + np.cumsum(sizes)
         self.count += n
 
-    def _merge(self, token: str) -> tuple[int, ...]:
+    def _merge(self, token: str) -> list[int]:
         known = self.token.get(token)
         if known is None:
-            known = self.token[token] = tuple(t.id for t in self.tokenizer.model.tokenize(token))
+            known = self.token[token] = [t.id for t in self.tokenize(token)]
         return known
 
-    def _piece(self, text: str) -> tuple[int, ...]:
-        """Ids of one piece, its leading space included."""
+    def _whole(self, text: str) -> list[int]:
         if not self.fast:
-            return tuple(self.tokenizer.encode(text, add_special_tokens=False).ids)
-        if text[:1] == " ":
-            core = text[1:].rstrip(_MARKS)
-            if core.isalpha():  # one pre-token of letters, then at most one of ASCII marks
-                marks = text[1 + len(core) :]
-                if not core.isascii():
-                    core = core.encode().decode("latin-1").translate(self.stand_in)
-                return self._merge(self.space + core) + self._merge(marks) if marks else self._merge(self.space + core)
-        return tuple(i for token, _ in self.tokenizer.pre_tokenizer.pre_tokenize_str(text) for i in self._merge(token)) if text else ()
+            return self.tokenizer.encode(text, add_special_tokens=False).ids
+        return [i for token, _ in self.pre_tokenize(text) for i in self._merge(token)] if text else []
 
-    def _numbers(self, pieces: list[str], into: dict[str, int], lead: str) -> np.ndarray:
+    def _inner_pieces(self, pieces: list[str]) -> list[list[int]]:
+        """Ids of pieces that follow a space."""
+        if not self.fast:
+            return [self._whole(" " + p) for p in pieces]
+        out, token, tokenize, space, stand_in = [], self.token, self.tokenize, self.space, self.stand_in
+        for p in pieces:
+            core = p if p.isalpha() else p.rstrip(_MARKS)
+            if core.isalpha():  # one pre-token of letters, then at most one of ASCII marks
+                name = space + core if core.isascii() else space + core.encode().decode("latin-1").translate(stand_in)
+                ids = token.get(name)
+                if ids is None:
+                    ids = token[name] = [t.id for t in tokenize(name)]
+                out.append(ids if len(core) == len(p) else ids + self._merge(p[len(core) :]))
+            else:
+                out.append(self._whole(" " + p))
+        return out
+
+    def _numbers(self, pieces: list[str], into: dict[str, int], learn: Callable[[list[str]], list]) -> np.ndarray:
+        """Numbers of a batch's different pieces."""
         found = list(map(into.get, pieces))
         if None in found:
-            news = list(dict.fromkeys(p for p, f in zip(pieces, found) if f is None))
+            news = [p for p, f in zip(pieces, found) if f is None]
             into.update(zip(news, range(self.count, self.count + len(news))))
-            self._store([self._piece(lead + p) for p in news])
+            self._store(learn(news))
             found = list(map(into.__getitem__, pieces))
-        return np.array(found, np.int64)
+        numbers = np.array(found, np.int64)
+        self.uses[numbers] = np.minimum(self.uses[numbers], 254) + 1
+        return numbers
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts, the end id after each; number of ids of each text)."""
         if len(self.inner) + len(self.first) > CACHE_PIECES:
-            self.clear()
+            self.forget()
         odd = pc.match_substring_regex(texts, _UNSAFE).to_numpy(zero_copy_only=False)
         if odd.any():
             lists = pa.array([_SAFE_SPACE.split(t) if o else t.split(" ") for t, o in zip(texts.to_pylist(), odd)], pa.list_(pa.string()))
@@ -148,11 +174,12 @@ class PieceEncoder:
         coded = lists.flatten().dictionary_encode()
         names = coded.dictionary.to_pylist()
         starts = lists.offsets.to_numpy().astype(np.int64) - lists.offsets[0].as_py()
-        number = self._numbers(names, self.inner, " ")
+        number = self._numbers(names, self.inner, self._inner_pieces)
         index = coded.indices.to_numpy()
         at = number[index]
         heads = starts[:-1]
-        at[heads] = self._numbers([names[i] for i in index[heads]], self.first, "")
+        which, back = np.unique(index[heads], return_inverse=True)
+        at[heads] = self._numbers([names[i] for i in which], self.first, lambda new: list(map(self._whole, new)))[back]
         at = np.insert(at, starts[1:], 0)
         ends = starts[1:] + np.arange(1, len(starts))
         begin = self.ends[at]
@@ -201,7 +228,7 @@ def unpack_blocks(sizes: list[int], ends: list[int], payload: bytes, layout: str
     return np.concatenate(out) if out else np.empty(0, np.uint32)
 
 
-def write_shelves(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, layout: str = "byte", block: int = BLOCK_IDS, shelf: int = SHELF_IDS, level: int = 3, id_col: str = "doc_id", text_col: str = "text") -> None:
+def write_shelves(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, layout: str = "byte", block: int = BLOCK_IDS, shelf: int = SHELF_IDS, level: int = 1, id_col: str = "doc_id", text_col: str = "text") -> None:
     """Encode whole texts in ascending doc_id order and write them in the plane format below ``path``.
 
     Texts are dealt by range before they are encoded: the one shuffle moves texts, and what the
