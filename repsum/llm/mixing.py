@@ -33,7 +33,7 @@ GOLDEN = 0.6180339887498949
 BLOCK_WORDS = 128
 #: Slots ranked together, rows of a source ordered together, cells that index the unit interval.
 SLOT_RUN = 1 << 16
-ROW_RUN = 20_000
+ROW_RUN = 2_000
 CELLS = 1024
 
 
