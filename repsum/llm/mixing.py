@@ -97,7 +97,7 @@ def mix(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, most: int = MOST
     sized = materialise(docs.select(F.col("doc_id"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size"), shuffle_key(F.col("doc_id"), F.col("text"), seed).alias("h")), "sized")
     targets = materialise(source_targets(sized, weights, share, most), "targets")
     whole = targets.agg(F.sum("target").alias("t"), F.sum("n").alias("n")).head()
-    slots = math.ceil((whole["t"] or 0) / block)
+    slots = math.ceil(round(whole["t"] or 0, 3) / block)
     takes = schedule(targets, slots, block, most).groupBy("no", "block").agg(F.count("*").alias("takes"))
     known = targets.select("no", F.col("source").alias("source_"), "source_size", "target")
     named = sized.join(known, F.col("source").eqNullSafe(F.col("source_"))).drop("source_")

@@ -83,4 +83,42 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_importance": op10_importance,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+_UP, _LOW = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+_WORDS = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+_ITEM_WORDS = f"regexp_extract_all(translate(text, '{_UP}', '{_LOW}'), '{_WORDS}')"
+
+_OP5 = f"""
+WITH t AS (SELECT doc_id, coalesce({_ITEM_WORDS}, []) AS w FROM documents),
+b AS (SELECT coalesce(CAST(item_id AS VARCHAR), '') AS item, coalesce({_ITEM_WORDS}, []) AS w FROM benchmark),
+iw AS (SELECT item, array_to_string(w[i:i + 9], ' ') AS k, CAST(10 AS BIGINT) AS n FROM (SELECT item, w, unnest(range(1, len(w) - 8)) AS i FROM b WHERE len(w) >= 10)
+  UNION SELECT item, array_to_string(w, ' '), CAST(len(w) AS BIGINT) FROM b WHERE len(w) BETWEEN 1 AND 9),
+dw AS (SELECT doc_id, p, n, array_to_string(w[p:p + n - 1], ' ') AS k FROM (SELECT doc_id, w, n, unnest(range(1, len(w) - n + 2)) AS p FROM t, (SELECT DISTINCT n FROM iw))),
+hit AS (SELECT DISTINCT doc_id, p, n, item FROM dw JOIN iw USING (n, k)),
+wh AS (SELECT doc_id, count(DISTINCT x) AS n_hit FROM (SELECT doc_id, unnest(range(p, p + n)) AS x FROM hit) GROUP BY doc_id),
+ih AS (SELECT doc_id, count(*) AS n_items, string_agg(item, ',' ORDER BY item) AS s FROM (SELECT DISTINCT doc_id, item FROM hit) GROUP BY doc_id)
+SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items, sha256(coalesce(s, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
+FROM t LEFT JOIN wh USING (doc_id) LEFT JOIN ih USING (doc_id)"""
+
+_OP8 = rf"""
+WITH sized AS (SELECT doc_id, source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS BIGINT) AS size,
+    md5('mix|' || coalesce(CAST(doc_id AS VARCHAR), '') || '|' || md5(coalesce(text, ''))) AS h FROM documents),
+s1 AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size, row_number() OVER (ORDER BY source NULLS LAST) AS no FROM sized GROUP BY source),
+s2 AS (SELECT *, CAST([3, 1, 2][(no - 1) % 3 + 1] AS DOUBLE) AS w, 2 * source_size AS cap, CAST(sum(source_size) OVER () AS DOUBLE) * CAST(1.5 AS DOUBLE) AS total FROM s1),
+s3 AS (SELECT *, cap / w AS ratio FROM s2),
+s4 AS (SELECT *, sum(cap) OVER u AS caps, sum(w) OVER () - sum(w) OVER u AS rest FROM s3 WINDOW u AS (ORDER BY ratio, no ROWS UNBOUNDED PRECEDING)),
+s5 AS (SELECT *, caps + ratio * rest <= total AS is_full FROM s4),
+targets AS (SELECT no, source, source_size, CASE WHEN is_full THEN CAST(cap AS DOUBLE)
+    ELSE w * (total - coalesce(CAST(sum(cap) FILTER (is_full) OVER () AS DOUBLE), 0)) / sum(w) FILTER (NOT is_full) OVER () END AS target FROM s5),
+bounds AS (SELECT no, source_size, CAST(round(target * 1000) AS BIGINT) AS width, sum(CAST(round(target * 1000) AS BIGINT)) OVER (ORDER BY no ROWS UNBOUNDED PRECEDING) AS hi,
+    sum(CAST(round(target * 1000) AS BIGINT)) OVER () AS whole FROM targets WHERE target > 0),
+points AS (SELECT i, i * CAST({mixing.GOLDEN!r} AS DOUBLE) - floor(i * CAST({mixing.GOLDEN!r} AS DOUBLE)) AS u FROM range(CAST((SELECT ceil(round(sum(target), 3) / {mixing.BLOCK_WORDS}) FROM targets) AS BIGINT)) r(i)),
+ranked AS (SELECT no, source_size, row_number() OVER (PARTITION BY no ORDER BY i) - 1 AS r FROM points JOIN bounds ON u * whole >= hi - width AND u * whole < hi),
+takes AS (SELECT no, r % ((source_size + {mixing.BLOCK_WORDS - 1}) // {mixing.BLOCK_WORDS}) AS block, count(*) AS takes FROM ranked WHERE r // ((source_size + {mixing.BLOCK_WORDS - 1}) // {mixing.BLOCK_WORDS}) < 2 GROUP BY ALL),
+laid AS (SELECT row_number() OVER () AS id, doc_id, size, t.no, source_size, target, CAST(coalesce(sum(size) OVER (PARTITION BY t.no ORDER BY h ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS b
+    FROM sized s JOIN targets t ON s.source IS NOT DISTINCT FROM t.source),
+pieces AS (SELECT *, unnest(range(b // {mixing.BLOCK_WORDS}, (b + size - 1) // {mixing.BLOCK_WORDS} + 1)) AS block FROM laid WHERE size > 0),
+got AS (SELECT id, CAST(sum((least(b + size, (block + 1) * {mixing.BLOCK_WORDS}) - greatest(b, block * {mixing.BLOCK_WORDS})) * takes) AS BIGINT) AS taken FROM pieces JOIN takes USING (no, block) GROUP BY id)
+SELECT doc_id, size, source_size, target, coalesce(taken, 0) AS taken FROM laid LEFT JOIN got USING (id)"""
+
+#: SQL for the operators that it can express; the others are tested against brute force.
+ORACLE_SQL: dict[str, str] = {"op5_decontaminate": _OP5, "op8_mix_sources": _OP8}
