@@ -92,6 +92,24 @@ def spec_rows(templates, instances: int = 100) -> str:
     return "(VALUES " + ", ".join(f"({n}, '{f}', '{t}')" for n, f, t in rows) + ") AS spec(n, feature, token)"
 
 
+def toy() -> str:
+    """Scores of every summary of the worked example, from its tokens."""
+    rows = [
+        (1, "fn", "AVG", 1), (1, "fn", "MAX", 2), (1, "tb", "T1", 1), (1, "gb", "T1.a", 1), (2, "fn", "COUNT", 1), (2, "tb", "T1", 1), (2, "tb", "T2", 1),
+        (3, "tb", "T1", 1), (3, "tb", "T2", 1), (3, "tb", "T3", 1), (3, "ob", "T1.a", 1), (3, "ob", "T2.b", 1), (3, "ob", "T3.c", 1),
+    ]
+    buckets = {1: (0, 6, 0, 0, 0, 0), 2: (10, 0, 3, 10, 5, 5), 3: (6, 10, 10, 4, 10, 10)}
+    rows += [(q, f"n{i}", str(b), 1) for q, bs in buckets.items() for i, b in enumerate(bs, 1)]
+    values = ", ".join(f"({q}, '{f}', '{t}', {m})" for q, f, t, m in rows)
+    sets = ", ".join(f"('{s}', {q})" for s in ("1", "2", "3", "1,2", "1,3", "2,3", "1,2,3") for q in s.split(","))
+    return f"""WITH tok(qid, feature, token, mult) AS (VALUES {values}), sets(s, qid) AS (VALUES {sets}),
+      w AS (SELECT feature, token, sum(mult) AS mw FROM tok GROUP BY ALL), m AS (SELECT s, feature, token, sum(mult) AS ms FROM sets JOIN tok USING (qid) GROUP BY ALL),
+      b AS (SELECT x.s, w.feature, w.token, mw / 32 AS d, coalesce(ms, 0) AS ms FROM (SELECT DISTINCT s FROM sets) x CROSS JOIN w LEFT JOIN m ON m.s = x.s AND m.feature = w.feature AND m.token = w.token),
+      c AS (SELECT *, ms / sum(ms) OVER (PARTITION BY s) AS ps FROM b), f AS (SELECT s, feature, count(*) FILTER (ms > 0) / count(*) AS a FROM c GROUP BY ALL)
+      SELECT c.s, round((SELECT min(a) FROM f WHERE f.s = c.s), 6) AS alpha_min, round((SELECT avg(a) FROM f WHERE f.s = c.s), 6) AS alpha_avg,
+        round(1 - sum(abs(ps - d)) / 2, 6) AS rho_l1, round(1 - max(abs(ps - d)), 6) AS rho_linf, round(sum(d * ln(ms + 1)), 6) AS g FROM c GROUP BY c.s"""
+
+
 _B = "FROM both_"
 UNIFORM = "SELECT feature, token, 1.0 / count(*) OVER () AS d FROM freq"
 #: Numeric bounds that stay as batches arrive, and feature weights.
@@ -168,10 +186,10 @@ def oracle() -> dict[str, str]:
     o["greedy_events_8"] = greedy(8, 1e-25, head=EVENTS)
     o["greedy_best_singleton"] = greedy(1, 1e-25)
     o["max_cover_8"] = greedy(8, "limit", target="SELECT feature, token, CAST(1 AS DOUBLE) AS d FROM freq").replace("round(g, 6) AS gain, cost", "CAST(round(g) AS BIGINT) AS new_tokens")
-    part = "part AS (SELECT o_orderkey AS qid, CAST(('0x' || substr(md5('42|' || o_orderkey), 1, 8)) AS BIGINT) % 3 AS part FROM orders)"
-    o["partition_sizes"] = f"WITH {part} SELECT CAST(part AS INTEGER) AS part, count(*) AS n FROM part GROUP BY part"
+    part = "parts AS (SELECT o_orderkey AS qid, CAST(('0x' || substr(md5('42|' || o_orderkey), 1, 8)) AS BIGINT) % 3 AS part FROM orders)"
+    o["partition_sizes"] = f"WITH {part} SELECT CAST(part AS INTEGER) AS part, count(*) AS n FROM parts GROUP BY part"
     for k in range(3):
-        sub = greedy(3, 1e-25).replace("FROM vec JOIN m", f"FROM (SELECT * FROM vec WHERE qid IN (SELECT qid FROM part WHERE part = {k})) vec JOIN m")
+        sub = greedy(3, 1e-25).replace("FROM vec JOIN m", f"FROM (SELECT * FROM vec WHERE qid IN (SELECT qid FROM parts WHERE part = {k})) vec JOIN m")
         o[f"partition_{k}_picks"] = sub.replace("WITH ", f"WITH {part}, ", 1)
     # batches of the events log
     o["batch_ntile"] = f"WITH {_batch_tokens(7)} SELECT CAST(batch AS INTEGER) AS batch, count(*) AS n, min(qid) AS first_qid, max(qid) AS last_qid FROM bt GROUP BY batch"
@@ -183,6 +201,8 @@ def oracle() -> dict[str, str]:
       (SELECT coalesce(a.day, b.day) AS day, a.p, b.p0 FROM (SELECT sh.day, feature, token, p FROM sh JOIN ds ON sh.day = ds.day WHERE before IS NOT NULL) a
        FULL JOIN (SELECT ds.day, feature, token, p AS p0 FROM sh JOIN ds ON sh.day = ds.before) b ON a.day = b.day AND a.feature = b.feature AND a.token = b.token) GROUP BY day"""
     # baselines
+    o["gains_by_join"] = f"WITH {orders_tokens()}, {FREQ}, dist AS (SELECT feature, token, freq / sum(freq) OVER () AS d FROM freq) SELECT qid, round(sum(d * (ln(mult + 1e-25) - ln(1e-25))), 6) AS gain FROM tok JOIN dist USING (feature, token) GROUP BY qid"
+    o["toy_scores"] = toy()
     o["random_sample"] = "SELECT CAST(n AS INTEGER) AS pick_no, qid FROM (SELECT o_orderkey AS qid, row_number() OVER (ORDER BY md5('42|' || o_orderkey), o_orderkey) AS n FROM orders) WHERE n <= 100"
     o["sample_knapsack"] = tok + ", c AS (SELECT qid, CAST(sum(mult) AS BIGINT) AS cost FROM tok GROUP BY qid) SELECT CAST(n AS INTEGER) AS pick_no, qid, cost FROM (SELECT qid, cost, row_number() OVER w AS n, sum(cost) OVER (w ROWS UNBOUNDED PRECEDING) AS spent FROM c WINDOW w AS (ORDER BY md5('42|' || qid), qid)) WHERE spent <= 1000"
     ks = (10, 25, 50, 100)
