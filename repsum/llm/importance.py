@@ -29,6 +29,8 @@ SMOOTHING = 1.0
 #: Multinomial log ratios grow with length, so a text's sum is divided by its n-grams plus these,
 #: which draws very short texts toward 0. Importances are then small: the temperature scales them.
 PRIOR_GRAMS = 20
+#: Good rows that the target model is fitted on, by smallest hash of the id.
+TARGET_ROWS = 20_000
 TEMPERATURE = 0.01
 
 _TABLE = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
@@ -97,10 +99,14 @@ def gumbel(key: Column, seed: int) -> Column:
 
 
 def importances(docs: DataFrame, target: DataFrame, temperature: float = TEMPERATURE, seed: int = 7, prior: int = PRIOR_GRAMS) -> DataFrame:
-    """(doc_id, text_hash, log_importance, key) of every row; ``target`` holds the doc_ids of good rows."""
+    """(doc_id, text_hash, log_importance, key) of every row; ``target`` holds the doc_ids of good rows.
+
+    The target model is fitted on at most ``TARGET_ROWS`` good rows, so their ids can be sent to
+    every task and no text is shuffled; the raw model counts all rows.
+    """
     rows = docs.select("doc_id", "text")
-    marks = target.select(F.col("doc_id").alias("good_id")).distinct()
-    marked = rows.join(marks, rows["doc_id"] == marks["good_id"], "left").select("doc_id", "text", F.col("good_id").isNotNull().alias("is_target"))
+    marks = target.select(F.col("doc_id").alias("good_id")).distinct().orderBy(F.xxhash64("good_id"), "good_id").limit(TARGET_ROWS)
+    marked = rows.join(F.broadcast(marks), rows["doc_id"] == marks["good_id"], "left").select("doc_id", "text", F.col("good_id").isNotNull().alias("is_target"))
     ratio = log_ratio(count_grams(marked))
     scored = add_importance(rows, ratio, prior=prior).select("doc_id", F.xxhash64("text").alias("text_hash"), "log_importance")
     return scored.withColumn("key", F.col("log_importance") / F.lit(temperature) + gumbel(F.col("doc_id"), seed))
@@ -108,7 +114,7 @@ def importances(docs: DataFrame, target: DataFrame, temperature: float = TEMPERA
 
 def resample(docs: DataFrame, target: DataFrame, share: float, temperature: float = TEMPERATURE, seed: int = 7, prior: int = PRIOR_GRAMS) -> DataFrame:
     """(doc_id, log_importance, key, rank, selected): rank counts from 0; the first ceil(share * rows) are drawn."""
-    scored = importances(docs, target, temperature, seed, prior)
+    scored = materialise(importances(docs, target, temperature, seed, prior), "importances")
     ranked = positions(scored.withColumn("_g", F.lit(0)).withColumn("_down", -F.col("key")), ["_g"], ["_down", "doc_id", "text_hash"], "rank")
     ranked = materialise(ranked.select("doc_id", "log_importance", "key", "rank"), "ranked")
     k = F.lit(int(np.ceil(share * ranked.count())))
