@@ -39,7 +39,7 @@ from repsum.plans.scratch import materialise
 LENGTH = 200
 SPREAD = 160
 GRAM = 16
-CROWD = 2048
+CROWD = 1 << 15
 #: Windows handled at once in one text, and symbols sorted at once in a task.
 STRETCH = 1 << 19
 SYMBOLS = 1 << 17
@@ -113,10 +113,28 @@ def unpack(place: int) -> tuple[int, int, int]:
     return place >> 32, (place >> 24) & 0xFF, (place >> 16) & 0xFF
 
 
+def _shared(parts: list[bytes]) -> np.ndarray:
+    """Longest prefix that each of several strings shares with any other."""
+    if len(parts) == 2:
+        n = min(map(len, parts))
+        x, y = (np.frombuffer(p, np.uint8, n) for p in parts)
+        off = np.flatnonzero(x != y)
+        return np.full(2, int(off[0]) if len(off) else n)
+    order = sorted(range(len(parts)), key=parts.__getitem__)
+    width = max(map(len, parts)) + 1
+    cells = np.broadcast_to(-1 - np.arange(len(parts), dtype=np.int32)[:, None], (len(parts), width)).copy()  # ends equal nothing
+    for r, i in enumerate(order):
+        cells[r, : len(parts[i])] = np.frombuffer(parts[i], np.uint8)
+    same = (cells[1:] != cells[:-1]).argmax(axis=1)
+    out = np.zeros(len(parts), np.int64)
+    out[order] = np.maximum(np.append(same, 0), np.append(0, same))
+    return out
+
+
 def _labels(rows: np.ndarray) -> np.ndarray:
     """For each column, the number of the first row with the same value."""
     m, width = rows.shape
-    if m <= 48:
+    if m <= 24:
         return np.argmax(rows[None, :, :] == rows[:, None, :], axis=1)
     out = np.empty((m, width), np.int64)
     for c in range(width):
@@ -126,31 +144,55 @@ def _labels(rows: np.ndarray) -> np.ndarray:
 
 
 class Aligned:
-    """The different contexts of one key below each other, as rows of symbols."""
+    """The different contexts of one key below each other, as rows of symbols.
 
-    def __init__(self, contexts: list[tuple[bytes, int, int]], length: int, spread: int) -> None:
+    A row that shares ``l`` bytes before and ``r`` bytes from the anchor with other rows, at most,
+    can only repeat windows inside these; the rest of it is cut off, and rows without such a
+    window are left out. Partners of a repeated window share it, so they are never left out.
+    """
+
+    def __init__(self, contexts: list[tuple[bytes, int, int]], length: int) -> None:
         """contexts: (bytes, offset of the anchor in the first window, windows)."""
-        m = len(contexts)
-        width = spread + length - 1  # columns -(spread - 1) .. length - 1 around the anchor
-        cells = np.broadcast_to(256 + np.arange(m)[:, None], (m, width)).copy()  # what a row does not cover equals nothing
-        for r, (raw, offset, _) in enumerate(contexts):
-            cells[r, spread - 1 - offset : spread - 1 - offset + len(raw)] = np.frombuffer(raw, np.uint8)
+        self.size, self.length = len(contexts), length
+        right = _shared([raw[offset:] for raw, offset, _ in contexts])
+        left = _shared([raw[:offset][::-1] for raw, offset, _ in contexts])
+        offsets = np.array([o for _, o, _ in contexts])
+        counts = np.array([c for *_, c in contexts])
+        most = np.minimum(offsets, left)  # window offsets between least and most may be repeated
+        least = np.maximum(offsets - counts + 1, length - right)
+        self.alive = np.flatnonzero(most >= least)
+        self.rows: list[list[int]] = []
+        self.alphabet = 0
+        if len(self.alive) < 2:
+            self.alive = self.alive[:0]
+            return
+        self.offsets, self.most, self.least = offsets[self.alive], most[self.alive], least[self.alive]
+        zero = int(self.most.max())  # the anchor's column
+        width = zero + length - int(self.least.min())
+        m = len(self.alive)
+        cells = np.broadcast_to(256 + np.arange(m, dtype=np.int32)[:, None], (m, width)).copy()  # what is cut off equals nothing
+        for r, i in enumerate(self.alive):
+            raw, offset, _ = contexts[i]
+            piece = raw[offset - self.most[r] : offset + length - self.least[r]]
+            cells[r, zero - self.most[r] : zero - self.most[r] + len(piece)] = np.frombuffer(piece, np.uint8)
         labels = _labels(cells)
         fresh = np.append(True, (labels[:, 1:] != labels[:, :-1]).any(axis=0))
-        self.column = np.cumsum(fresh) - 1
-        self.rows = labels[:, fresh] + (np.arange(fresh.sum()) * m)[None, :]
+        column = np.cumsum(fresh) - 1
+        symbols = labels[:, fresh] + (np.arange(fresh.sum()) * m)[None, :]
         self.alphabet = int(fresh.sum()) * m
-        self.windows = [(offset, count) for _, offset, count in contexts]
-        self.length, self.spread = length, spread
-
-    def repeated(self, shared: np.ndarray) -> list[list[int]]:
-        """Per context: numbers of its repeated windows; ``shared``: each symbol's longest match with another row."""
-        out = []
-        for r, (offset, count) in enumerate(self.windows):
-            begin = self.spread - 1 - offset + np.arange(count)
-            start = self.column[begin]
-            need = self.column[begin + self.length - 1] - start + 1
-            out.append(np.flatnonzero(shared[r, start] >= need).tolist())
+        self.spans = []
+        for r in range(m):
+            first, last = column[zero - self.most[r]], column[zero + length - self.least[r] - 1]
+            self.rows.append(symbols[r, first : last + 1].tolist())
+            begin = zero - np.arange(self.most[r], self.least[r] - 1, -1)  # columns where windows start
+            self.spans.append((column[begin] - first, column[begin + length - 1] - column[begin] + 1))
+
+    def repeated(self, longest: np.ndarray, at: list[int]) -> list[list[int]]:
+        """Per context: numbers of its repeated windows; ``longest`` is each symbol's longest match with another row, ``at`` where rows begin."""
+        out: list[list[int]] = [[] for _ in range(self.size)]
+        for r, i in enumerate(self.alive.tolist()):
+            start, need = self.spans[r]
+            out[i] = (np.flatnonzero(longest[at[r] + start] >= need) + self.offsets[r] - self.most[r]).tolist()
         return out
 
 
@@ -160,21 +202,19 @@ def resolve(groups: list[Aligned]) -> list[list[list[int]]]:
     base, at = 0, []
     stop = sum(g.alphabet for g in groups)  # symbols that end a row, each once
     for g in groups:
-        at.append(len(text))
-        for row in (g.rows + base).tolist():
-            text += row
+        begins = []
+        for row in g.rows:
+            begins.append(len(text))
+            text += [x + base for x in row]
             text.append(stop)
             stop += 1
+        at.append(begins)
         base += g.alphabet
     order = suffix_array(text)
     same = common_prefixes(text, order)
     longest = np.zeros(len(text), np.int64)
-    longest[order] = np.maximum(same, np.append(same[1:], 0))
-    out = []
-    for g, begin in zip(groups, at):
-        m, w = g.rows.shape
-        out.append(g.repeated(longest[begin : begin + m * (w + 1)].reshape(m, w + 1)[:, :w]))
-    return out
+    longest[order] = np.maximum(same, np.append(same[1:], 0)) if text else 0
+    return [g.repeated(longest, begins) for g, begins in zip(groups, at)]
 
 
 def _runs(numbers: list[int]) -> list[tuple[int, int]]:
@@ -186,7 +226,7 @@ def _runs(numbers: list[int]) -> list[tuple[int, int]]:
 _RUNS = "array<struct<begin:int,end:int>>"
 
 
-def sort_contexts(contexts: DataFrame, length: int = LENGTH, spread: int = SPREAD) -> DataFrame:
+def sort_contexts(contexts: DataFrame, length: int = LENGTH) -> DataFrame:
     """(key, context, runs) of repeated windows from (key, context, place, bytes)."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -218,9 +258,11 @@ def sort_contexts(contexts: DataFrame, length: int = LENGTH, spread: int = SPREA
 
         for key, rows in groups():
             shape = [unpack(place) for _, place, _ in rows]
-            group = Aligned([(raw, offset, count) for (_, _, raw), (_, count, offset) in zip(rows, shape)], length, spread)
+            group = Aligned([(raw, offset, count) for (_, _, raw), (_, count, offset) in zip(rows, shape)], length)
+            if not len(group.alive):
+                continue
             waiting.append((key, [c for c, *_ in rows], group))
-            size += group.rows.size
+            size += sum(map(len, group.rows))
             if size >= SYMBOLS:
                 yield flush()
                 size = 0
@@ -250,7 +292,8 @@ def count_windows(contexts: DataFrame, length: int = LENGTH) -> DataFrame:
 def repeated_windows(raw: DataFrame, length: int = LENGTH, spread: int = SPREAD, crowd: int = CROWD) -> DataFrame:
     """(doc_id, mark, begin, end): starts begin .. end - 1 of repeated windows; mark is the text hash of a place."""
     rows = anchor_rows(raw, length, spread)
-    keys = rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
+    # written, so that the join below has shuffles of its own, whose crowded keys can be split
+    keys = materialise(rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "repeated-keys")
     dup = materialise(rows.join(keys, "key"), "repeated-anchors")
     distinct = dup.groupBy("key", "context").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "place")).alias("one"))
     distinct = materialise(distinct.select("key", "context", "n", "one.doc_id", "one.place"), "contexts")
@@ -280,9 +323,9 @@ def repeated_windows(raw: DataFrame, length: int = LENGTH, spread: int = SPREAD,
     crowded = not several.where(F.col("m") > crowd).isEmpty()
     if crowded:
         contexts = materialise(contexts, "context-bytes").dropDuplicates(["key", "context"])
-        found = sort_contexts(contexts.where(F.col("m") <= crowd).drop("m"), length, spread).unionByName(count_windows(contexts.where(F.col("m") > crowd).drop("m"), length))
+        found = sort_contexts(contexts.where(F.col("m") <= crowd).drop("m"), length).unionByName(count_windows(contexts.where(F.col("m") > crowd).drop("m"), length))
     else:
-        found = sort_contexts(contexts.drop("m"), length, spread)
+        found = sort_contexts(contexts.drop("m"), length)
     single = distinct.where("n = 1").select("key", "context")
     every = F.array(F.struct(F.lit(0).alias("begin"), F.expr("cast(shiftright(place, 24) & 255 as int)").alias("end")))
     copied = distinct.where("n > 1").select("key", "context", every.alias("runs"))
