@@ -36,9 +36,9 @@ from repsum.plans.scratch import new_path
 BLOCK_IDS = 1 << 16
 SHELF_IDS = 1 << 18
 #: Text bytes encoded at once.
-ENCODE_BYTES = 8 << 20
-#: Distinct pieces whose ids a worker remembers.
-CACHE_PIECES = 1_000_000
+ENCODE_BYTES = 4 << 20
+#: Distinct pieces and pre-tokens whose ids a worker remembers.
+CACHE_PIECES = 800_000
 
 #: A single space between two characters that are not white space: every such space opens a
 #: new pre-token of the byte-level pattern, so ids on both sides do not depend on each other.
@@ -92,7 +92,7 @@ class PieceEncoder:
     def clear(self) -> None:
         self.inner: dict[str, int] = {}
         self.first: dict[str, int] = {}
-        self.token: dict[str, list[int]] = {}
+        self.token: dict[str, tuple[int, ...]] = {}
         self.pool = np.empty(1 << 16, np.uint32)
         self.ends = np.zeros(1 << 14, np.int64)  # ends[i] closes piece i - 1; ends[0] is 0
         self.count = 0
@@ -122,10 +122,10 @@ class PieceEncoder:
         self.ends[self.count + 1 : self.count + n + 1] = held + np.cumsum(sizes)
         self.count += n
 
-    def _merge(self, token: str) -> list[int]:
+    def _merge(self, token: str) -> tuple[int, ...]:
         known = self.token.get(token)
         if known is None:
-            known = self.token[token] = [t.id for t in self.tokenize(token)]
+            known = self.token[token] = tuple([t.id for t in self.tokenize(token)])
         return known
 
     def _whole(self, text: str) -> list[int]:
@@ -133,7 +133,7 @@ class PieceEncoder:
             return self.tokenizer.encode(text, add_special_tokens=False).ids
         return [i for token, _ in self.pre_tokenize(text) for i in self._merge(token)] if text else []
 
-    def _inner_pieces(self, pieces: list[str]) -> list[list[int]]:
+    def _inner_pieces(self, pieces: list[str]) -> list:
         """Ids of pieces that follow a space."""
         if not self.fast:
             return [self._whole(" " + p) for p in pieces]
@@ -144,7 +144,7 @@ class PieceEncoder:
                 name = space + core if core.isascii() else space + core.encode().decode("latin-1").translate(stand_in)
                 ids = token.get(name)
                 if ids is None:
-                    ids = token[name] = [t.id for t in tokenize(name)]
+                    ids = token[name] = tuple([t.id for t in tokenize(name)])
                 out.append(ids if len(core) == len(p) else ids + self._merge(p[len(core) :]))
             else:
                 out.append(self._whole(" " + p))
@@ -164,7 +164,7 @@ class PieceEncoder:
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts, the end id after each; number of ids of each text)."""
-        if len(self.inner) + len(self.first) > CACHE_PIECES:
+        if len(self.inner) + len(self.first) + len(self.token) > CACHE_PIECES:
             self.forget()
         odd = pc.match_substring_regex(texts, _UNSAFE).to_numpy(zero_copy_only=False)
         if odd.any():
