@@ -21,6 +21,7 @@ import os
 import re
 import zlib
 from collections.abc import Callable, Iterable, Iterator
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -111,7 +112,7 @@ class PieceEncoder:
 
     def _store(self, pieces: list) -> None:
         sizes = np.fromiter(map(len, pieces), np.int64, len(pieces))
-        ids = np.fromiter((i for p in pieces for i in p), np.uint32, int(sizes.sum()))
+        ids = np.fromiter(chain.from_iterable(pieces), np.uint32, int(sizes.sum()))
         held, n = int(self.ends[self.count]), len(pieces)
         while held + len(ids) > len(self.pool):
             self.pool = np.concatenate([self.pool, np.empty_like(self.pool)])
@@ -147,18 +148,34 @@ class PieceEncoder:
                     ids = token[name] = tuple([t.id for t in tokenize(name)])
                 out.append(ids if len(core) == len(p) else ids + self._merge(p[len(core) :]))
             else:
-                out.append(self._whole(" " + p))
+                out.append(self._lines(p) or self._whole(" " + p))
+        return out
+
+    def _lines(self, piece: str) -> tuple[int, ...] | None:
+        """Ids of lines of letters and marks within a piece; a line feed between them is a pre-token of its own."""
+        lines, out, lead = piece.split("\n"), (), self.space
+        for line in lines:
+            core = line.rstrip(_MARKS)
+            if not core.isalpha():
+                return None
+            name = core if core.isascii() else core.encode().decode("latin-1").translate(self.stand_in)
+            if out:
+                out += self._merge(self.stand_in[10])
+            out += self._merge(lead + name)
+            if len(core) < len(line):
+                out += self._merge(line[len(core) :])
+            lead = ""
         return out
 
     def _numbers(self, pieces: list[str], into: dict[str, int], learn: Callable[[list[str]], list]) -> np.ndarray:
         """Numbers of a batch's different pieces."""
-        found = list(map(into.get, pieces))
-        if None in found:
-            news = [p for p, f in zip(pieces, found) if f is None]
+        numbers = np.fromiter(map(into.get, pieces, repeat(-1)), np.int64, len(pieces))
+        missing = np.flatnonzero(numbers < 0)
+        if len(missing):
+            news = [pieces[i] for i in missing.tolist()]
+            numbers[missing] = np.arange(self.count, self.count + len(news))
             into.update(zip(news, range(self.count, self.count + len(news))))
             self._store(learn(news))
-            found = list(map(into.__getitem__, pieces))
-        numbers = np.array(found, np.int64)
         self.uses[numbers] = np.minimum(self.uses[numbers], 254) + 1
         return numbers
 
