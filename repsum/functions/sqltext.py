@@ -58,13 +58,12 @@ class _Scope:
     def __init__(self) -> None:
         self.clause = ""
         self.tables: list[tuple[str, str]] = []  # table, alias
-        self.selected: list[str] = []
+        self.selected: list[str | None] = []  # plain columns by position, None for other items
         self.group: list[str] = []
         self.order: list[str] = []
         self.where: list[str] = []
         self.calls: list[str] = []
         self.joins = 0
-        self.items = 0  # depth marker of what a column list holds
 
 
 def parse(sql: str) -> list[tuple[str, str]]:
@@ -82,7 +81,7 @@ def parse(sql: str) -> list[tuple[str, str]]:
 
         def full(c: str, names=names, only=only, s=s) -> str:
             if c.isdigit() and 0 < int(c) <= len(s.selected):
-                c = s.selected[int(c) - 1]
+                c = s.selected[int(c) - 1] or c
             head, _, tail = c.partition(".")
             if tail and head.lower() in names:
                 return f"{names[head.lower()]}.{tail}"
@@ -126,6 +125,8 @@ def _scan(tokens: list[str], i: int, done: list[_Scope], scope: _Scope, in_windo
             scope = _Scope()
         elif low in _CLAUSES and depth == 0 and not (low in ("group", "order") and following.lower() != "by"):
             scope.clause = low
+            if low == "select":
+                scope.selected.append(None)
             if low in ("group", "order"):
                 i += 1
         elif low == "join":
@@ -136,6 +137,8 @@ def _scan(tokens: list[str], i: int, done: list[_Scope], scope: _Scope, in_windo
         elif t == "," and scope.clause in ("from", "on") and depth == 0:
             scope.joins += 1
             scope.clause = "from"
+        elif t == "," and scope.clause == "select" and depth == 0:
+            scope.selected.append(None)
         elif re.match(r"[A-Za-z_]", t) and low not in _NOT_CALLS | _CLAUSES:
             name, after = _name(tokens, i)
             called = after < len(tokens) and tokens[after] == "("
@@ -154,7 +157,7 @@ def _scan(tokens: list[str], i: int, done: list[_Scope], scope: _Scope, in_windo
                 ends = after >= len(tokens) or tokens[after] in (",", ")") or tokens[after].lower() in ("from", "as") or _is_name(tokens[after])
                 first = i == 0 or tokens[i - 1].lower() in ("select", "distinct", ",")
                 if first and ends:
-                    scope.selected.append(name)
+                    scope.selected[-1] = name
             elif scope.clause in ("group", "order") and depth == 0 and not called and low not in ("asc", "desc", "nulls", "first", "last"):
                 getattr(scope, scope.clause).append(name)
             elif scope.clause == "where" and not called:
