@@ -585,8 +585,7 @@ def compare_methods(spark, sf_dir):
 def _sql_prepared(spark, which):
     log = templates.sql_log(spark, which)
     toks = sql_tokens(log)
-    stats = log.select("qid", F.col("n_joins"))
-    return log, prepare(features.Log(stats, toks, ["n_joins"]), 10)
+    return log, prepare(features.Log(log.select("qid", *templates.STATISTICS), toks, templates.STATISTICS))
 
 
 def _advised(kinds, which, spark, sf_dir):
@@ -650,7 +649,9 @@ def ablation_slowdown(spark, sf_dir):
         w = advisor.summarised(full, [names[i] for i in got])
         return advisor.whatif_cost(full, advisor.advise(w, {"index", "view"}, 1_000_000)[0]), len({names[i] for i in got})
 
-    sets = {f: [f] for f in ("function_call", "table_reference", "group_by", "order_by", "n_joins")} | {"all categorical": ["function_call", "table_reference", "group_by", "order_by"]}
+    categorical = ["function_call", "table_reference", "group_by", "order_by"]
+    sets = {f: [f] for f in (*categorical, *templates.STATISTICS)}
+    sets |= {"n_joins + rows_out": ["n_joins", "rows_out"], "n_joins + rows_read": ["n_joins", "rows_read"], "rows_read + rows_out": ["rows_read", "rows_out"], "all numeric": templates.STATISTICS, "all categorical": categorical}
     rows = advisor.ablate(spark, p.tokens, sets, run)
     return spark.createDataFrame([(r["features"], r["slowdown"], r["templates_hit"]) for r in rows], "features string, slowdown double, templates_hit int")
 

@@ -130,18 +130,35 @@ def expected_tokens(t: Template) -> list[tuple[str, str]]:
     return [("function_call", f) for f, _ in t.calls] + [("table_reference", x) for x in t.tables] + [("group_by", c) for c in t.group] + [("order_by", c) for c in t.order]
 
 
+#: Rows of each table at the unit scale of the modelled statistics.
+UNIT_ROWS = {"lineitem": 6_000_000, "orders": 1_500_000, "part": 200_000, "customer": 150_000, "supplier": 10_000, "nation": 25, "region": 5}
+
+
+def statistics(t: Template) -> tuple[int, int]:
+    """(rows read, rows out) of an instance: what its tables hold, and what its predicates keep of the largest."""
+    kept = max(UNIT_ROWS[x] for x in t.tables)
+    for c in t.where:
+        kept = kept * PREDICATES[c][1] // 1000
+    return sum(UNIT_ROWS[x] for x in t.tables), kept
+
+
+_SQL_LOG = "qid long, template string, sql string, n_joins long, rows_read long, rows_out long"
+#: Numeric features of the SQL logs.
+STATISTICS = ["n_joins", "rows_read", "rows_out"]
+
+
 def sql_log(spark: SparkSession, templates: tuple[Template, ...], instances: int = 100) -> DataFrame:
-    """(qid, template, sql, n_joins): ``instances`` of each template in turn."""
-    rows = [(n * instances + i, t.name, render(t, i), len(t.tables) - 1) for n, t in enumerate(templates) for i in range(instances)]
-    return spark.createDataFrame(rows, "qid long, template string, sql string, n_joins long")
+    """(qid, template, sql, n_joins, rows_read, rows_out): ``instances`` of each template in turn."""
+    rows = [(n * instances + i, t.name, render(t, i), len(t.tables) - 1, *statistics(t)) for n, t in enumerate(templates) for i in range(instances)]
+    return spark.createDataFrame(rows, _SQL_LOG)
 
 
 def mixed_log(spark: SparkSession, n: int) -> DataFrame:
-    """(qid, template, sql, n_joins) of any length: both sets of templates, dealt by qid."""
+    """The same columns at any length: both sets of templates, dealt by qid."""
     every = REPORTS + STARS
-    texts = spark.createDataFrame([(k, i, t.name, render(t, i), len(t.tables) - 1) for k, t in enumerate(every) for i in range(100)], "k int, i int, template string, sql string, n_joins long")
+    texts = spark.createDataFrame([(k, i, t.name, render(t, i), len(t.tables) - 1, *statistics(t)) for k, t in enumerate(every) for i in range(100)], "k int, i int, template string, sql string, n_joins long, rows_read long, rows_out long")
     ids = spark.range(n).select(F.col("id").alias("qid"), F.pmod("id", F.lit(len(every))).cast("int").alias("k"), F.pmod(F.expr(f"id div {len(every)}"), F.lit(100)).cast("int").alias("i"))
-    return ids.join(F.broadcast(texts), ["k", "i"]).select("qid", "template", "sql", "n_joins")
+    return ids.join(F.broadcast(texts), ["k", "i"]).drop("k", "i")
 
 
 def template_facts(spark: SparkSession, templates: tuple[Template, ...]) -> DataFrame:

@@ -43,7 +43,7 @@ def test_logs_have_their_published_sizes(spark):
         ("with x as (select sum(a) s from t) select x.s from x join u as v on x.k = v.k where v.w in (select k from y) order by 1 desc", "SUM | t u y |  | x.s"),
         ("select upper(m.b) from \"My T\" m where m.d like '%from z%' group by m.d, e -- from q", "UPPER | My T | My T.d My T.e | "),
         ("select rank() over (partition by q order by z) from t /* , u */", "RANK | t |  | "),
-        ("select case when a > 1 then lower(b) else 'x' end, b from t order by 2", "LOWER | t |  | t.2"),
+        ("select case when a > 1 then lower(b) else 'x' end, b from t order by 2", "LOWER | t |  | t.b"),
         ("select sum(a) from (select a from s.inner_t) as z where extract(year from z.d) = 1", "SUM | s.inner_t |  | "),
         ("call do_it(1, 2)", "DO_IT |  |  | "),
         ("select 1 from a union all select 2 from b", " | a b |  | "),
