@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 from repsum.functions import numeric
 from repsum.functions.distance import euclid, jaccard
 from repsum.functions.sqltext import fingerprint, join_counts, sql_tokens
-from repsum.operators import advisor, baselines, features, greedy, incremental, metrics, partitioned
+from repsum.operators import advisor, baselines, features, greedy, incremental, metrics, partitioned, tuning
 from repsum.plans.oracle import BETAS, GAMMAS, PINNED, WEIGHTS
 from repsum.plans.prepare import Prepared, prepare, sqrt_budget
 from repsum.plans.scratch import materialise, ship_package
@@ -204,8 +204,7 @@ def scores_weighted(spark, sf_dir):
     return _rounded(metrics.weighted_scores(_sampled(spark, sf_dir)[2], _weights(spark)), "alpha_w", "rho_w")
 
 
-def _uniform(toks: DataFrame) -> DataFrame:
-    return features.frequencies(toks).select("feature", "token", (1 / F.count("*").over(Window.partitionBy())).alias("d"))
+_uniform = tuning.uniform_target
 
 
 @query
@@ -786,6 +785,29 @@ def set_except(spark, sf_dir):
     return a.subtract(b)
 
 
+@query
+def boost_rounds(spark, sf_dir):
+    """Representativity as the weights of under-represented tokens are raised."""
+    _, rows = tuning.boost_weights(_orders(spark, sf_dir), 50, 4)
+    return spark.createDataFrame([(r["round"], r["rho_l1"], r["covered"]) for r in rows], "round int, rho_l1 double, covered int")
+
+
+@query
+def testgen_boosted(spark, sf_dir):
+    """A test workload that favours one feature."""
+    log = logs.orders_log(spark, sf_dir)
+    return _eight(prepare(log, target=tuning.boosted_target(features.tokens(log), "ob", 20.0)))
+
+
+@query
+def plan_operator_tokens(spark, sf_dir):
+    from repsum.functions.plantext import plan_tokens
+
+    for t in ("region", "nation", "customer", "supplier", "part", "orders", "lineitem"):
+        read(spark, sf_dir, t).createOrReplaceTempView(t)
+    return plan_tokens(spark, templates.sql_log(spark, templates.STARS, 1))
+
+
 @query
 def anonymised_export(spark, sf_dir):
     """Summary texts of the report log with their literals replaced."""

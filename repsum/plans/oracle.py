@@ -183,6 +183,7 @@ def oracle() -> dict[str, str]:
     o["greedy_knapsack_8"] = greedy(8, 1e-25, "size", budget=200)
     o["greedy_weighted_8"] = greedy(8, 1e-25, target=f"SELECT feature, token, w * 10 * freq / sum(freq) OVER () AS d FROM freq JOIN {WEIGHT_ROWS} USING (feature)")
     o["greedy_target_8"] = o["testgen_uniform_8"] = greedy(8, 1e-25, target=UNIFORM)
+    o["testgen_boosted"] = greedy(8, 1e-25, target="SELECT feature, token, x / sum(x) OVER () AS d FROM (SELECT feature, token, freq / sum(freq) OVER () * CASE WHEN feature = 'ob' THEN 20.0 ELSE 1.0 END AS x FROM freq)")
     o["greedy_events_8"] = greedy(8, 1e-25, head=EVENTS)
     o["greedy_best_singleton"] = greedy(1, 1e-25)
     o["max_cover_8"] = greedy(8, "limit", target="SELECT feature, token, CAST(1 AS DOUBLE) AS d FROM freq").replace("round(g, 6) AS gain, cost", "CAST(round(g) AS BIGINT) AS new_tokens")
