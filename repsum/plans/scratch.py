@@ -44,8 +44,14 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Bytes of an Arrow batch on its way to a Python worker; both sides hold one or two at a time.
+ARROW_BATCH = 8 << 20
+
+
 def ship_package(spark: SparkSession) -> None:
-    """Let Python workers import this package when it is not installed on them."""
+    """Let Python workers import this package when it is not installed on them, and keep their batches small."""
+    if int(spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch").rstrip("b")) > ARROW_BATCH:
+        spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", ARROW_BATCH)
     here = os.path.dirname(os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
     env = spark.sparkContext.environment
     if here not in env.get("PYTHONPATH", "").split(os.pathsep):
