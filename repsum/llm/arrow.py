@@ -47,5 +47,6 @@ def add_columns(df: DataFrame, text: str, fields: list[T.StructField], work: Cal
                 made = step(*(part.column(c).to_pylist() for c in (text, also) if c))
                 columns = [part.column(n) for n in keep_names] + [pa.array(made[f.name], type=f.type) for f in arrow]
                 yield pa.RecordBatch.from_arrays(columns, names=keep_names + names)
+            pa.default_memory_pool().release_unused()
 
     return df.mapInArrow(run, schema)

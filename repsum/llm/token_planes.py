@@ -44,8 +44,6 @@ CACHE_PIECES = 800_000
 #: A single space between two characters that are not white space: every such space opens a
 #: new pre-token of the byte-level pattern, so ids on both sides do not depend on each other.
 _SAFE_SPACE = re.compile(r"(?<=\S) (?=\S)")
-#: Texts where some other space may stand (the class is RE2's, widened to all Unicode white space).
-_UNSAFE = r"[\s\x0B\x1C-\x1F\x{85}\pZ] |^ |[\s\x0B\x1C-\x1F\x{85}\pZ]$| [\s\x0B\x1C-\x1F\x{85}\pZ]"
 _MARKS = "".join(chr(c) for c in range(33, 127) if not chr(c).isalnum())
 
 SHELF = T.StructType(
@@ -183,13 +181,17 @@ class PieceEncoder:
         """(ids of all texts, the end id after each; number of ids of each text)."""
         if len(self.inner) + len(self.first) + len(self.token) > CACHE_PIECES:
             self.forget()
-        odd = pc.match_substring_regex(texts, _UNSAFE).to_numpy(zero_copy_only=False)
-        if odd.any():
-            lists = pa.array([_SAFE_SPACE.split(t) if o else t.split(" ") for t, o in zip(texts.to_pylist(), odd)], pa.list_(pa.string()))
-        else:
-            lists = pc.split_pattern(texts, " ")
+        lists = pc.split_pattern(texts, " ")
         coded = lists.flatten().dictionary_encode()
         names = coded.dictionary.to_pylist()
+        unsafe = [i for i, n in enumerate(names) if not n or n[0].isspace() or n[-1].isspace()]
+        if unsafe:  # some other space stands beside white space: those texts are cut with care
+            flat = np.isin(coded.indices.to_numpy(), unsafe)
+            ends = lists.offsets.to_numpy().astype(np.int64) - lists.offsets[0].as_py()
+            odd = np.diff(np.append(0, np.cumsum(flat))[ends]) > 0
+            lists = pa.array([_SAFE_SPACE.split(t) if o else t.split(" ") for t, o in zip(texts.to_pylist(), odd)], pa.list_(pa.string()))
+            coded = lists.flatten().dictionary_encode()
+            names = coded.dictionary.to_pylist()
         starts = lists.offsets.to_numpy().astype(np.int64) - lists.offsets[0].as_py()
         number = self._numbers(names, self.inner, self._inner_pieces)
         index = coded.indices.to_numpy()
