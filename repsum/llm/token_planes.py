@@ -17,6 +17,7 @@ other columns of the input are ignored.
 
 from __future__ import annotations
 
+import gc
 import os
 import re
 import zlib
@@ -308,6 +309,10 @@ def read_documents(shelves: DataFrame, with_ids: bool = False) -> DataFrame:
     schema = "part int, start_in_part long, doc_id long, n_tokens long, ids_crc32 long" + ", ids array<long>" * with_ids
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        if _ENCODERS:  # a worker that has encoded serves other stages from here on
+            _ENCODERS.clear()
+            gc.collect()
+            pa.default_memory_pool().release_unused()
         for batch in batches:
             for i in range(batch.num_rows):
                 row = {n: batch.column(n)[i].as_py() for n in batch.schema.names}
