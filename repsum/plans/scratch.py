@@ -50,7 +50,8 @@ ARROW_BATCH = 8 << 20
 
 def ship_package(spark: SparkSession) -> None:
     """Let Python workers import this package when it is not installed on them, and keep their batches small."""
-    if int(spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch").rstrip("b")) > ARROW_BATCH:
+    held = spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch").lower().rstrip("b")
+    if held.endswith(("m", "g")) or held.isdigit() and int(held) > ARROW_BATCH:
         spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", ARROW_BATCH)
     here = os.path.dirname(os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
     env = spark.sparkContext.environment
