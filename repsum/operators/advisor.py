@@ -154,3 +154,21 @@ def ablate(spark, toks: DataFrame, feature_sets: dict[str, list[str]], run, all_
         base = cost if name == all_features else base
         out.append({"features": name, "slowdown": cost / base, "templates_hit": hit})
     return out
+
+
+def sorted_copy(df: DataFrame, column: str, path: str) -> DataFrame:
+    """A copy in ranges of the column and sorted within them: min-max statistics then prune row groups, as an index would."""
+    df.repartitionByRange(column).sortWithinPartitions(column).write.mode("overwrite").parquet(path)
+    return df.sparkSession.read.parquet(path)
+
+
+def measure(spark: SparkSession, texts: list[str], tables: dict[str, DataFrame]) -> float:
+    """Seconds that a list of queries takes over the given tables, results discarded."""
+    import time
+
+    for name, df in tables.items():
+        df.createOrReplaceTempView(name)
+    t = time.perf_counter()
+    for sql in texts:
+        spark.sql(sql).write.format("noop").mode("overwrite").save()
+    return time.perf_counter() - t
