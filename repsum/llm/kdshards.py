@@ -10,8 +10,8 @@ fixed size that are refined around the crossing bin; nothing of the data is coll
 
 Groups above ``LARGE`` of a shard are placed before the tree is grown, largest first, each into the
 shard with most room: at most shards / LARGE of them exist, whatever the input. Only a group that
-exceeds the room of every shard is spread over several shards, by a hash of its ids, because
-equal loads are the law.
+exceeds the room of every shard is spread over several shards, by rank, because equal loads are
+the law.
 
 Edge cases: null text counts as empty (size 1); null source or language have coordinate zero;
 repeated rows are one group and keep a slot each; an empty table yields an empty result; other
@@ -159,7 +159,7 @@ def shard_documents(docs: DataFrame, shards: int = SHARDS, law: str = "bytes") -
     share = total / shards
     room = [share] * shards
     limit = LARGE * share
-    listed = groups.where(F.col("weight") > limit).select("text_hash", "size", "text_crc32", "weight").collect()  # at most shards / LARGE
+    listed = groups.where(F.col("weight") > limit).select("text_hash", "size", "text_crc32", "weight", "n").collect()  # at most shards / LARGE
     large = sorted((((r["text_hash"], r["size"], r["text_crc32"]), float(r["weight"])) for r in listed), key=lambda x: (-x[1], x[0]))
     whole, spread = place_large(large, room)
     small = grow_tree(groups.where(F.col("weight") <= limit), room, FINE * share)
@@ -174,6 +174,12 @@ def shard_documents(docs: DataFrame, shards: int = SHARDS, law: str = "bytes") -
     schema = "text_hash long, size long, text_crc32 long, shard int, low double, high double"
     fixed = spark.createDataFrame(ranges, schema)
     every = small.select("text_hash", "size", "text_crc32", "shard", F.lit(0.0).alias("low"), F.lit(1.0).alias("high")).unionByName(fixed)
-    place = (F.pmod(F.xxhash64("doc_id", F.lit(17)), F.lit(1 << 30)) / F.lit(float(1 << 30)))
-    put = rows.withColumn("at", place).join(every, ["text_hash", "size", "text_crc32"]).where("at >= low and at < high").select("doc_id", "size", "text_crc32", "shard")
+    key = ["text_hash", "size", "text_crc32"]
+    at = rows.withColumn("at", F.lit(0.5))
+    if spread:  # the rows of a spread group are dealt by their rank in it
+        count = {(r["text_hash"], r["size"], r["text_crc32"]): r["n"] for r in listed}
+        large_keys = F.broadcast(spark.createDataFrame([(*k, count[k]) for k in spread], "text_hash long, size long, text_crc32 long, n long"))  # fewer than shards
+        ranked = positions(rows.join(large_keys, key), key, ["doc_id"], "rank")
+        at = at.join(large_keys, key, "left_anti").unionByName(ranked.withColumn("at", (F.col("rank") + 0.5) / F.col("n")).drop("rank", "n"))
+    put = at.join(every, key).where("at >= low and at < high").select("doc_id", "size", "text_crc32", "shard")
     return positions(put, ["shard"], ["doc_id", "text_crc32", "size"], "slot")
