@@ -70,7 +70,7 @@ class PieceEncoder:
     ones are pre-tokenised and merged by the tokenizer; ids of a batch are then gathered at once.
     """
 
-    def __init__(self, path: str, end_id: int) -> None:
+    def __init__(self, path: str, end_id: int, remember: int = CACHE_PIECES) -> None:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
         from tokenizers.pre_tokenizers import ByteLevel
@@ -78,6 +78,7 @@ class PieceEncoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # a special token's name inside a text is ordinary text
         self.end_id = end_id
+        self.remember = remember
         self.fast = isinstance(self.tokenizer.pre_tokenizer, ByteLevel) and self.tokenizer.normalizer is None
         self.tokenize = self.tokenizer.model.tokenize
         self.pre_tokenize = self.tokenizer.pre_tokenizer.pre_tokenize_str if self.fast else None
@@ -100,11 +101,17 @@ class PieceEncoder:
         self._store([(self.end_id,)])  # piece 0 closes a document
 
     def forget(self) -> None:
-        """Keep the pieces that more than one batch has used, and nothing if those are too many."""
-        keep = [(p, i) for p, i in self.inner.items() if self.uses[i] > 1]
+        """Keep the pieces that most batches have used, a third of what may be remembered at most."""
+        names = list(self.inner)
+        at = np.fromiter(self.inner.values(), np.int64, len(names))
+        used = self.uses[at]
+        least = 2
+        while np.count_nonzero(used >= least) > self.remember // 3 and least < 255:
+            least += 1
+        keep = [(names[i], at[i]) for i in np.flatnonzero(used >= least).tolist()]
         pool, ends = self.pool, self.ends
         self.clear()
-        if len(keep) < CACHE_PIECES // 2:
+        if len(keep) <= self.remember // 3:
             self.inner = {p: n for n, (p, _) in enumerate(keep, self.count)}
             self._store([pool[ends[i] : ends[i + 1]].tolist() for _, i in keep])
             self.uses[1 : self.count] = 1
@@ -180,7 +187,7 @@ class PieceEncoder:
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts, the end id after each; number of ids of each text)."""
-        if len(self.inner) + len(self.first) + len(self.token) > CACHE_PIECES:
+        if len(self.inner) + len(self.first) + len(self.token) > self.remember:
             self.forget()
         lists = pc.split_pattern(texts, " ")
         coded = lists.flatten().dictionary_encode()
@@ -248,7 +255,7 @@ def unpack_blocks(sizes: list[int], ends: list[int], payload: bytes, layout: str
     return np.concatenate(out) if out else np.empty(0, np.uint32)
 
 
-def write_shelves(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, layout: str = "byte", block: int = BLOCK_IDS, shelf: int = SHELF_IDS, level: int = 1, id_col: str = "doc_id", text_col: str = "text") -> None:
+def write_shelves(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, layout: str = "byte", block: int = BLOCK_IDS, shelf: int = SHELF_IDS, level: int = 1, remember: int = CACHE_PIECES, id_col: str = "doc_id", text_col: str = "text") -> None:
     """Encode whole texts in ascending doc_id order and write them in the plane format below ``path``.
 
     Texts are dealt by range before they are encoded: the one shuffle moves texts, and what the
@@ -259,7 +266,7 @@ def write_shelves(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, l
     types = [pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.int64()), pa.binary()]
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = _encoder(tokenizer, end_id)
+        encoder = _encoder(tokenizer, end_id, remember)
         part, number, start, total = TaskContext.get().partitionId(), 0, 0, 0
         ids: list[np.ndarray] = []
         docs: list[list] = []
@@ -289,15 +296,15 @@ def write_shelves(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, l
     ordered.mapInArrow(run, SHELF).write.option("compression", "uncompressed").parquet(path)
 
 
-_ENCODERS: dict[tuple[str, int], PieceEncoder] = {}
+_ENCODERS: dict[tuple[str, int, int], PieceEncoder] = {}
 
 
-def _encoder(path: str, end_id: int) -> PieceEncoder:
+def _encoder(path: str, end_id: int, remember: int) -> PieceEncoder:
     """One encoder per worker process; its memory of pieces serves later tasks too."""
-    if (path, end_id) not in _ENCODERS:
+    if (path, end_id, remember) not in _ENCODERS:
         _ENCODERS.clear()
-        _ENCODERS[path, end_id] = PieceEncoder(path, end_id)
-    return _ENCODERS[path, end_id]
+        _ENCODERS[path, end_id, remember] = PieceEncoder(path, end_id, remember)
+    return _ENCODERS[path, end_id, remember]
 
 
 def open_shelves(spark, path: str) -> DataFrame:
@@ -337,11 +344,14 @@ def part_offsets(shelves: DataFrame) -> DataFrame:
     return totals.select("part", F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("offset"))
 
 
-def tokenise(docs: DataFrame, tokenizer: str, path: str | None = None, end_id: int = 0, layout: str = "byte") -> DataFrame:
-    """Encode, write, read back: (doc_id, start, n_tokens, ids_crc32) of each document."""
+def tokenise(docs: DataFrame, tokenizer: str, path: str | None = None, end_id: int = 0, layout: str = "byte", remember: int = CACHE_PIECES) -> DataFrame:
+    """Encode, write, read back: (doc_id, start, n_tokens, ids_crc32) of each document.
+
+    ``remember`` pieces are held by each worker, some 250 bytes each; fewer cost time, not results.
+    """
     spark = docs.sparkSession
     path = path or new_path(spark, "token-planes")
-    write_shelves(docs, path, tokenizer, end_id, layout)
+    write_shelves(docs, path, tokenizer, end_id, layout, remember=remember)
     shelves = open_shelves(spark, path)
     offsets = part_offsets(shelves)  # bounded by the number of written partitions, whatever the rows
     return read_documents(shelves).join(F.broadcast(offsets), "part").select("doc_id", (F.col("offset") + F.col("start_in_part")).alias("start"), "n_tokens", "ids_crc32")
