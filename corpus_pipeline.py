@@ -21,6 +21,8 @@ from repsum.plans.scratch import materialise, ship_package
 
 #: A prediction below this score is no recognised language.
 LEAST_SCORE = 0.5
+#: Pieces that a worker remembers: fewer than alone, since executors still hold what earlier stages used.
+REMEMBER = 300_000
 
 
 def stage_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -47,7 +49,7 @@ def stage_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def stage_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship_package(spark)
-    return token_planes.tokenise(docs, TOKENIZER)
+    return token_planes.tokenise(docs, TOKENIZER, remember=REMEMBER)
 
 
 STAGES = [
