@@ -5,7 +5,12 @@ Codebooks start as residual k-means on a bounded sample and are then refitted to
 squares on the codes that a beam search gives. Every vector is encoded by beam search and its
 norm is stored. A query's inner products with all codewords form lookup tables; a code's score
 is the sum of its entries, corrected by the stored norm. The best of these are ranked again by
-exact products with the original vectors.
+exact products with the original vectors; the worst score among them is a floor.
+
+No row is lost to the codes: with u the direction of a row's decoded vector, the row is its part
+along u plus a rest across it, and the rest adds at most its length times the length of the
+query across u to the product. Every row whose bound reaches the floor is ranked exactly too, so
+the result is that of brute force however coarse the codes are; coarse codes only cost time.
 
 Queries come in blocks of bounded size against all rows of the index; each task keeps its
 own exact best, and the tasks' lists meet once per query.
@@ -31,7 +36,10 @@ WORDS = 256
 BEAM = 4
 #: Rows that codebooks are fitted on, by smallest hash of the id; every row is indexed.
 TRAIN_ROWS = 8192
+#: Rows whose exact products set the floor.
 SHORTLIST = 400
+#: Share of the codewords' lengths below which a decoded vector has no direction, and slack of the bounds.
+LEAST, SLACK = 1e-6, 1e-7
 QUERY_BLOCK = 4096
 #: Rows of the index that one task scans.
 TASK_ROWS = 1 << 16
@@ -151,24 +159,36 @@ def _best(scores: np.ndarray, ids: np.ndarray, want: int) -> np.ndarray:
 
 def search_block(index: DataFrame, books: np.ndarray, query_ids: np.ndarray, queries: np.ndarray, want: int, shortlist: int = SHORTLIST) -> DataFrame:
     """(query_id, vec_id, score): each query's best of all rows of the index, not itself."""
-    shared = index.sparkSession.sparkContext.broadcast((books.astype(np.float32), query_ids, queries))
+    shared = index.sparkSession.sparkContext.broadcast((books, query_ids, queries))
 
     def scan(ids: np.ndarray, x: np.ndarray, codes: np.ndarray, norm: np.ndarray) -> Iterator[tuple]:
         own, qids, qs = shared.value
         order = np.argsort(ids, kind="stable")
         ids, x, codes, norm = ids[order], x[order], codes[order], norm[order]
-        made = decode(codes, own.astype(np.float64))
-        scale = (norm / np.maximum(np.sqrt((made**2).sum(1)), 1e-12)).astype(np.float32)
+        made = decode(codes, own)
+        length = np.sqrt((made**2).sum(1))
+        size = np.maximum(length, 1e-300)
+        reach = np.sqrt((own**2).sum(2)).max(1).sum()
+        clear = length > LEAST * reach
+        along = np.where(clear, (x * made).sum(1) / size, 0.0)
+        across = np.where(clear, np.sqrt(((x - (along / size)[:, None] * made) ** 2).sum(1)), norm)
         for begin in range(0, len(qids), 64):
             q = qs[begin : begin + 64]
-            tables = np.einsum("mkd,qd->mkq", own, q.astype(np.float32))
-            scores = np.zeros((len(ids), len(q)), np.float32)
+            tables = np.einsum("mkd,qd->mkq", own, q)
+            cosine = np.zeros((len(ids), len(q)))
             for i in range(len(own)):
-                scores += tables[i][codes[:, i]]
-            scores *= scale[:, None]
+                cosine += tables[i][codes[:, i]]
+            cosine /= size[:, None]
             for j, qid in enumerate(qids[begin : begin + 64].tolist()):
-                short = np.sort(_best(scores[:, j], ids, shortlist + 1))
-                short = short[ids[short] != qid]
+                other, near, far = ids != qid, cosine[:, j], np.sqrt((q[j] ** 2).sum())
+                short = np.sort(_best(np.where(other, near * norm, -np.inf), ids, shortlist))
+                short = short[other[short]]
+                if len(short) >= want:
+                    floor = np.partition((x[short] * q[j]).sum(axis=1), len(short) - want)[len(short) - want]
+                    aside = np.where(clear, np.sqrt(np.maximum(far**2 - near**2, 0.0) + SLACK * far**2), far)
+                    short = np.flatnonzero(other & (along * near + across * aside + SLACK * norm * far >= floor))
+                else:
+                    short = np.flatnonzero(other)
                 exact = (x[short] * q[j]).sum(axis=1)
                 top = short[_best(exact, ids[short], want)]
                 yield qid, ids[top], (x[top] * q[j]).sum(axis=1)

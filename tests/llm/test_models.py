@@ -79,6 +79,20 @@ def test_search_recall_and_rules(spark):
     assert hits / (20 * len(want)) >= 0.95
 
 
+def test_coarse_codes_lose_no_row(spark):
+    """One task scans many more rows than the shortlist holds, and its codes tell little."""
+    x = np.random.default_rng(8).normal(size=(8000, 24))
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    index, books = additive.build_index(additive.usable(df), 2, 16, 500)
+    asked = np.arange(0, 400, 20)
+    got = {}
+    for r in additive.search_block(index.coalesce(1), books, asked, x[asked], 20).orderBy("query_id", "rank").collect():
+        got.setdefault(r.query_id, []).append(r.vec_id)
+    exact = (x @ x[asked].T).T
+    exact[np.arange(len(asked)), asked] = -np.inf
+    assert got == {q: np.argsort(-s)[:20].tolist() for q, s in zip(asked.tolist(), exact)}
+
+
 def test_search_of_few_and_none(spark):
     df = spark.createDataFrame([(0, [1.0, 0.0]), (1, [0.5, 0.5]), (2, [1.0, 0.0])], "vec_id long, embedding array<float>")
     assert [(r.query_id, r["rank"], r.vec_id) for r in additive.search(df, lambda v: v % 20 == 0).orderBy("rank").collect()] == [(0, 1, 2), (0, 2, 1)]
