@@ -1,12 +1,14 @@
 """License scans by conditional compression.
 
 Wherever a text has a cue (the word license, a copyright sign, ...) the lines around it form a
-candidate block. The block is compressed once plainly and once with each license template as a
-raw zstandard dictionary; the more of a template's wording a block repeats, the more bytes the
-dictionary saves. Templates are ranked by the saving, and those that save anything are confirmed by exact
-wording differences: the template's words are aligned with the block's, and the license holds if
-no more than ``TOLERANCE`` of its words are missing or interrupted by others. Its character span
-in the text is that of the aligned words.
+candidate block. A block is compressed in overlapping windows of bounded size, once plainly and
+once with each license template as a raw zstandard dictionary; the more of a template's wording
+a window repeats, the more bytes the dictionary saves. Every place of a block where a template's
+words stand with no more than ``TOLERANCE`` of them missing or interrupted by others is a
+candidate, whatever it saves. Words belong to one match only: fewer wording differences come
+first, then more bytes saved; what remains open is searched again until no template holds. The
+character span of a match is that of the aligned words, its saving the best among the windows
+that it touches (it may be zero or less).
 
 Edge cases: null and empty texts have no block; a text of any length is scanned whole, block by
 block; templates that save equally rank by name; repeated rows are scanned alike; other columns
@@ -16,7 +18,7 @@ of the input are kept, those with this operator's names are overwritten.
 from __future__ import annotations
 
 import re
-from difflib import SequenceMatcher
+from bisect import bisect_left
 
 import zstandard
 from pyspark.sql import DataFrame, functions as F, types as T
@@ -28,6 +30,8 @@ LEVEL = 3
 TOLERANCE = 0.1
 #: Characters before and after a cue that belong to its block, cut at the paragraph.
 BEFORE, AFTER = 300, 1200
+#: Characters that are compressed at once, and how many of them the next window repeats.
+WINDOW, OVERLAP = 1500, 400
 
 #: Wordings of public licenses, by SPDX identifier.
 TEMPLATES: tuple[tuple[str, str], ...] = (
@@ -97,6 +101,11 @@ def blocks_of(text: str) -> list[tuple[int, int]]:
     return spans
 
 
+def windows_of(a: int, b: int) -> list[tuple[int, int]]:
+    """Overlapping spans of at most ``WINDOW`` characters that cover a block."""
+    return [(x, min(b, x + WINDOW)) for x in range(a, max(a + 1, b - OVERLAP), WINDOW - OVERLAP)]
+
+
 class Templates:
     def __init__(self, templates=TEMPLATES) -> None:
         self.names = [n for n, _ in templates]
@@ -104,67 +113,108 @@ class Templates:
         raw = zstandard.DICT_TYPE_RAWCONTENT
         self.conditional = [zstandard.ZstdCompressor(level=LEVEL, dict_data=zstandard.ZstdCompressionDict(t.encode(), dict_type=raw)) for _, t in templates]
         self.plain = zstandard.ZstdCompressor(level=LEVEL)
+        # differences within the tolerance leave one of so many pieces of a template whole
+        self.allowed = [int(TOLERANCE * len(w)) for w in self.words]
+        self.pieces = [[(k * len(w) // (n + 1), " ".join(["", *w[k * len(w) // (n + 1) : (k + 1) * len(w) // (n + 1)], ""])) for k in range(n + 1)] for w, n in zip(self.words, self.allowed)]
+
+    def savings(self, window: bytes) -> list[int]:
+        """Bytes that each template saves."""
+        alone = len(self.plain.compress(window))
+        return [alone - len(c.compress(window)) for c in self.conditional]
 
-    def savings(self, block: bytes) -> list[tuple[int, int]]:
-        """(bytes saved, template), best first."""
-        alone = len(self.plain.compress(block))
-        return sorted(((alone - len(c.compress(block)), i) for i, c in enumerate(self.conditional)), key=lambda x: (-x[0], self.names[x[1]], x[1]))
+    def align(self, i: int, words: list[str]) -> tuple[int, int, int, int] | None:
+        """(missing, extra, first word, word after the last) of the template's closest place, None beyond the tolerance.
 
-    def differences(self, i: int, block_words: list[str]) -> tuple[int, int, int, int] | None:
-        """(missing, extra, first word, word after the last) of the best alignment, None if nothing aligns."""
-        want = self.words[i]
-        pieces = [p for p in SequenceMatcher(None, block_words, want, autojunk=False).get_matching_blocks() if p.size]
-        if not pieces:
+        Words are matched in order; what lies before the first and after the last matched word is free.
+        """
+        want, allowed = self.words[i], self.allowed[i]
+        # best[j]: (differences, -first word, extra, last) with the first j words of the template dealt with
+        best: list[tuple[int, int, int, int] | None] = [None] * (len(want) + 1)
+        found = None
+        for at, word in enumerate(words):
+            before = best
+            best = [None] * (len(want) + 1)
+            for j, wanted in enumerate(want):
+                options = []
+                if word == wanted:
+                    if j <= allowed:
+                        options.append((j, -at, 0))
+                    if before[j] is not None:
+                        options.append(before[j])
+                if options:
+                    match = min(options)
+                    rest = len(want) - j - 1
+                    if match[0] + rest <= allowed:
+                        end = (match[0] + rest, match[1], match[2], at + 1)
+                        found = end if found is None or end < found else found
+                else:
+                    match = None
+                moves = [m for m in (match, best[j] and (best[j][0] + 1, *best[j][1:]), before[j + 1] and (before[j + 1][0] + 1, before[j + 1][1], before[j + 1][2] + 1)) if m and m[0] <= allowed]
+                best[j + 1] = min(moves) if moves else None
+        if found is None:
             return None
-        matched = sum(p.size for p in pieces)
-        first, last = pieces[0].a, pieces[-1].a + pieces[-1].size
-        return len(want) - matched, last - first - matched, first, last
+        return found[0] - found[2], found[2], -found[1], found[3]
+
+    def places(self, i: int, words: list[str], joined: str, starts: list[int]) -> list[tuple[int, int, int, int]]:
+        """(missing, extra, first word, word after the last) wherever the template stands within the tolerance."""
+        want, allowed, begins, found = self.words[i], self.allowed[i], set(), set()
+        for offset, piece in self.pieces[i]:
+            p = joined.find(piece)
+            while p >= 0:
+                begins.add(bisect_left(starts, p + 1) - offset)
+                p = joined.find(piece, p + 1)
+        for p in sorted(begins):
+            if p >= 0 and words[p : p + len(want)] == want:
+                found.add((0, 0, p, p + len(want)))
+            elif allowed:
+                x = max(0, p - allowed)
+                got = self.align(i, words[x : p + len(want) + allowed])
+                if got:
+                    found.add((got[0], got[1], x + got[2], x + got[3]))
+        return sorted(found)
 
     def scan(self, text: str | None) -> dict:
-        found, spans, best = [], blocks_of(text or ""), 0.0
+        text = text or ""
+        found, spans, best = [], blocks_of(text), 0.0
         for a, b in spans:
-            block = text[a:b]
-            at = [m.span() for m in _WORD.finditer(block)]
-            words = [block[x:y].lower() for x, y in at]
-            raw = block.encode("utf-8", "surrogatepass")
-            ranked = self.savings(raw)
-            best = max(best, ranked[0][0] / max(1, len(raw)))
-            # a block may hold several licenses: words that a confirmed one has used are taken out
-            open_words = list(words)
-            for saved, i in ranked:
-                if saved <= 0:
-                    break
-                got = self.differences_near(i, open_words)
-                if got is None:
-                    continue
-                missing, extra, x, y = got
-                found.append({"license": self.names[i], "begin": a + at[x][0], "end": a + at[y - 1][1], "saved": saved, "missing": missing, "extra": extra})
-                open_words[x:y] = [""] * (y - x)
+            saved = []
+            for x, y in windows_of(a, b):
+                raw = text[x:y].encode("utf-8", "surrogatepass")
+                saved.append((x, y, self.savings(raw)))
+                best = max(best, max(saved[-1][2]) / max(1, len(raw)))
+            at = [(a + m.start(), a + m.end()) for m in _WORD.finditer(text[a:b])]
+            open_words = [text[x:y].lower() for x, y in at]
+            # a word that a match has used is taken out, the others are searched again
+            hoped = range(len(self.words))
+            while hoped:
+                joined = " ".join(["", *open_words, ""])
+                starts, p = [], 1
+                for w in open_words:
+                    starts.append(p)
+                    p += len(w) + 1
+                held = {i: got for i in hoped if (got := self.places(i, open_words, joined, starts))}
+                ranked = []
+                for i, got in held.items():
+                    for missing, extra, x, y in got:
+                        begin, end = at[x][0], at[y - 1][1]
+                        worth = max(s[i] for p, q, s in self.touched(saved, begin, end, a))
+                        ranked.append((missing + extra, -worth, self.names[i], i, x, y, missing, extra))
+                taken = bytearray(len(open_words))
+                for _, worth, name, _i, x, y, missing, extra in sorted(ranked):
+                    if not any(taken[x:y]):
+                        taken[x:y] = b"\1" * (y - x)
+                        found.append({"license": name, "begin": at[x][0], "end": at[y - 1][1], "saved": -worth, "missing": missing, "extra": extra})
+                        open_words[x:y] = [""] * (y - x)
+                hoped = list(held)
         found.sort(key=lambda m: (m["begin"], m["license"]))
         return {"n_blocks": len(spans), "matches": found, "best_saving": float(best)}
 
-    def differences_near(self, i: int, block_words: list[str]) -> tuple[int, int, int, int] | None:
-        """The first place where the template stands within the tolerance.
-
-        Words of the template that are rare in the block open the search, so that only a
-        template's length of words is aligned at a time.
-        """
-        want, n = self.words[i], len(self.words[i])
-        allowed = int(TOLERANCE * n)
-        places = sorted({p - want.index(w) for w in set(want) for p, v in enumerate(block_words) if v == w}) if n <= 12 else None
-        if places is None:
-            got = self.differences(i, block_words)
-            return got if got and got[0] + got[1] <= allowed else None
-        for p in places:
-            x = max(0, p)
-            if p >= 0 and block_words[x : x + n] == want:
-                return 0, 0, x, x + n
-        for p in places if allowed else ():
-            x = max(0, p - allowed)
-            got = self.differences(i, block_words[x : x + n + 2 * allowed])
-            if got and got[0] + got[1] <= allowed:
-                return got[0], got[1], x + got[2], x + got[3]
-        return None
+    @staticmethod
+    def touched(saved: list, begin: int, end: int, a: int) -> list:
+        """The windows that overlap a span of the block that begins at ``a``."""
+        step = WINDOW - OVERLAP
+        first = max(0, (begin - a - WINDOW) // step)
+        return [s for s in saved[first : (end - a) // step + 1] if s[0] < end and s[1] > begin] or saved[-1:]
 
 
 def scan_licenses(docs: DataFrame, templates=TEMPLATES, text_col: str = "text") -> DataFrame:

@@ -1,3 +1,4 @@
+import random
 import re
 
 import pytest
@@ -72,3 +73,16 @@ def test_licenses(documents, odd, empty):
     assert got[4].n_blocks > 0
     assert licenses.digest(licenses.scan_licenses(odd)).where("n_matches > 0").count() == 0
     assert licenses.digest(licenses.scan_licenses(empty)).count() == 0
+
+
+@pytest.mark.parametrize("name, words", licenses.TEMPLATES)
+def test_license_in_a_large_block_is_found(name, words):
+    """Cues without a blank line between them make one block, in which a short statement saves nothing."""
+    rng = random.Random(5)
+    known = ["".join(rng.choice("abcdefghijklmnopqrst") for _ in range(rng.randint(2, 9))) for _ in range(400)]
+    prose = [" ".join(rng.choices(known, k=140)) for _ in range(80)]
+    text = "\nlicense ".join([*prose[:40], words, *prose[40:]])
+    got = licenses.Templates().scan(text)
+    assert got["n_blocks"] == 1 and [m["license"] for m in got["matches"]] == [name]
+    m = got["matches"][0]
+    assert text[m["begin"] : m["end"]] == words.rstrip(".") and (m["missing"], m["extra"]) == (0, 0)
