@@ -86,3 +86,16 @@ def test_license_in_a_large_block_is_found(name, words):
     assert got["n_blocks"] == 1 and [m["license"] for m in got["matches"]] == [name]
     m = got["matches"][0]
     assert text[m["begin"] : m["end"]] == words.rstrip(".") and (m["missing"], m["extra"]) == (0, 0)
+
+
+def test_every_occurrence_of_a_license_counts(documents):
+    apache, gpl = licenses.TEMPLATES[4][1], licenses.TEMPLATES[12][1]
+    near = licenses.TEMPLATES[3][1].replace("software and associated", "software and all associated")
+    rows = [(1, f"{apache}\n" * 2), (2, f"{apache} {gpl} " * 3), (3, f"{near}\n{near}\n{licenses.TEMPLATES[3][1]}")]
+    scanned = licenses.scan_licenses(documents(rows))
+    got = {r.doc_id: r for r in scanned.collect()}
+    assert {d: [m.license for m in r.matches] for d, r in got.items()} == {1: ["Apache-2.0"] * 2, 2: ["Apache-2.0", "GPL-2.0"] * 3, 3: ["MIT"] * 3}
+    assert [m.extra for m in got[3].matches] == [1, 1, 0]
+    for r in got.values():
+        assert all(a.end <= b.begin for a, b in zip(r.matches, r.matches[1:]))
+    assert {r.doc_id: r.n_matches for r in licenses.digest(scanned).collect()} == {1: 2, 2: 6, 3: 3}
