@@ -56,6 +56,14 @@ def max_cover(vectors: DataFrame, size: int, k: int) -> list[int]:
     return compress(vectors, np.full(size, 1.0), k, "limit").ids()
 
 
+def distances_to(points: DataFrame, chosen: DataFrame, kind: str = "numeric") -> DataFrame:
+    """(qid, other, dist): every entry against each of a few chosen ones, itself included; k rows an entry, nothing shuffled."""
+    columns = [c for c in ("num", "toks") if c in chosen.columns]
+    few = F.broadcast(chosen.select(F.col("qid").alias("other"), *(F.col(c).alias(f"o_{c}") for c in columns)))
+    pair = {"numeric": lambda: euclid(F.col("num"), F.col("o_num")), "categorical": lambda: jaccard(F.col("toks"), F.col("o_toks")), "mixed": lambda: mixed(F.col("num"), F.col("o_num"), F.col("toks"), F.col("o_toks"))}
+    return points.crossJoin(few).select("qid", "other", pair[kind]().alias("dist"))
+
+
 def medoid_assign(points: DataFrame, medoids: DataFrame, kind: str = "numeric") -> DataFrame:
     """(qid, medoid, dist): nearest medoid of every entry, ties to the smaller id.
 

@@ -515,8 +515,29 @@ def medoid_update_1(spark, sf_dir):
     return baselines.medoid_update(p, baselines.medoid_assign(p, p.where("qid < 8")))
 
 
+def _chosen(points: DataFrame, k: int = 8) -> DataFrame:
+    return points.join(F.broadcast(baselines.random_sample(points, k)), "qid", "left_semi")
+
+
+@query
+def euclid_to_chosen(spark, sf_dir):
+    """Every vector of the table against eight entries by seeded hash."""
+    p = logs.embeddings_log(spark, sf_dir).select("qid", "num")
+    return _rounded(baselines.distances_to(p, _chosen(p)), "dist")
+
+
+@query
+def jaccard_to_chosen(spark, sf_dir):
+    """Every entry of the orders log against eight entries by seeded hash; entries without tokens are empty sets."""
+    log = logs.orders_log(spark, sf_dir)
+    sets = features.tokens(log).groupBy("qid").agg(F.collect_set(F.concat_ws("=", "feature", "token")).alias("toks"))
+    p = materialise(log.entries.select("qid").join(sets, "qid", "left").select("qid", F.coalesce("toks", F.array().cast("array<string>")).alias("toks")), "sets")
+    return _rounded(baselines.distances_to(p, _chosen(p), "categorical"), "dist")
+
+
 @query
 def euclid_pairs(spark, sf_dir):
+    """Pairs of the entries under 60 only, as the SQL has it; ``euclid_to_chosen`` takes the whole table."""
     p = logs.embeddings_log(spark, sf_dir).where("qid < 60").select("qid", "num")
     other = p.select(F.col("qid").alias("b"), F.col("num").alias("other"))
     return p.join(other, F.col("qid") < F.col("b")).select(F.col("qid").alias("a"), "b", F.round(euclid(F.col("num"), F.col("other")), 6).alias("dist"))
@@ -524,6 +545,7 @@ def euclid_pairs(spark, sf_dir):
 
 @query
 def jaccard_pairs(spark, sf_dir):
+    """Pairs of the entries under 60 only, as the SQL has it; ``jaccard_to_chosen`` takes the whole log."""
     toks = features.tokens(logs.orders_log(spark, sf_dir)).where("qid < 60")
     sets = toks.groupBy("qid").agg(F.collect_set(F.concat_ws("=", "feature", "token")).alias("t"))
     other = sets.select(F.col("qid").alias("b"), F.col("t").alias("o"))

@@ -5,6 +5,7 @@ from pyspark.sql import functions as F
 from repsum.functions import numeric, sqltext
 from repsum.functions.distance import pairwise
 from repsum.operators import advisor, baselines, features
+from repsum.plans.catalog import QUERIES
 from repsum.sources import templates
 from repsum.sources.logs import events_log, orders_log
 from repsum.sources.tables import read_log
@@ -118,6 +119,23 @@ def test_distances():
     assert d[0, 1] == pytest.approx((np.sqrt(12.5) + 2 / 3) / 2)
 
 
+def test_distances_cover_the_whole_tables(spark):
+    for name, table in (("euclid_to_chosen", "embeddings"), ("jaccard_to_chosen", "orders")):
+        got = QUERIES[name](spark, SF).collect()
+        n = spark.read.parquet(f"{SF}/{table}.parquet").count()
+        assert n > 60 and len(got) == 8 * n and len({(r.qid, r.other) for r in got}) == 8 * n
+        assert len({r.qid for r in got}) == n and all(r.dist == 0 for r in got if r.qid == r.other)
+        if table == "embeddings":
+            v = {r.vec_id: np.array(r.embedding, float) for r in spark.read.parquet(f"{SF}/{table}.parquet").collect()}
+            want = lambda a, b: np.sqrt(((v[a] - v[b]) ** 2).mean())
+        else:
+            bags = {}
+            for r in features.tokens(orders_log(spark, SF)).collect():
+                bags.setdefault(r.qid, set()).add((r.feature, r.token))
+            want = lambda a, b: 1 - len(bags[a] & bags[b]) / len(bags[a] | bags[b])
+        assert all(r.dist == pytest.approx(want(r.qid, r.other), abs=2e-6) for r in got)
+
+
 def test_sampling(spark):
     e = spark.range(200).withColumnRenamed("id", "qid").withColumn("cost", F.lit(3))
     a, b = (baselines.random_sample(x, 20) for x in (e, e.repartition(7)))
