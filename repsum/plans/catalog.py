@@ -578,7 +578,11 @@ for _name, _linkage in (("agglomerative_small", "average"), ("divisive_small", "
 
 @query
 def compare_methods(spark, sf_dir):
-    """Scores of every method at the same size, over the skewed orders log."""
+    """Scores of the methods at the same size, over the skewed orders log.
+
+    Hierarchical clustering is quadratic and gets 300 entries of it, as its rows' names say;
+    ``compare_methods_shared`` has every method on one log that all of them take whole.
+    """
     log = logs.skewed_log(logs.orders_log(spark, sf_dir))
     p = prepare(log)
     k = 40
@@ -592,7 +596,35 @@ def compare_methods(spark, sf_dir):
     sample = baselines.random_sample(log.entries, 300)
     points = baselines.dense_points(log.entries.join(F.broadcast(sample), "qid", "left_semi"), log.numeric, p.of(sample))
     for kind in ("numeric", "mixed"):
+        ids[f"hierarchical_{kind}_of_300"] = baselines.hierarchical(points, k, "average", kind)
+    return _method_scores(p, ids)
+
+
+@query
+def compare_methods_shared(spark, sf_dir):
+    """Scores of every method at the same size, each over the whole of one skewed log of rendered SQL.
+
+    The log has all templates and, whatever the tables' size, few enough entries for the quadratic methods.
+    """
+    sql = templates.sql_log(spark, templates.REPORTS + templates.STARS, 20)
+    log = logs.skewed_log(features.Log(sql.select("qid", *templates.STATISTICS), sql_tokens(sql), templates.STATISTICS))
+    p = prepare(log)
+    k = 40
+    ids = {
+        "greedy": greedy.compress(p.vectors, p.d, k).ids(),
+        "greedy_limit": greedy.compress(p.vectors, p.d, k, "limit").ids(),
+        "max_cover": greedy.compress(p.vectors, np.ones(len(p.d)), k, "limit").ids(),
+        "random": [r["qid"] for r in baselines.random_sample(log.entries, k).collect()],
+        "frequent": [r["qid"] for r in baselines.top_frequency(p.vectors, k).collect()],
+    }
+    points = materialise(baselines.dense_points(log.entries, log.numeric, p.tokens), "points")
+    for kind in ("numeric", "mixed"):
+        ids[f"k_medoids_{kind}"] = baselines.k_medoids(points, k, kind, init="random")[0]
         ids[f"hierarchical_{kind}"] = baselines.hierarchical(points, k, "average", kind)
+    return _method_scores(p, ids)
+
+
+def _method_scores(p: Prepared, ids: dict[str, list[int]]) -> DataFrame:
     out = None
     for name, some in ids.items():
         row = metrics.scores(metrics.compare(p.of(some), p.tokens)).select(F.lit(name).alias("method"), *(F.round(c, 6).alias(c) for c in ("alpha_min", "alpha_avg", "rho_l1", "rho_linf")))

@@ -7,7 +7,7 @@ from repsum.functions.distance import pairwise
 from repsum.operators import advisor, baselines, features
 from repsum.plans.catalog import QUERIES
 from repsum.sources import templates
-from repsum.sources.logs import events_log, orders_log
+from repsum.sources.logs import events_log, orders_log, skewed_log
 from repsum.sources.tables import read_log
 
 SF = "/root/testdata/sf0.001"
@@ -136,6 +136,23 @@ def test_distances_cover_the_whole_tables(spark):
         assert all(r.dist == pytest.approx(want(r.qid, r.other), abs=2e-6) for r in got)
 
 
+def test_methods_are_compared_over_one_whole_log(spark, monkeypatch):
+    seen = []
+
+    def clusters(points, k, *_):
+        ids = [r.qid for r in points.select("qid").orderBy("qid").collect()]
+        seen.append(ids)
+        return ids[:k]
+
+    monkeypatch.setattr(baselines, "hierarchical", clusters)
+    monkeypatch.setattr(baselines, "k_medoids", lambda points, k, *a, **b: (clusters(points, k), 0.0))
+    methods = {r.method for r in QUERIES["compare_methods_shared"](spark, SF).collect()}
+    assert {f"{m}_{kind}" for m in ("k_medoids", "hierarchical") for kind in ("numeric", "mixed")} <= methods and len(methods) == 9
+    sql = templates.sql_log(spark, templates.REPORTS + templates.STARS, 20)
+    whole = [r.qid for r in skewed_log(features.Log(sql.select("qid"), sql.select("qid"), [])).entries.orderBy("qid").collect()]
+    assert 700 < len(whole) <= baselines.MAX_PAIRWISE and seen == [whole] * 4
+
+
 def test_sampling(spark):
     e = spark.range(200).withColumnRenamed("id", "qid").withColumn("cost", F.lit(3))
     a, b = (baselines.random_sample(x, 20) for x in (e, e.repartition(7)))
