@@ -1,6 +1,6 @@
 """A corpus pipeline of five operators, each stage written as Parquet and read by the next.
 
-language        rejects texts without a letter and those whose language is not recognised
+language        rejects texts without a letter, to which no language can be given
 near_duplicates keeps one document of each group of SimHash links
 decontaminate   drops documents that hold a benchmark passage
 mix             repeats or omits documents so that sources meet their target weights
@@ -19,8 +19,6 @@ from repsum.llm import decontaminate, language, mixing, pivots, token_planes
 from repsum.llm.queries import TOKENIZER
 from repsum.plans.scratch import materialise, ship_package
 
-#: A prediction below this score is no recognised language.
-LEAST_SCORE = 0.5
 #: Pieces that a worker remembers: fewer than alone, since executors still hold what earlier stages used.
 REMEMBER = 300_000
 
@@ -29,7 +27,7 @@ def stage_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     ship_package(spark)
     model = language.fit(docs.where(~language.held_out()))
     named = language.predict(docs, model)
-    return named.where((F.col("lang_pred") != language.NONE) & (F.col("score") >= LEAST_SCORE)).select(docs.columns)
+    return named.where(F.col("lang_pred") != language.NONE).select(docs.columns)
 
 
 def stage_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

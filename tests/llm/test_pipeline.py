@@ -46,3 +46,14 @@ def test_stages_take_odd_and_empty_tables(spark, odd, empty, tmp_path):
         for name, stage in corpus_pipeline.STAGES:
             docs = corpus_pipeline.materialise(stage(spark, docs, SF), f"odd-{name}")
             docs.count()
+
+
+def test_language_stage_keeps_short_texts(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").cache()
+    words = [r.text.split()[len(r.text.split()) // 2] for r in docs.orderBy("doc_id").collect() if r.text and r.text.strip()]
+    rows = [(10_000_000 + i, w, None, "short", len(w)) for i, w in enumerate(words)] + [(20_000_000, "12 !", None, "short", 4)]
+    both = docs.unionByName(spark.createDataFrame(rows, docs.select("doc_id", "text", "lang", "source", "n_chars").schema), allowMissingColumns=True)
+    kept = {r.doc_id for r in corpus_pipeline.stage_language(spark, both, SF).select("doc_id").collect()}
+    short = {i for i, w, *_ in rows if any(c.isalpha() for c in w)}
+    print(f"short texts: {len(short)}, kept: {len(short & kept)}")
+    assert short <= kept and 20_000_000 not in kept
