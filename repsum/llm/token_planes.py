@@ -11,7 +11,8 @@ output is never half visible.
 
 Edge cases: a null text counts as empty and yields the end id alone; an empty table yields
 no shelf; rows that share a doc_id are kept, in order of their text's hash; a null doc_id
-sorts first; a text of any length lies in one shelf, cut into as many blocks as it needs;
+sorts first; a text of any length lies in one shelf, cut into as many blocks as it needs; an
+added token of the tokenizer inside a text is encoded as the library encodes it, as that token;
 other columns of the input are ignored.
 """
 
@@ -64,7 +65,7 @@ SHELF = T.StructType(
 
 
 class PieceEncoder:
-    """Whole-text encoding that asks the tokenizer's model once per distinct pre-token.
+    """Whole-text encoding, equal to the library's, that asks its model once per distinct pre-token.
 
     Texts are cut at single spaces, the distinct pieces of a batch are looked up, and unknown
     ones are pre-tokenised and merged by the tokenizer; ids of a batch are then gathered at once.
@@ -76,10 +77,11 @@ class PieceEncoder:
         from tokenizers.pre_tokenizers import ByteLevel
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True  # a special token's name inside a text is ordinary text
+        self.added = sorted({t.content for t in self.tokenizer.get_added_tokens_decoder().values()})
         self.end_id = end_id
         self.remember = remember
-        self.fast = isinstance(self.tokenizer.pre_tokenizer, ByteLevel) and self.tokenizer.normalizer is None
+        before = self.tokenizer.pre_tokenizer
+        self.fast = isinstance(before, ByteLevel) and before.use_regex and not before.add_prefix_space and self.tokenizer.normalizer is None
         self.tokenize = self.tokenizer.model.tokenize
         self.pre_tokenize = self.tokenizer.pre_tokenizer.pre_tokenize_str if self.fast else None
         if self.fast:  # the printable stand-in of each byte, as the pre-tokenizer writes it
@@ -136,14 +138,10 @@ class PieceEncoder:
         return known
 
     def _whole(self, text: str) -> list[int]:
-        if not self.fast:
-            return self.tokenizer.encode(text, add_special_tokens=False).ids
         return [i for token, _ in self.pre_tokenize(text) for i in self._merge(token)] if text else []
 
     def _inner_pieces(self, pieces: list[str]) -> list:
         """Ids of pieces that follow a space."""
-        if not self.fast:
-            return [self._whole(" " + p) for p in pieces]
         out, token, tokenize, space, stand_in = [], self.token, self.tokenize, self.space, self.stand_in
         for p in pieces:
             core = p if p.isalpha() else p.rstrip(_MARKS)
@@ -186,7 +184,27 @@ class PieceEncoder:
         return numbers
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        """(ids of all texts, the end id after each; number of ids of each text)."""
+        """(ids of all texts, the end id after each; number of ids of each text).
+
+        The library looks for added tokens before it does anything else, so a text that holds the
+        wording of one goes to the library whole; so do all texts if its steps are not byte-level.
+        """
+        whole = np.full(len(texts), not self.fast)
+        for content in self.added:
+            whole |= pc.match_substring(texts, content).to_numpy(zero_copy_only=False)
+        if not whole.any():
+            return self._pieced(texts)
+        ids, sizes = self._pieced(pc.if_else(pa.array(whole), "", texts))
+        ends, parts, at = np.cumsum(sizes), [], 0
+        for i in np.flatnonzero(whole).tolist():  # a lone end id stands where each of these texts belongs
+            made = self.tokenizer.encode(texts[i].as_py(), add_special_tokens=False).ids
+            parts += [ids[at : ends[i] - 1], np.array(made, np.uint32)]
+            at = int(ends[i]) - 1
+            sizes[i] = len(made) + 1
+        return np.concatenate([*parts, ids[at:]]), sizes
+
+    def _pieced(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """The same for texts that may be cut at single spaces."""
         if len(self.inner) + len(self.first) + len(self.token) > self.remember:
             self.forget()
         lists = pc.split_pattern(texts, " ")

@@ -16,7 +16,6 @@ PATH = public_tokenizers.path("byte_bpe_50k.json")
 
 def expected(rows):
     tk = Tokenizer.from_file(PATH)
-    tk.encode_special_tokens = True
     out, start = [], 0
     for doc, text in rows:
         ids = np.array(tk.encode(text or "", add_special_tokens=False).ids + [0], "<u4")
@@ -36,7 +35,6 @@ def test_blocks_round_trip(layout):
 
 def test_encoder_equals_the_library():
     tk = Tokenizer.from_file(PATH)
-    tk.encode_special_tokens = True
     e = tp.PieceEncoder(PATH, 0)
     rng = random.Random(3)
     parts = ["a", "B", "é", "ß", " ", "  ", "\n", "\t", "'s", "don't", "12", ".", ",!", "中", "🙂", "\x85", " ", "x_y", "<|endoftext|>", "²", "word", "-"]
@@ -51,6 +49,24 @@ def test_encoder_equals_the_library():
     assert (again == ids).all()
 
 
+def test_added_tokens_as_the_library_encodes_them(spark, documents):
+    name = "<|endoftext|>"
+    texts = [name, f"x {name} y", f"{name}x", f"x{name}", f"a  {name}\n{name} b", f" {name} ", "<|endof text|>", "plain text", None, f"{name[:-1]} | {name}"]
+    rows = [(i, t) for i, t in enumerate(texts)]
+    got = tp.tokenise(documents(rows), PATH).orderBy("doc_id").collect()
+    assert [(r.doc_id, r.n_tokens, r.ids_crc32) for r in got] == expected(rows)
+    assert [r.start for r in got] == [sum(x.n_tokens for x in got[:i]) for i in range(len(got))]
+
+
+def test_other_tokenizers_encode_whole_texts():
+    wanted = [p for p in public_tokenizers.paths() if str(p).endswith(".json")] if hasattr(public_tokenizers, "paths") else [PATH]
+    for path in wanted:
+        tk, e = Tokenizer.from_file(str(path)), tp.PieceEncoder(str(path), 0)
+        texts = ["Some plain words.", "two  spaces", " lead", "", "ünï <s> 12"]
+        ids, sizes = e.encode(pa.array(texts))
+        assert ids.tolist() == [i for t in texts for i in [*tk.encode(t, add_special_tokens=False).ids, 0]] and sizes.sum() == len(ids)
+
+
 def test_odd_rows(spark, odd, tmp_path):
     got = tp.tokenise(odd, PATH, f"file://{tmp_path}/a").collect()
     assert sorted((r.doc_id or -1, r.n_tokens, r.ids_crc32) for r in got) == sorted((d or -1, n, c) for d, n, c in expected([r[:2] for r in odd_rows()]))
