@@ -1,4 +1,9 @@
-"""Small helpers for operators that work on Arrow batches."""
+"""Small helpers for operators that work on Arrow batches.
+
+Edge cases: null values are handed over as None and count no bytes; a single row longer than a
+slice is a slice of its own; an empty batch or table yields nothing; repeated rows are rows of
+their own. Column names are compared as Spark compares them, without regard to case.
+"""
 
 from __future__ import annotations
 
@@ -30,10 +35,12 @@ def add_columns(df: DataFrame, text: str, fields: list[T.StructField], work: Cal
 
     ``work()`` is called once per task and returns a function from a list of texts (None
     for null) to a dict of equally long value lists. ``also`` names a second column whose
-    values are handed over as a second list. A clashing name of the input is overwritten.
+    values are handed over as a second list. A clashing name of the input is overwritten,
+    whatever its case; see columns.carry() for a way to keep it.
     """
     names = [f.name for f in fields]
-    kept = [f for f in df.schema.fields if f.name not in names]
+    taken = {n.lower() for n in names}
+    kept = [f for f in df.schema.fields if f.name.lower() not in taken]
     schema = T.StructType(kept + fields)
     from pyspark.sql.pandas.types import to_arrow_schema
 

@@ -22,6 +22,7 @@ import math
 
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
+from repsum.llm.columns import carry
 from repsum.plans.scratch import materialise
 
 #: Weights in turn, share of all words, most takes, fractional golden ratio.
@@ -123,7 +124,8 @@ def repeat_documents(docs: DataFrame, **options) -> DataFrame:
     seed = options.get("seed", "mix")
     times = mix(docs, **options).where("taken > 0").groupBy("h", "source").agg(F.sum(F.ceil(F.col("taken") / F.col("size"))).cast("int").alias("_times"))
     times = times.select(F.col("h").alias("_h2"), F.col("source").alias("_source2"), "_times")
-    keyed = docs.withColumn("_h", shuffle_key(F.col("doc_id"), F.col("text"), seed)).withColumn("_source", F.col("source").cast("string"))
+    packed, unpack = carry(docs, ["doc_id", "text", "source"])
+    keyed = packed.withColumn("_h", shuffle_key(F.col("doc_id"), F.col("text"), seed)).withColumn("_source", F.col("source").cast("string"))
     single = keyed.dropDuplicates(["_h", "_source"])
     joined = single.join(times, (F.col("_h") == F.col("_h2")) & F.col("_source").eqNullSafe(F.col("_source2")))
-    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(docs.columns)
+    return unpack(joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))))
