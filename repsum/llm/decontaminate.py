@@ -4,8 +4,10 @@ Texts are normalised to lower-cased words joined by single spaces. Every window
 consecutive item words (an item of fewer words, but not none, is one window) becomes a
 pattern, and one pass of the automaton over a document finds every occurrence, overlapping
 ones too. Positions are mapped back to words, and for hit documents to character offsets of
-the original text. The automaton is built from blocks of bounded size; a benchmark beyond
-one block is scanned block by block, each pass adding to what the passes before it found.
+the original text. Patterns are broadcast in blocks of bounded size and a worker process builds
+a block's automaton once, whatever the tasks it runs. A benchmark beyond one block is scanned
+block by block: passes over further blocks return only the rows that they hit, without their
+texts, and the pass of the first block adds these to its own hits.
 
 Edge cases: null texts have no words; items without words are in no window; repeated items
 and items that share windows are all named; item ids are compared as strings, a null one as
@@ -17,13 +19,16 @@ from __future__ import annotations
 
 import hashlib
 import re
+import uuid
 from collections.abc import Iterator
 
 import ahocorasick
 import numpy as np
+from pyspark import Broadcast
 from pyspark.sql import DataFrame, functions as F, types as T
 
 from repsum.llm.arrow import add_columns
+from repsum.llm.columns import carry, quoted
 from repsum.plans.scratch import materialise
 
 WINDOW = 10
@@ -109,21 +114,32 @@ def _spans(text: str, runs: list[tuple[int, int]]) -> list[dict]:
     return [{"begin": at[a][0], "end": at[b - 1][1]} for a, b in runs]
 
 
-def _pass(docs: DataFrame, patterns: dict[str, list[str]], text_col: str, again: bool) -> DataFrame:
-    """One automaton over all rows. On later passes earlier hits are found in the columns and kept."""
+_SCANNERS: dict[str, Scanner] = {}
+
+
+def _scanner(name: str, patterns: Broadcast) -> Scanner:
+    """One automaton per worker process; it serves later tasks too, until another block comes."""
+    if name not in _SCANNERS:
+        _SCANNERS.clear()
+        _SCANNERS[name] = Scanner(patterns.value)
+    return _SCANNERS[name]
+
+
+def _pass(docs: DataFrame, patterns: tuple[str, Broadcast], text_col: str, earlier_col: str | None = None) -> DataFrame:
+    """One automaton over all rows; what other passes have found is in a column and is kept."""
 
     def work():
-        scanner = Scanner(patterns)
+        scanner = _scanner(*patterns)
 
         def step(texts: list, earlier: list | None = None) -> dict:
             out: dict[str, list] = {f.name: [] for f in FIELDS}
             for k, text in enumerate(texts):
                 n, mask, items = scanner.scan(text)
-                if earlier and earlier[k]["items"]:
+                for found in (earlier[k] or []) if earlier else []:
                     mask = np.zeros(n, bool) if mask is None else mask
-                    for run in earlier[k]["word_runs"]:
+                    for run in found["word_runs"]:
                         mask[run["begin"] : run["end"]] = True
-                    items |= set(earlier[k]["items"])
+                    items = items | set(found["items"])
                 runs = [] if mask is None else _runs(mask)
                 for name, value in (("n_words", n), ("n_hit", 0 if mask is None else int(mask.sum())), ("items", sorted(items)), ("word_runs", [{"begin": a, "end": b} for a, b in runs]), ("char_spans", _spans(text, runs) if runs else [])):
                     out[name].append(value)
@@ -131,22 +147,34 @@ def _pass(docs: DataFrame, patterns: dict[str, list[str]], text_col: str, again:
 
         return step
 
-    if not again:
-        return add_columns(docs, text_col, FIELDS, work)
-    packed = docs.withColumn("_earlier", F.struct("items", "word_runs"))
-    return add_columns(packed, text_col, FIELDS, work, also="_earlier").drop("_earlier")
+    return add_columns(docs, text_col, FIELDS, work, also=earlier_col)
 
 
 def scan_documents(docs: DataFrame, benchmark: DataFrame, n: int = WINDOW, text_col: str = "text") -> DataFrame:
     """Append n_words, n_hit, items, word_runs and char_spans (offsets in the original text) to every row."""
-    out, again = docs, False
-    for patterns in pattern_blocks(benchmark, n):
-        if again:
-            if not patterns:
-                break
-            out = materialise(out, "scanned")
-        out, again = _pass(out, patterns, text_col, again), True
-    return out
+    context = docs.sparkSession.sparkContext
+
+    def share(block: dict) -> tuple[str, Broadcast]:
+        return uuid.uuid4().hex, context.broadcast(block)
+
+    first, further = None, None
+    for block in pattern_blocks(benchmark, n):
+        if first is None:
+            first = share(block)
+        elif block:
+            narrow = _pass(docs.select(F.col(text_col).alias("text")), share(block), "text").where("n_hit > 0")
+            # rows of equal texts have equal hits: a text is known by two hashes of it
+            hits = materialise(narrow.select(F.xxhash64("text").alias("h1"), F.md5("text").alias("h2"), F.struct("items", "word_runs").alias("hit")).distinct(), "block-hits")
+            further = hits if further is None else further.unionByName(hits)
+    if further is None:
+        return _pass(docs, first, text_col)
+    earlier = further.groupBy("h1", "h2").agg(F.collect_list("hit").alias("earlier_hits"))  # one entry per block at most
+    packed, unpack = carry(docs, [text_col])
+    own = [f.name for f in FIELDS]
+    joined = packed.join(earlier, (F.xxhash64(text_col) == F.col("h1")) & (F.md5(text_col) == F.col("h2")), "left").drop("h1", "h2")
+    scanned = _pass(joined, first, text_col, "earlier_hits")
+    kept = [c for c in docs.columns if c.lower() not in {x.lower() for x in own}]
+    return unpack(scanned, own).select(*map(quoted, kept), *(quoted(f"op_{x}").alias(x) for x in own))
 
 
 def items_digest(items: list[str]) -> str:

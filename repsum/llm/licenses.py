@@ -6,10 +6,14 @@ once with each license template as a raw zstandard dictionary; the more of a tem
 a window repeats, the more bytes the dictionary saves. Every place of a block where a template's
 words stand with no more than ``TOLERANCE`` of them missing or interrupted by others is a
 candidate, whatever it saves. Words belong to one match only: fewer wording differences come
-first, then more bytes saved; what remains open is searched again until no template holds. The
+first, then more bytes saved, then more words; what remains open is searched again until no template holds. The
 character span of a match is that of the aligned words, its saving the best among the windows
 that it touches (it may be zero or less).
 
+A block reaches from a cue over the paragraph around it, at most ``BEFORE`` characters back and
+``AFTER`` on; every template has a cue, and blocks that touch are one, so a wording of any length
+is in a block as long as its cues are not further apart than that.
+
 Edge cases: null and empty texts have no block; a text of any length is scanned whole, block by
 block; templates that save equally rank by name; repeated rows are scanned alike; other columns
 of the input are kept, those with this operator's names are overwritten.
@@ -29,11 +33,12 @@ LEVEL = 3
 #: Share of a template's words that may differ.
 TOLERANCE = 0.1
 #: Characters before and after a cue that belong to its block, cut at the paragraph.
-BEFORE, AFTER = 300, 1200
+BEFORE, AFTER = 600, 1200
 #: Characters that are compressed at once, and how many of them the next window repeats.
 WINDOW, OVERLAP = 1500, 400
 
-#: Wordings of public licenses, by SPDX identifier.
+#: Wordings of public licenses, by SPDX identifier (BSD: shared by its variants). A long
+#: license is a template for each of its sentences, so its text counts however much of it is quoted.
 TEMPLATES: tuple[tuple[str, str], ...] = (
     ("MIT", "Released under the MIT License."),
     ("MIT", "Licensed under the MIT License."),
@@ -65,10 +70,35 @@ TEMPLATES: tuple[tuple[str, str], ...] = (
     ("CC-BY-4.0", "This work is licensed under a Creative Commons Attribution 4.0 International License."),
     ("CC-BY-SA-4.0", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License."),
     ("CC-BY-NC-4.0", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License."),
+    ("MIT", "The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software."),
+    ("MIT", "THE SOFTWARE IS PROVIDED \"AS IS\", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE."),
+    ("MIT", "The MIT License (MIT)"),
+    ("MIT", "under the MIT License"),
+    ("MIT", "This project is licensed under the terms of the MIT license."),
+    ("Apache-2.0", "Apache License Version 2.0, January 2004"),
+    ("Apache-2.0", "under the Apache License, Version 2.0"),
+    ("Apache-2.0", "TERMS AND CONDITIONS FOR USE, REPRODUCTION, AND DISTRIBUTION"),
+    ("Apache-2.0", "Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an \"AS IS\" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied. See the License for the specific language governing permissions and limitations under the License."),
+    ("GPL-3.0", "GNU GENERAL PUBLIC LICENSE Version 3, 29 June 2007"),
+    ("GPL-2.0", "GNU GENERAL PUBLIC LICENSE Version 2, June 1991"),
+    ("GPL-2.0", "it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License, or (at your option) any later version"),
+    ("LGPL-3.0", "GNU LESSER GENERAL PUBLIC LICENSE Version 3, 29 June 2007"),
+    ("AGPL-3.0", "GNU AFFERO GENERAL PUBLIC LICENSE Version 3, 19 November 2007"),
+    ("BSD", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"),
+    ("BSD", "Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer."),
+    ("BSD", "Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution."),
+    ("BSD", "THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS \"AS IS\" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED."),
+    ("BSD-3-Clause", "SPDX-License-Identifier: BSD-3-Clause"),
+    ("BSD-2-Clause", "SPDX-License-Identifier: BSD-2-Clause"),
+    ("MPL-2.0", "If a copy of the MPL was not distributed with this file, You can obtain one at https://mozilla.org/MPL/2.0/."),
+    ("MPL-2.0", "SPDX-License-Identifier: MPL-2.0"),
+    ("Zlib", "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software."),
+    ("BSL-1.0", "Distributed under the Boost Software License, Version 1.0."),
+    ("EPL-2.0", "This program and the accompanying materials are made available under the terms of the Eclipse Public License 2.0"),
     ("proprietary", "All rights reserved."),
 )
 
-_CUE = re.compile(r"licen[cs]|copyright|©|spdx|creative\s+commons|\bcc[ -](?:by|0)|public\s+domain|rights\s+reserved|permission\s+(?:is|to)|mozilla\s+public|gnu\s+|copyright\s+holder", re.IGNORECASE)
+_CUE = re.compile(r"licen[cs]|copyright|©|spdx|creative\s+commons|\bcc[ -](?:by|0)|public\s+domain|rights\s+reserved|permission\s+(?:is|to|notice)|mozilla\s+public|\bmpl\b|gnu\s+|redistribut|as[ -]is\b|terms\s+and\s+conditions", re.IGNORECASE)
 _WORD = re.compile(r"[^\W_]+")
 
 MATCH = T.ArrayType(
@@ -198,9 +228,9 @@ class Templates:
                     for missing, extra, x, y in got:
                         begin, end = at[x][0], at[y - 1][1]
                         worth = max(s[i] for p, q, s in self.touched(saved, begin, end, a))
-                        ranked.append((missing + extra, -worth, self.names[i], i, x, y, missing, extra))
+                        ranked.append((missing + extra, -worth, x - y, self.names[i], i, x, y, missing, extra))
                 taken = bytearray(len(open_words))
-                for _, worth, name, _i, x, y, missing, extra in sorted(ranked):
+                for _, worth, _, name, _, x, y, missing, extra in sorted(ranked):
                     if not any(taken[x:y]):
                         taken[x:y] = b"\1" * (y - x)
                         found.append({"license": name, "begin": at[x][0], "end": at[y - 1][1], "saved": -worth, "missing": missing, "extra": extra})
