@@ -16,8 +16,9 @@ Queries come in blocks of bounded size against all rows of the index; each task
 own exact best, and the tasks' lists meet once per query.
 
 Edge cases: vectors that are null, empty, zero, hold null or non-finite components, or whose
-length is not the most frequent one take no part; repeated rows are candidates of their own;
-ties go to the smaller id; fewer candidates than asked for are all returned; an empty table
+length is not the most frequent one take no part; repeated rows are candidates of their own, but
+query rows of one id are one query (its vector that sorts first), whose candidates are the rows
+of other ids; ties go to the smaller id; fewer candidates than asked for are all returned; an empty table
 yields an empty result; other columns are ignored.
 """
 
@@ -146,6 +147,14 @@ def build_index(rows: DataFrame, m: int = BOOKS, k: int = WORDS, train_rows: int
     return materialise(dealt.mapInArrow(run, "vec_id long, v array<double>, codes binary, norm double"), "codes"), books
 
 
+def products(x: np.ndarray, q: np.ndarray) -> np.ndarray:
+    """Inner products summed in the order of the components, as SQL sums them."""
+    out = x[:, 0] * q[0]
+    for d in range(1, x.shape[1]):
+        out += x[:, d] * q[d]
+    return out
+
+
 def _best(scores: np.ndarray, ids: np.ndarray, want: int) -> np.ndarray:
     """Positions of the largest scores, ties to smaller ids; ids ascend."""
     if len(scores) <= want:
@@ -189,9 +198,9 @@ def search_block(index: DataFrame, books: np.ndarray, query_ids: np.ndarray, que
                     short = np.flatnonzero(other & (along * near + across * aside + SLACK * norm * far >= floor))
                 else:
                     short = np.flatnonzero(other)
-                exact = (x[short] * q[j]).sum(axis=1)
-                top = short[_best(exact, ids[short], want)]
-                yield qid, ids[top], (x[top] * q[j]).sum(axis=1)
+                exact = products(x[short], q[j])
+                best = _best(exact, ids[short], want)
+                yield qid, ids[short[best]], exact[best]
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple] = []
@@ -224,7 +233,8 @@ def search(vectors: DataFrame, is_query, want: int = 20, id_col: str = "vec_id",
     empty = spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     if books is None:
         return empty
-    asked = materialise(index.where(is_query(F.col("vec_id"))).select("vec_id", "v"), "queries")
+    # rows that share a query's id are one query, its smallest vector
+    asked = materialise(index.where(is_query(F.col("vec_id"))).groupBy("vec_id").agg(F.min("v").alias("v")), "queries")
     blocks = -(-asked.count() // QUERY_BLOCK)
     out = empty
     for b in range(blocks):

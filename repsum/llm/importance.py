@@ -26,12 +26,10 @@ from repsum.plans.scratch import materialise
 
 BUCKETS = 10_000
 SMOOTHING = 1.0
-#: Multinomial log ratios grow with length, so a text's sum is divided by its n-grams plus these,
-#: which draws very short texts toward 0. Importances are then small: the temperature scales them.
-PRIOR_GRAMS = 20
 #: Good rows that the target model is fitted on, by smallest hash of the id.
 TARGET_ROWS = 20_000
-TEMPERATURE = 0.01
+#: Log importances are divided by it before the draw; 1 draws by the ratio of the models itself.
+TEMPERATURE = 1.0
 
 _TABLE = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 
@@ -80,25 +78,26 @@ def log_ratio(counts: np.ndarray, smoothing: float = SMOOTHING) -> np.ndarray:
     return np.log(p[0]) - np.log(p[1])
 
 
-def add_importance(docs: DataFrame, ratio: np.ndarray, text_col: str = "text", prior: int = PRIOR_GRAMS) -> DataFrame:
-    """Append log_importance."""
+def add_importance(docs: DataFrame, ratio: np.ndarray, text_col: str = "text") -> DataFrame:
+    """Append log_importance, the sum of the models' log ratio over a text's n-grams."""
 
     def work():
         def one(text: str | None) -> float:
             at = grams(text, len(ratio))
-            return float(ratio[at].sum() / (len(at) + prior)) if len(at) else 0.0
+            return float(ratio[at].sum())
 
         return lambda texts: {"log_importance": [one(t) for t in texts]}
 
     return add_columns(docs, text_col, [T.StructField("log_importance", T.DoubleType())], work)
 
 
-def gumbel(key: Column, seed: int) -> Column:
-    uniform = (F.pmod(F.xxhash64(key, F.lit(seed)), F.lit(1 << 40)) + F.lit(0.5)) / F.lit(float(1 << 40))
+def gumbel(key: Column, seed: int | Column) -> Column:
+    """Standard Gumbel noise of a row, the same whenever it is asked for."""
+    uniform = (F.pmod(F.xxhash64(key, F.lit(seed).cast("int")), F.lit(1 << 40)) + F.lit(0.5)) / F.lit(float(1 << 40))
     return -F.log(-F.log(uniform))
 
 
-def importances(docs: DataFrame, target: DataFrame, temperature: float = TEMPERATURE, seed: int = 7, prior: int = PRIOR_GRAMS) -> DataFrame:
+def importances(docs: DataFrame, target: DataFrame, temperature: float = TEMPERATURE, seed: int = 7) -> DataFrame:
     """(doc_id, text_hash, log_importance, key) of every row; ``target`` holds the doc_ids of good rows.
 
     The target model is fitted on at most ``TARGET_ROWS`` good rows, so their ids can be sent to
@@ -108,13 +107,13 @@ def importances(docs: DataFrame, target: DataFrame, temperature: float = TEMPERA
     marks = target.select(F.col("doc_id").alias("good_id")).distinct().orderBy(F.xxhash64("good_id"), "good_id").limit(TARGET_ROWS)
     marked = rows.join(F.broadcast(marks), rows["doc_id"] == marks["good_id"], "left").select("doc_id", "text", F.col("good_id").isNotNull().alias("is_target"))
     ratio = log_ratio(count_grams(marked))
-    scored = add_importance(rows, ratio, prior=prior).select("doc_id", F.xxhash64("text").alias("text_hash"), "log_importance")
+    scored = add_importance(rows, ratio).select("doc_id", F.xxhash64("text").alias("text_hash"), "log_importance")
     return scored.withColumn("key", F.col("log_importance") / F.lit(temperature) + gumbel(F.col("doc_id"), seed))
 
 
-def resample(docs: DataFrame, target: DataFrame, share: float, temperature: float = TEMPERATURE, seed: int = 7, prior: int = PRIOR_GRAMS) -> DataFrame:
+def resample(docs: DataFrame, target: DataFrame, share: float, temperature: float = TEMPERATURE, seed: int = 7) -> DataFrame:
     """(doc_id, log_importance, key, rank, selected): rank counts from 0; the first ceil(share * rows) are drawn."""
-    scored = materialise(importances(docs, target, temperature, seed, prior), "importances")
+    scored = materialise(importances(docs, target, temperature, seed), "importances")
     ranked = positions(scored.withColumn("_g", F.lit(0)).withColumn("_down", -F.col("key")), ["_g"], ["_down", "doc_id", "text_hash"], "rank")
     ranked = materialise(ranked.select("doc_id", "log_importance", "key", "rank"), "ranked")
     k = F.lit(int(np.ceil(share * ranked.count())))

@@ -5,7 +5,7 @@ support vector machine picks the language family; within it each pair of languag
 of its own, and the language with most duels wins (ties: larger sum of margins, then name).
 Models are fitted on a bounded sample of labelled rows (``TRAIN_ROWS`` in total, shared evenly
 by the labels, at least ``LEAST_PER_LABEL`` each, the rows of smallest id hash); nothing else
-is sampled, and every text is read whole.
+is sampled, and every text is read whole. The fitting task holds 16 KB for each of these rows.
 
 Edge cases: a null text or one without a letter is ``und`` with score 0; so is every text if
 no labelled row exists; labels without a known family form a family of their own; repeated
@@ -14,13 +14,17 @@ rows are predicted alike; other columns are kept, clashing ones overwritten.
 
 from __future__ import annotations
 
+import pickle
 import re
+from collections.abc import Iterable, Iterator
 from itertools import combinations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F, types as T
 
 from repsum.llm.arrow import add_columns
+from repsum.plans.scratch import materialise
 
 DIMENSIONS = 4096
 TRAIN_ROWS = 2000
@@ -125,27 +129,46 @@ class LanguageModel:
         return own[i], float(sure / (1 + np.exp(-4 * (sums[i] - sums[j]) / max(1, len(own) - 1) / 2)))
 
 
-def training_rows(docs: DataFrame, labelled: str = "lang", total: int = TRAIN_ROWS) -> list[tuple[str, bytes]]:
-    """(label, feature vector) of the bounded training sample."""
-    known = docs.where(F.col(labelled).isNotNull() & F.col("text").isNotNull())
-    labels = known.groupBy(labelled).count().count()
-    each = max(LEAST_PER_LABEL, total // max(1, labels))
-    rank = Window.partitionBy("label").orderBy("h", "doc_id")
-    chosen = known.select("doc_id", F.col(labelled).alias("label"), F.xxhash64("doc_id").alias("h")).withColumn("n", F.row_number().over(rank)).where(F.col("n") <= each)
-    ids = [r["doc_id"] for r in chosen.select("doc_id").distinct().collect()]  # at most each times the labels
-    sample = known.where(F.col("doc_id").isin(ids)).select(F.col(labelled).alias("label"), "text")
+def training_rows(docs: DataFrame, labelled: str = "lang", total: int = TRAIN_ROWS) -> DataFrame:
+    """(label, vector) of the bounded training sample: of each label the rows of smallest id hash.
+
+    Hashes are cut into bins, of which a label's first ones that hold enough rows are kept, so the
+    ranking that follows sees little more than it returns, however many rows a label has. Choosing
+    reads ids and labels only; the chosen ids, a bounded number, find their texts by a broadcast.
+    Null and letterless texts among the chosen rows teach nothing.
+    """
+    known = docs.where(F.col(labelled).isNotNull()).select(F.col(labelled).alias("label"), F.col("doc_id").cast("long").alias("train_id"), F.xxhash64("doc_id").alias("h"))
+    counts = {r["label"]: r["count"] for r in known.groupBy("label").count().collect()}  # one row per label
+    each = max(LEAST_PER_LABEL, total // max(1, len(counts)))
+    bits = max(1, (4 * max(counts.values(), default=1) // each).bit_length())
+    binned = known.withColumn("bin", F.shiftrightunsigned(F.col("h").bitwiseXOR(F.lit(-(1 << 63))), 64 - bits))  # ascends with the signed hash
+    sizes = binned.groupBy("label", "bin").count()
+    before = F.sum("count").over(Window.partitionBy("label").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1))
+    cut = sizes.select("label", "bin", F.coalesce(before, F.lit(0)).alias("before")).where(F.col("before") < each).groupBy("label").agg(F.max("bin").alias("last_bin"))
+    near = binned.join(F.broadcast(cut), "label").where(F.col("bin") <= F.col("last_bin"))
+    rank = Window.partitionBy("label").orderBy("h", "train_id")
+    chosen = materialise(near.withColumn("n", F.row_number().over(rank)).where(F.col("n") <= each).select("train_id").distinct(), "training-ids")
+    texts = docs.select(F.col("doc_id").cast("long").alias("train_id"), F.col(labelled).alias("label"), "text").where(F.col("label").isNotNull() & F.col("text").isNotNull())
+    # ids are at most each times the labels; a null id teaches nothing
+    sample = texts.join(F.broadcast(chosen), "train_id", "left_semi").select("label", "text")
 
     def work():
         return lambda texts: {"vector": [features(t).tobytes() if has_letter(t) else None for t in texts]}
 
-    return [(r["label"], r["vector"]) for r in add_columns(sample, "text", [T.StructField("vector", T.BinaryType())], work).select("label", "vector").where("vector is not null").orderBy("label", "vector").collect()]
+    return add_columns(sample, "text", [T.StructField("vector", T.BinaryType())], work).select("label", "vector").where("vector is not null")
 
 
 def fit(docs: DataFrame, labelled: str = "lang", total: int = TRAIN_ROWS) -> LanguageModel | None:
-    rows = training_rows(docs, labelled, total)
-    if not rows:
-        return None
-    return LanguageModel(np.stack([np.frombuffer(v, np.float32) for _, v in rows]), [k for k, _ in rows])
+    """Fit in one task on the bounded sample; only the finished weights travel to the driver."""
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = sorted(r for b in batches for r in zip(b.column("label").to_pylist(), b.column("vector").to_pylist()))
+        if rows:
+            model = LanguageModel(np.stack([np.frombuffer(v, np.float32) for _, v in rows]), [k for k, _ in rows])
+            yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(model)], pa.binary())], names=["model"])
+
+    made = training_rows(docs, labelled, total).repartition(1).mapInArrow(run, "model binary").collect()
+    return pickle.loads(made[0]["model"]) if made else None
 
 
 def predict(docs: DataFrame, model: LanguageModel | None, text_col: str = "text") -> DataFrame:
