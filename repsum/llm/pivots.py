@@ -4,8 +4,8 @@ A fingerprint is the bitwise majority of the XXH64 hashes of a text's word shing
 fingerprints collapse to one row first, so copies never meet each other. Two fingerprints
 within radius r agree on at least (blocks - r) of their bit blocks, so rows are dealt by each
 choice of two of five blocks, a key of 25 or 26 bits; no pair within 3 bits can miss every
-choice. Inside a key, each fingerprint has a table of Hamming distances to reference
-fingerprints. By the triangle inequality two fingerprints whose distances to some pivot
+choice. Each fingerprint brings its row of the pivot table, its Hamming distances to reference
+fingerprints, computed once before the rows are dealt. By the triangle inequality two fingerprints whose distances to some pivot
 differ by more than r cannot be linked: such pairs are discarded by their largest coordinate
 difference, survivors are verified bit by bit, and a key emits a spanning forest of its links
 only. A key with very many different fingerprints is cut into pieces, and every pair of
@@ -28,12 +28,13 @@ import xxhash
 from pyspark.sql import DataFrame, functions as F, types as T
 
 from repsum.llm.arrow import add_columns
+from repsum.llm.columns import carry
 from repsum.llm.components import connected_components
 from repsum.plans.scratch import materialise
 
 RADIUS = 3
 BLOCKS = ((0, 13), (13, 13), (26, 13), (39, 13), (52, 12))  # (lowest bit, width), fixed
-PIVOTS = 24
+PIVOTS = 18
 #: Different fingerprints of one key that one task compares; more are cut into pieces.
 PIECE = 8192
 
@@ -96,9 +97,8 @@ def near_pairs(fps: np.ndarray, table: np.ndarray, left: np.ndarray, right: np.n
     return alive[np.bitwise_count(fps[left[alive]] ^ fps[right[alive]]) <= radius]
 
 
-def group_links(fps: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
+def group_links(fps: np.ndarray, table: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
     """Spanning forest of the links within one group of different fingerprints."""
-    table = pivot_table(fps)
     order = np.argsort(table[:, 0], kind="stable")
     first = table[order, 0]
     parent = np.arange(len(fps))
@@ -129,7 +129,7 @@ def group_links(fps: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
     return fps[a], fps[b]
 
 
-def sorted_links(keys: np.ndarray, fps: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
+def sorted_links(keys: np.ndarray, fps: np.ndarray, tables: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
     """Links within each run of equal keys; small runs all at once, lag by lag."""
     edge = np.flatnonzero(np.append(True, keys[1:] != keys[:-1]))
     size = np.diff(np.append(edge, len(keys)))
@@ -137,15 +137,14 @@ def sorted_links(keys: np.ndarray, fps: np.ndarray, radius: int) -> tuple[np.nda
     out_a, out_b = [], []
     small = np.flatnonzero((length > 1) & (length <= 32))
     if len(small):
-        k, f = keys[small], fps[small]
-        table = pivot_table(f)
+        k, f, table = keys[small], fps[small], tables[small]
         for lag in range(1, int(length[small].max())):
             left = np.flatnonzero(k[:-lag] == k[lag:])
             hit = left[near_pairs(f, table, left, left + lag, radius)]
             out_a.append(f[hit])
             out_b.append(f[hit + lag])
     for begin, n in zip(edge[size > 32].tolist(), size[size > 32].tolist()):
-        a, b = group_links(fps[begin : begin + n], radius)
+        a, b = group_links(fps[begin : begin + n], tables[begin : begin + n], radius)
         out_a.append(a)
         out_b.append(b)
     return (np.concatenate(out_a), np.concatenate(out_b)) if out_a else (fps[:0], fps[:0])
@@ -155,48 +154,59 @@ def _block(low: int, width: int):
     return F.shiftrightunsigned(F.col("fp"), low).bitwiseAND(F.lit((1 << width) - 1))
 
 
+def add_pivot_rows(distinct: DataFrame, pivots: int = PIVOTS) -> DataFrame:
+    """(fp, row): each fingerprint with its distances to the reference fingerprints, a byte each."""
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            table = pivot_table(batch.column("fp").to_numpy().view(np.uint64), pivots)
+            rows = pa.FixedSizeBinaryArray.from_buffers(pa.binary(pivots), len(table), [None, pa.py_buffer(np.ascontiguousarray(table))])
+            yield pa.RecordBatch.from_arrays([batch.column("fp"), rows.cast(pa.binary())], names=["fp", "row"])
+
+    return distinct.select("fp").mapInArrow(run, "fp long, row binary")
+
+
 def deal(distinct: DataFrame) -> DataFrame:
-    """(key, fp): each fingerprint under each choice of two bit blocks."""
+    """(key, fp, row): each fingerprint under each choice of two bit blocks."""
     keys = [F.lit(n).cast("long") * F.lit(1 << 26) + _block(*BLOCKS[i]) * F.lit(1 << 13) + _block(*BLOCKS[j]) for n, (i, j) in enumerate(combinations(range(len(BLOCKS)), 2))]
-    return distinct.select("fp", F.explode(F.array(*keys)).alias("key"))
+    return distinct.select("fp", "row", F.explode(F.array(*keys)).alias("key"))
 
 
 def fingerprint_links(distinct: DataFrame, radius: int = RADIUS, piece: int = PIECE) -> DataFrame:
     """(a, b): links of different fingerprints; every link joins what a path of these rows joins."""
     if radius > 3:
         raise ValueError("five blocks taken two at a time guarantee links up to 3 bits")
-    dealt = deal(distinct)
+    dealt = deal(materialise(add_pivot_rows(distinct), "pivot-table"))
     large = materialise(dealt.groupBy("key").count().where(F.col("count") > piece), "large-keys")
     if not large.isEmpty():
         pieces = F.ceil(F.col("count") / piece).cast("int")
         own = F.pmod(F.xxhash64("fp"), pieces).cast("int")
         every = F.transform(F.sequence(F.lit(0), F.col("pieces") - 1), lambda o: F.struct(F.least(o, F.col("own")).alias("lo"), F.greatest(o, F.col("own")).alias("hi")))
-        cut = dealt.join(large, "key").select("fp", "key", pieces.alias("pieces"), own.alias("own")).select("fp", "key", F.explode(every).alias("pair"))
-        dealt = dealt.join(large, "key", "left_anti").select("fp", "key", F.lit(0).alias("lo"), F.lit(0).alias("hi")).unionByName(cut.select("fp", "key", F.col("pair.lo").alias("lo"), F.col("pair.hi").alias("hi")))
-        dealt = dealt.select("fp", F.xxhash64("key", "lo", "hi").alias("key"))  # keys that collide are compared in vain, no link is lost
-    else:
-        dealt = dealt.select("fp", "key")
+        cut = dealt.join(large, "key").select("fp", "row", "key", pieces.alias("pieces"), own.alias("own")).select("fp", "row", "key", F.explode(every).alias("pair"))
+        dealt = dealt.join(large, "key", "left_anti").select("fp", "row", "key", F.lit(0).alias("lo"), F.lit(0).alias("hi")).unionByName(cut.select("fp", "row", "key", F.col("pair.lo").alias("lo"), F.col("pair.hi").alias("hi")))
+        dealt = dealt.select("fp", "row", F.xxhash64("key", "lo", "hi").alias("key"))  # keys that collide are compared in vain, no link is lost
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rest_k, rest_f = np.empty(0, np.int64), np.empty(0, np.uint64)
+        rest: tuple | None = None
 
-        def emit(k: np.ndarray, f: np.ndarray) -> pa.RecordBatch:
-            a, b = sorted_links(k, f, radius)
+        def emit(k: np.ndarray, f: np.ndarray, t: np.ndarray) -> pa.RecordBatch:
+            a, b = sorted_links(k, f, t, radius)
             return pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], names=["a", "b"])
 
         for batch in batches:
-            k = np.concatenate([rest_k, batch.column("key").to_numpy()])
-            f = np.concatenate([rest_f, batch.column("fp").to_numpy().view(np.uint64)])
-            if not len(k):
+            if not batch.num_rows:
                 continue
+            table = np.frombuffer(b"".join(batch.column("row").to_pylist()), np.int8).reshape(batch.num_rows, -1)
+            new = batch.column("key").to_numpy(), batch.column("fp").to_numpy().view(np.uint64), table
+            k, f, t = new if rest is None else (np.concatenate(x) for x in zip(rest, new))
             cut = int(np.searchsorted(k, k[-1]))  # the last run may go on in the next batch
             if cut:
-                yield emit(k[:cut], f[:cut])
-            rest_k, rest_f = k[cut:], f[cut:]
-        if len(rest_k):
-            yield emit(rest_k, rest_f)
+                yield emit(k[:cut], f[:cut], t[:cut])
+            rest = k[cut:], f[cut:], t[cut:]
+        if rest is not None:
+            yield emit(*rest)
 
-    return dealt.repartition("key").sortWithinPartitions("key").mapInArrow(run, "a long, b long")
+    return dealt.select("key", "fp", "row").repartition("key").sortWithinPartitions("key").mapInArrow(run, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, seed: int = 42, radius: int = RADIUS) -> DataFrame:
@@ -221,6 +231,7 @@ def keep_one(docs: DataFrame) -> DataFrame:
     found = near_duplicates(docs)
     stay = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("n"), "doc_id", "text_hash")).alias("k"))
     stay = stay.select(F.col("k.doc_id").alias("_id"), F.col("k.text_hash").alias("_hash"))
-    hashed = docs.withColumn("_text_hash", F.xxhash64("text"))
-    kept = hashed.join(stay, hashed["doc_id"].cast("long").eqNullSafe(stay["_id"]) & (hashed["_text_hash"] == stay["_hash"]), "left_semi")
-    return kept.dropDuplicates(["doc_id", "_text_hash"]).select(docs.columns)
+    packed, unpack = carry(docs, ["doc_id", "text"])
+    hashed = packed.withColumn("text_hash", F.xxhash64("text"))
+    kept = hashed.join(stay, F.col("doc_id").cast("long").eqNullSafe(F.col("_id")) & (F.col("text_hash") == F.col("_hash")), "left_semi")
+    return unpack(kept.dropDuplicates(["doc_id", "text_hash"]))

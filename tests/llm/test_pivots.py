@@ -100,7 +100,7 @@ def test_group_links_of_a_dense_group():
     rng = np.random.default_rng(9)
     x = rng.integers(0, 1 << 63, dtype=np.uint64)
     fps = np.unique(np.array([x ^ np.uint64(sum(1 << int(b) for b in rng.choice(14, 3, replace=False))) for _ in range(900)], np.uint64))
-    a, b = pivots.group_links(fps, 3)
+    a, b = pivots.group_links(fps, pivots.pivot_table(fps), 3)
     assert (np.bitwise_count(a ^ b) <= 3).all() and len(a) < len(fps)
 
 
