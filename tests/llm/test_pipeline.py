@@ -1,6 +1,7 @@
 import re
 
 import numpy as np
+from pyspark.sql import functions as F
 
 import corpus_pipeline
 from repsum.llm.pivots import fingerprint
@@ -57,3 +58,19 @@ def test_language_stage_keeps_short_texts(spark):
     short = {i for i, w, *_ in rows if any(c.isalpha() for c in w)}
     print(f"short texts: {len(short)}, kept: {len(short & kept)}")
     assert short <= kept and 20_000_000 not in kept
+
+
+def test_stages_keep_the_values_of_clashing_columns(spark):
+    """Names that operators use inside, in any case, come out as they went in."""
+    names = ["score", "N_WORDS", "n_hit", "_h", "_times", "Lang_Pred", "text_hash", "_id", "_source", "carried_row2", "a.b", "items", "h1", "fp", "root", "size"]
+    given = spark.read.parquet(f"{SF}/documents.parquet")
+    docs = given.select("*", *(F.concat(F.lit(f"{n}|"), F.col("doc_id").cast("string")).alias(n) for n in names))
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        after = corpus_pipeline.materialise(stage(spark, docs, SF), f"clash-{name}")
+        assert after.columns == docs.columns
+        rows = [r.asDict() for r in after.collect()]
+        assert rows and all(r[n] == f"{n}|{r['doc_id']}" for r in rows for n in names)
+        before = {(r.doc_id, r.text, r.lang, r.source, r.n_chars) for r in given.collect()}
+        assert all((r["doc_id"], r["text"], r["lang"], r["source"], r["n_chars"]) in before for r in rows)
+        docs = after
+    assert corpus_pipeline.STAGES[-1][1](spark, docs, SF).count() == docs.count()
