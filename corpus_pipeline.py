@@ -6,7 +6,8 @@ decontaminate   drops documents that hold a benchmark passage
 mix             repeats or omits documents so that sources meet their target weights
 tokens          writes token ids in the plane format and returns where each document lies
 
-A stage keeps every column of its input but the last, which returns doc_id, start, n_tokens
+A stage keeps every column of its input with its values, whatever names its operator uses inside;
+rows that a stage keeps are those of its input. The last stage returns doc_id, start, n_tokens
 and ids_crc32. Language models are fitted on the labelled rows of the input that are not held
 out; nothing is labelled in an empty table, which passes through empty.
 """
@@ -16,6 +17,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from repsum.llm import decontaminate, language, mixing, pivots, token_planes
+from repsum.llm.columns import carry
 from repsum.llm.queries import TOKENIZER
 from repsum.plans.scratch import materialise, ship_package
 
@@ -26,8 +28,8 @@ REMEMBER = 300_000
 def stage_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship_package(spark)
     model = language.fit(docs.where(~language.held_out()))
-    named = language.predict(docs, model)
-    return named.where(F.col("lang_pred") != language.NONE).select(docs.columns)
+    packed, unpack = carry(docs, ["text"])
+    return unpack(language.predict(packed, model).where(F.col("lang_pred") != language.NONE))
 
 
 def stage_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -38,7 +40,8 @@ def stage_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 def stage_decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship_package(spark)
     benchmark = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
-    return decontaminate.scan_documents(docs, benchmark).where(F.col("n_hit") == 0).select(docs.columns)
+    packed, unpack = carry(docs, ["text"])
+    return unpack(decontaminate.scan_documents(packed, benchmark).where(F.col("n_hit") == 0))
 
 
 def stage_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
