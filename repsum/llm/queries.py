@@ -120,5 +120,28 @@ pieces AS (SELECT *, unnest(range(b // {mixing.BLOCK_WORDS}, (b + size - 1) // {
 got AS (SELECT id, CAST(sum((least(b + size, (block + 1) * {mixing.BLOCK_WORDS}) - greatest(b, block * {mixing.BLOCK_WORDS})) * takes) AS BIGINT) AS taken FROM pieces JOIN takes USING (no, block) GROUP BY id)
 SELECT doc_id, size, source_size, target, coalesce(taken, 0) AS taken FROM laid LEFT JOIN got USING (id)"""
 
+_OP3 = """
+WITH t AS (SELECT row_number() OVER () AS id, doc_id, encode(coalesce(text, '')) AS b FROM documents),
+w AS (SELECT id, p, md5_number(b[p:p + 199]) AS k FROM (SELECT id, b, unnest(range(1, octet_length(b) - 198)) AS p FROM t)),
+hit AS (SELECT id, p FROM w WHERE k IN (SELECT k FROM w GROUP BY k HAVING count(*) > 1)),
+mark AS (SELECT id, p, CASE WHEN p > lag(p) OVER (PARTITION BY id ORDER BY p) + 200 THEN 1 ELSE 0 END AS fresh FROM hit),
+part AS (SELECT id, p, sum(fresh) OVER (PARTITION BY id ORDER BY p ROWS UNBOUNDED PRECEDING) AS run FROM mark),
+runs AS (SELECT id, min(p) AS a, max(p) + 199 AS z FROM part GROUP BY id, run),
+cut AS (SELECT id, a, z, coalesce(lag(z) OVER (PARTITION BY id ORDER BY a), 0) + 1 AS x FROM runs),
+ends AS (SELECT id, max(z) AS z, count(*) AS n_spans, sum(z - a + 1) AS n_removed FROM runs GROUP BY id),
+gaps AS (SELECT id, x, a - 1 AS y FROM cut UNION ALL SELECT t.id, coalesce(z, 0) + 1, octet_length(b) FROM t LEFT JOIN ends USING (id)),
+kept AS (SELECT id, string_agg(CASE WHEN y >= x THEN hex(b[x:y]) ELSE '' END, '' ORDER BY x) AS h FROM gaps JOIN t USING (id) GROUP BY id)
+SELECT doc_id, CAST(octet_length(b) AS BIGINT) AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, coalesce(n_spans, 0) AS n_spans, sha256(unhex(h)) AS kept_sha256
+FROM t LEFT JOIN ends USING (id) JOIN kept USING (id)"""
+
+_OP7 = """
+WITH c AS (SELECT CAST(vec_id AS BIGINT) AS vec_id, CAST(embedding AS DOUBLE[]) AS v FROM embeddings WHERE vec_id IS NOT NULL AND embedding IS NOT NULL),
+ok AS (SELECT * FROM c WHERE len([x for x in v if x IS NULL OR NOT isfinite(x)]) = 0 AND len([x for x in v if x <> 0]) > 0),
+used AS (SELECT * FROM ok WHERE len(v) = (SELECT len(v) FROM ok GROUP BY len(v) ORDER BY count(*) DESC, len(v) LIMIT 1)),
+q AS (SELECT vec_id AS query_id, min(v) AS q FROM used WHERE vec_id % 20 = 0 GROUP BY vec_id),
+near AS (SELECT query_id, vec_id, list_inner_product(q, v) AS score FROM q, used WHERE vec_id <> query_id),
+ranked AS (SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank, vec_id, score FROM near)
+SELECT * FROM ranked WHERE rank <= 20"""
+
 #: SQL for the operators that it can express; the others are tested against brute force.
-ORACLE_SQL: dict[str, str] = {"op5_decontaminate": _OP5, "op8_mix_sources": _OP8}
+ORACLE_SQL: dict[str, str] = {"op3_repeated_strings": _OP3, "op5_decontaminate": _OP5, "op7_additive_search": _OP7, "op8_mix_sources": _OP8}
