@@ -1,12 +1,13 @@
 """Logs of SQL text over the given tables, rendered from described templates.
 
 A template lists what a query of it has; the text is rendered from the description, so the
-tokens that a parser must find are known. ``keep`` is the share of a table's rows, in
-thousandths, that the predicate on a column keeps: the statistics of the modelled log.
+tokens that a parser must find are known. Literals are drawn for each instance; what they keep of
+a table decides the modelled statistics of the entry.
 """
 
 from __future__ import annotations
 
+import hashlib
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
@@ -21,24 +22,30 @@ JOINS = {
     ("supplier", "nation"): "supplier.s_nationkey = nation.n_nationkey",
     ("nation", "region"): "nation.n_regionkey = region.r_regionkey",
 }
-#: Predicates by column, with a literal's slot, and the rows that they keep in thousandths.
+#: Predicates by column, with a literal's slot.
 PREDICATES = {
-    "lineitem.l_returnflag": ("= '{f}'", 333),
-    "lineitem.l_linestatus": ("= '{s}'", 500),
-    "lineitem.l_quantity": ("< {q}", 480),
-    "lineitem.l_discount": ("between 0.0{d} and 0.0{e}", 270),
-    "lineitem.l_shipdate": (">= date '{y}-01-01'", 140),
-    "orders.o_orderstatus": ("= '{o}'", 330),
-    "orders.o_orderpriority": ("= '{p}'", 200),
-    "orders.o_orderdate": ("< date '{y}-06-01'", 400),
-    "customer.c_mktsegment": ("= '{m}'", 200),
-    "part.p_brand": ("= 'Brand#{b}'", 40),
-    "part.p_type": ("= '{t}'", 167),
-    "part.p_size": ("= {z}", 20),
-    "nation.n_name": ("= 'NATION{n}'", 40),
-    "region.r_name": ("= '{r}'", 200),
-    "supplier.s_acctbal": ("> {a}", 450),
+    "lineitem.l_returnflag": "= '{f}'",
+    "lineitem.l_linestatus": "= '{s}'",
+    "lineitem.l_quantity": "< {q}",
+    "lineitem.l_discount": "between 0.0{d} and 0.0{e}",
+    "lineitem.l_shipdate": ">= date '{y}-01-01'",
+    "orders.o_orderstatus": "= '{o}'",
+    "orders.o_orderpriority": "= '{p}'",
+    "orders.o_orderdate": "< date '{y}-06-01'",
+    "customer.c_mktsegment": "= '{m}'",
+    "part.p_brand": "= 'Brand#{b}'",
+    "part.p_type": "= '{t}'",
+    "part.p_size": "= {z}",
+    "nation.n_name": "= 'NATION{n}'",
+    "region.r_name": "= '{r}'",
+    "supplier.s_acctbal": "> {a}",
 }
+#: The literals that stand in the slots.
+_WORDS = {
+    "f": "ANR", "s": "FO", "o": "FOP", "p": ("1-URGENT", "2-HIGH", "3-MEDIUM", "4-NOT SPECIFIED", "5-LOW"),
+    "m": ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY"), "t": ("ECONOMY", "LARGE", "MEDIUM", "PROMO", "SMALL", "STANDARD"),
+    "r": ("AFRICA", "AMERICA", "ASIA", "EUROPE", "MIDDLE EAST"),
+}
 
 
 @dataclass(frozen=True)
@@ -99,22 +106,36 @@ STARS = (
 )
 
 
-def literals(i: int) -> dict[str, object]:
-    """The literals of a template's i-th instance."""
-    pick = lambda values, step=1: values[(i // step) % len(values)]
-    return {
-        "f": pick("ANR"), "s": pick("FO", 3), "q": 10 + i % 40, "d": 1 + i % 4, "e": 5 + i % 4, "y": 1995 + i % 6,
-        "o": pick("FOP"), "p": pick(("1-URGENT", "2-HIGH", "3-MEDIUM", "4-NOT SPECIFIED", "5-LOW")),
-        "m": pick(("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY")), "b": 1 + i % 25,
-        "t": pick(("ECONOMY", "LARGE", "MEDIUM", "PROMO", "SMALL", "STANDARD")), "z": 1 + i % 50, "n": i % 25,
-        "r": pick(("AFRICA", "AMERICA", "ASIA", "EUROPE", "MIDDLE EAST")), "a": 100 * (i % 60),
-    }
+def draw(*key: object) -> int:
+    """A fixed pseudo-random number below 2**32 for a key."""
+    return int(hashlib.md5("|".join(map(str, key)).encode()).hexdigest()[:8], 16)
+
+
+def literals(name: str, i: int) -> dict[str, object]:
+    """The literals of the i-th instance of a template, drawn independently of each other."""
+    n = lambda slot, size: draw(name, i, slot) % size
+    out: dict[str, object] = {k: v[n(k, len(v))] for k, v in _WORDS.items()}
+    d = 1 + n("d", 4)
+    return out | {"q": 5 + n("q", 45), "d": d, "e": d + 1 + n("e", 9 - d), "y": 1995 + n("y", 6), "b": 1 + n("b", 25), "z": 1 + n("z", 50), "n": n("n", 25), "a": 100 * n("a", 90)}
+
+
+def kept(column: str, given: dict[str, object]) -> int:
+    """Rows in thousandths that the predicate on a column keeps with these literals."""
+    if column in ("lineitem.l_quantity", "lineitem.l_discount", "lineitem.l_shipdate", "orders.o_orderdate", "supplier.s_acctbal"):
+        share = {"lineitem.l_quantity": (given["q"] - 1) / 50, "lineitem.l_discount": (given["e"] - given["d"] + 1) / 11, "lineitem.l_shipdate": (2002 - given["y"]) / 7, "orders.o_orderdate": (given["y"] - 1994.6) / 6.6, "supplier.s_acctbal": 1 - (given["a"] + 999) / 10_999}
+        return max(1, round(1000 * share[column]))
+    slot = PREDICATES[column].split("{")[1][0]
+    # equal values are not equally frequent: the first of m words is met with twice the weight of the last
+    size = len(_WORDS[slot]) if slot in _WORDS else {"b": 25, "z": 50, "n": 25}[slot]
+    at = _WORDS[slot].index(given[slot]) if slot in _WORDS else int(given[slot]) % size
+    return max(1, round(1000 * (2 - at / max(1, size - 1)) / (1.5 * size)))
 
 
 def render(t: Template, i: int) -> str:
+    given = literals(t.name, i)
     calls = [f"{f.lower()}({c})" for f, c in t.calls]
     on = [JOINS.get((a, b)) or JOINS.get((b, a)) for k, a in enumerate(t.tables) for b in t.tables[k + 1 :]]
-    tests = [x for x in on if x] + [f"{c} {PREDICATES[c][0].format(**literals(i))}" for c in t.where]
+    tests = [x for x in on if x] + [f"{c} {PREDICATES[c].format(**given)}" for c in t.where]
     parts = [f"select {', '.join([*t.group, *calls])}", f"from {', '.join(t.tables)}"]
     if tests:
         parts.append(f"where {' and '.join(tests)}")
@@ -134,38 +155,79 @@ def expected_tokens(t: Template) -> list[tuple[str, str]]:
 UNIT_ROWS = {"lineitem": 6_000_000, "orders": 1_500_000, "part": 200_000, "customer": 150_000, "supplier": 10_000, "nation": 25, "region": 5}
 
 
-def statistics(t: Template) -> tuple[int, int]:
-    """(rows read, rows out) of an instance: what its tables hold, and what its predicates keep of the largest."""
-    kept = max(UNIT_ROWS[x] for x in t.tables)
-    for c in t.where:
-        kept = kept * PREDICATES[c][1] // 1000
-    return sum(UNIT_ROWS[x] for x in t.tables), kept
+#: Numeric features of the SQL logs.
+STATISTICS = ["exec_ms", "plan_ms", "rows_read", "rows_out", "cpu_ms", "n_joins"]
 
 
-_SQL_LOG = "qid long, template string, sql string, n_joins long, rows_read long, rows_out long"
-#: Numeric features of the SQL logs.
-STATISTICS = ["n_joins", "rows_read", "rows_out"]
+def statistics(t: Template, i: int) -> tuple[int, ...]:
+    """The statistics of an instance, modelled: input rows after predicates per table, joined rows, and times.
+
+    Times follow the rows that are scanned, joined and sorted, with a load of up to a fifth more.
+    """
+    given = literals(t.name, i)
+    share = {x: 1000 for x in t.tables}
+    for c in t.where:
+        own = c.split(".")[0]
+        share[own] = max(1, share[own] * kept(c, given) // 1000)
+    rows_read = sum(UNIT_ROWS[x] for x in t.tables)
+    rows = max(UNIT_ROWS[x] for x in t.tables)
+    for x in t.tables:
+        rows = max(1, rows * share[x] // 1000)
+    groups = 1
+    for c in t.group:
+        groups = min(rows, groups * (5 + draw(c) % 200))
+    rows_out = groups if t.group else 1 if t.calls else rows
+    load = 1000 + draw(t.name, i, "load") % 200
+    work = rows_read // 2000 + (len(t.tables) - 1) * rows // 500 + (rows // 800 if t.group else 0) + rows_out // 100
+    plan_ms = 2 + 3 * (len(t.tables) - 1) ** 2 + len(t.where) + draw(t.name, i, "plan") % 4
+    exec_ms = max(1, work * load // 1000)
+    return exec_ms, plan_ms, rows_read, rows_out, exec_ms * (70 + draw(t.name, i, "cpu") % 25) // 100, len(t.tables) - 1
+
+
+_SQL_LOG = "qid long, template string, sql string, exec_ms long, plan_ms long, rows_read long, rows_out long, cpu_ms long, n_joins long"
 
 
 def sql_log(spark: SparkSession, templates: tuple[Template, ...], instances: int = 100) -> DataFrame:
-    """(qid, template, sql, n_joins, rows_read, rows_out): ``instances`` of each template in turn."""
-    rows = [(n * instances + i, t.name, render(t, i), len(t.tables) - 1, *statistics(t)) for n, t in enumerate(templates) for i in range(instances)]
+    """(qid, template, sql, statistics): ``instances`` of each template in turn."""
+    rows = [(n * instances + i, t.name, render(t, i), *statistics(t, i)) for n, t in enumerate(templates) for i in range(instances)]
     return spark.createDataFrame(rows, _SQL_LOG)
 
 
+#: Different instances of a template in a mixed log; a longer log repeats them under a load of its own.
+INSTANCES = 400
+
+
 def mixed_log(spark: SparkSession, n: int) -> DataFrame:
-    """The same columns at any length: both sets of templates, dealt by qid."""
+    """The same columns at any length: both sets of templates, dealt by qid; times vary with the entry."""
     every = REPORTS + STARS
-    texts = spark.createDataFrame([(k, i, t.name, render(t, i), len(t.tables) - 1, *statistics(t)) for k, t in enumerate(every) for i in range(100)], "k int, i int, template string, sql string, n_joins long, rows_read long, rows_out long")
-    ids = spark.range(n).select(F.col("id").alias("qid"), F.pmod("id", F.lit(len(every))).cast("int").alias("k"), F.pmod(F.expr(f"id div {len(every)}"), F.lit(100)).cast("int").alias("i"))
-    return ids.join(F.broadcast(texts), ["k", "i"]).drop("k", "i")
-
-
-def template_facts(spark: SparkSession, templates: tuple[Template, ...]) -> DataFrame:
-    """(template, tbl, keep_col, keep): each table of a template, with each column that a predicate restricts."""
-    rows = []
-    for t in templates:
-        for tbl in t.tables:
-            cols = [c for c in t.where if c.startswith(f"{tbl}.")] or [None]
-            rows += [(t.name, tbl, c, PREDICATES[c][1] if c else 1000) for c in cols]
-    return spark.createDataFrame(rows, "template string, tbl string, keep_col string, keep int")
+    texts = spark.createDataFrame([(k, i, t.name, render(t, i), *statistics(t, i)) for k, t in enumerate(every) for i in range(INSTANCES)], "k int, i int, " + _SQL_LOG.split(", ", 1)[1])
+    ids = spark.range(n).select(F.col("id").alias("qid"), F.pmod("id", F.lit(len(every))).cast("int").alias("k"), F.pmod(F.expr(f"id div {len(every)}"), F.lit(INSTANCES)).cast("int").alias("i"))
+    load = F.lit(1000) + F.pmod(F.xxhash64("qid"), F.lit(300))
+    times = {c: F.greatest(F.lit(1), F.floor(F.col(c) * load / 1000)).cast("long") for c in ("exec_ms", "cpu_ms")}
+    return ids.join(F.broadcast(texts), ["k", "i"]).drop("k", "i").withColumns(times)
+
+
+#: Texts with what must be found in them; {} takes a literal. Ordinals, aliases, expressions, quoted
+#: names, case, comments and lists of literals.
+ODD_TEXTS: tuple[tuple[str, str], ...] = (
+    ("select a, sum(b) from t where c = {} group by 1 order by 1", "f:SUM t:t g:t.a o:t.a"),
+    ("select a, sum(b) from t where c = {} group by 1 order by 2", "f:SUM t:t g:t.a o:t.b"),
+    ("SELECT A, SUM(B) FROM T WHERE C = {} GROUP BY 1 ORDER BY 2, 1", "f:SUM t:t g:t.a o:t.b o:t.a"),
+    ("select extract(year from d) y, count(*) from t where x in (1, 2, {}) group by extract(year from d) order by y", "f:EXTRACT f:COUNT t:t g:t.d o:t.d"),
+    ("select k, max(v) as top from u /* {} */ group by k order by max(v) desc, top", "f:MAX t:u g:u.k o:u.v o:u.v"),
+    ('select "K" from "U" where "K" = {} order by 1', "t:U o:U.K"),
+    ('select "k" from "U" where "k" = {} order by 1', "t:U o:U.k"),
+    ("select p.a, q.b from p join q on p.k = q.k where p.z > {} order by 2, 1 -- 7", "t:p t:q o:q.b o:p.a"),
+    ("select cast(a as int), b from t where date '{}-01-01' < d group by cast(a as int), b", "t:t g:t.a g:t.b f:CAST"),
+    ("call refresh_all({}, 'x')", "f:REFRESH_ALL"),
+)
+_KINDS = {"f": "function_call", "t": "table_reference", "g": "group_by", "o": "order_by"}
+
+
+def odd_tokens(text: str) -> list[tuple[str, str]]:
+    return [(_KINDS[x[0]], x[2:]) for x in text.split()]
+
+
+def odd_log(spark: SparkSession, instances: int = 20) -> DataFrame:
+    """(qid, sql): the odd texts with other literals each time."""
+    return spark.createDataFrame([(n * instances + i, sql.format(1990 + i)) for n, (sql, _) in enumerate(ODD_TEXTS) for i in range(instances)], "qid long, sql string")

@@ -147,10 +147,10 @@ def test_methods_are_compared_over_one_whole_log(spark, monkeypatch):
     monkeypatch.setattr(baselines, "hierarchical", clusters)
     monkeypatch.setattr(baselines, "k_medoids", lambda points, k, *a, **b: (clusters(points, k), 0.0))
     methods = {r.method for r in QUERIES["compare_methods_shared"](spark, SF).collect()}
-    assert {f"{m}_{kind}" for m in ("k_medoids", "hierarchical") for kind in ("numeric", "mixed")} <= methods and len(methods) == 9
+    assert {f"{m}_{kind}" for m in ("k_medoids", "hierarchical") for kind in ("numeric", "categorical", "mixed")} <= methods and len(methods) == 11
     sql = templates.sql_log(spark, templates.REPORTS + templates.STARS, 20)
     whole = [r.qid for r in skewed_log(features.Log(sql.select("qid"), sql.select("qid"), [])).entries.orderBy("qid").collect()]
-    assert 700 < len(whole) <= baselines.MAX_PAIRWISE and seen == [whole] * 4
+    assert 700 < len(whole) <= baselines.MAX_PAIRWISE and seen == [whole] * 6
 
 
 def test_sampling(spark):
@@ -161,10 +161,127 @@ def test_sampling(spark):
 
 
 def test_advisor_costs(spark):
-    w = advisor.Workload({t.name: t for t in templates.STARS}, {t.name: 1 for t in templates.STARS}, {"lineitem": 6000, "orders": 1500, "part": 200, "supplier": 10, "customer": 150}, {})
+    shapes = {t.name: advisor.Shape(t.tables, tuple((c, templates.PREDICATES[c].split()[0]) for c in t.where), t.group) for t in templates.STARS}
+    w = advisor.Workload(shapes, dict.fromkeys(shapes, 1), {"lineitem": 6000, "orders": 1500, "part": 200, "supplier": 10, "customer": 150}, {"part.p_brand": 25, "part.p_type": 6})
     found = advisor.candidates(w, {"index", "view"})
     none = advisor.whatif_cost(w, [])
     assert all(advisor.whatif_cost(w, [s]) <= none for s in found)
     design, used = advisor.advise(w, {"index", "view"}, 10_000)
     assert used <= 10_000 and advisor.whatif_cost(w, design) < none
     assert advisor.advise(w, {"index"}, 5)[0] == []
+
+
+def test_advice_from_the_text_of_a_log(spark):
+    """Candidates come from parsed texts, whoever wrote them; unknown tables are left out."""
+    rows = [(n, sql.format(n)) for n, sql in enumerate(["select o_orderstatus, count(*) from orders where o_totalprice > {} group by o_orderstatus"] * 6 + ["SELECT count(*) FROM orders o WHERE o.o_orderpriority = '{}'"] * 3 + ["select 1 from elsewhere where z = {}"])]
+    log = spark.createDataFrame(rows, "qid long, sql string")
+    w = advisor.workload(spark, log, {"orders": spark.read.parquet(f"{SF}/orders.parquet")})
+    assert sorted(w.counts.values()) == [1, 3, 6]
+    found = {(x.kind, x.cols) for x in advisor.candidates(w, {"index", "view"})}
+    assert found == {("index", ("orders.o_totalprice",)), ("index", ("orders.o_orderpriority",)), ("view", ("orders.o_orderstatus", "orders.o_totalprice"))}
+    assert advisor.whatif_cost(w, []) == 9 * 1500
+    assert advisor.whatif_cost(w, [advisor.Structure("index", ("orders",), ("orders.o_orderpriority",))]) == 6 * 1500 + 3 * 300
+    assert advisor.whatif_cost(w, advisor.optimal(w, {"index"})) == 6 * (1500 * 333 // 1000) + 3 * 300
+
+
+def test_greedy_advice_is_the_best_step_each_time(spark):
+    shapes = {t.name: advisor.Shape(t.tables, tuple((c, templates.PREDICATES[c].split()[0]) for c in t.where), t.group) for t in templates.REPORTS}
+    w = advisor.Workload(shapes, {n: 1 + i % 5 for i, n in enumerate(shapes)}, dict(templates.UNIT_ROWS), {c: 5 + len(c) for t in templates.REPORTS for c in (*t.where, *t.group)})
+    design, _ = advisor.advise(w, {"index", "view"}, 1 << 40, 5)
+    held = []
+    for chosen in design:
+        costs = {x: advisor.whatif_cost(w, [*held, x]) for x in advisor.candidates(w, {"index", "view"}) if x not in held}
+        assert costs[chosen] == min(costs.values())
+        held.append(chosen)
+
+
+def test_fingerprints_keep_ordinals_and_quoted_names(spark):
+    texts = [s.format(1999) for s, _ in templates.ODD_TEXTS]
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "qid long, sql string")
+    assert df.select(sqltext.mark(F.col("sql"))).distinct().count() == len(texts)
+    same = [("select a from t where x in (1, 2) and y = 'b' -- c", "SELECT a\nFROM t WHERE x IN (3,4,5) AND y = 'it''s'"), ("select f(x) from t limit 5", "select f(x) from t limit 6")]
+    for a, b in same:
+        got = spark.createDataFrame([(a,), (b,)], "sql string").select(sqltext.mark(F.col("sql"))).distinct().count()
+        assert got == 1, (a, b)
+
+
+def test_texts_have_tokens_of_their_own(spark):
+    for i, (sql, want) in enumerate(templates.ODD_TEXTS):
+        got = sorted((f, t) for f, t in sqltext.parse(sql.format(7), True) if f in ("function_call", "table_reference", "group_by", "order_by"))
+        assert got == sorted(templates.odd_tokens(want)), sql
+    where = [t for f, t in sqltext.parse("select 1 from t where extract(year from d) = 1 and date '1999-01-01' < e and interval '1' day < f and cast(g as int) is null") if f == "where_column"]
+    assert where == ["t.d", "t.e", "t.f", "t.g"]
+    assert ("function_call", "P") in sqltext.parse("call p(1)")
+
+
+def test_no_literal_survives_anonymising(spark):
+    sql = "select a, 3.25 from t where ssn = 123456789 and n = 'Bob' and m in (123456789, 7) /* call 555 */ group by 1, a order by 2 limit 10"
+    row = spark.createDataFrame([(sql,), (None,)], "sql string").select(sqltext.anonymise(F.col("sql"), "s").alias("x")).collect()
+    got = row[0].x
+    assert row[1].x is None and not any(x in got for x in ("3.25", "123456789", "Bob", "555"))
+    assert "group by 1, a order by 2 limit 10" in got and sqltext.parse(got) == sqltext.parse(sql)
+    number = got.split("ssn = ")[1].split()[0]
+    assert len(number) == 9 and got.count(number) == 2 and sqltext.scrub(sql, "other") != got
+
+
+def test_sinks(spark, tmp_path):
+    from repsum.sources import sinks
+
+    path = f"file://{tmp_path}/days"
+    sinks.write_partitioned(spark.createDataFrame([(1, "a"), (2, "b")], "v long, day string"), path, ["day"])
+    sinks.write_partitioned(spark.createDataFrame([(3, "b")], "v long, day string"), path, ["day"])
+    assert sorted((r.v, r.day) for r in spark.read.parquet(path).collect()) == [(1, "a"), (3, "b")]
+    log = spark.createDataFrame([(1, "select 1 as x"), (2, "select 2 as x"), (3, "select 3 as x")], "qid long, sql string")
+    sinks.export_script(spark.createDataFrame([(1, 3), (2, 1)], "pick_no int, qid long"), log, f"file://{tmp_path}/script")
+    ran = sinks.run_script(spark, f"file://{tmp_path}/script")
+    assert [q for q, _ in ran] == ["select 3 as x", "select 1 as x"] and all(t >= 0 for _, t in ran)
+
+
+def test_measured_run_with_a_sorted_copy(spark, tmp_path):
+    """A range-sorted copy gives the same rows and reads fewer of them for a predicate on its column."""
+    lines = spark.read.parquet(f"{SF}/lineitem.parquet")
+    copy = advisor.sorted_copy(lines, "l_quantity", f"file://{tmp_path}/copy")
+    assert copy.count() == lines.count()
+    text = ["select count(*) from lineitem where l_quantity < 5"]
+    assert all(advisor.measure(spark, text, {"lineitem": t}) > 0 for t in (lines, copy))
+    spans = [sorted(r.l_quantity for r in spark.read.parquet(f).select("l_quantity").collect()) for f in copy.inputFiles()]
+    spans = sorted((s[0], s[-1]) for s in spans if s)
+    assert all(a[1] <= b[0] for a, b in zip(spans, spans[1:]))
+
+
+def test_doubling_stops_when_good_enough(spark):
+    assert len(baselines.k_medoids_doubling(points(spark), lambda ids: len(ids) >= 3, kind="numeric")) == 4
+    assert len(baselines.k_medoids_doubling(points(spark), lambda ids: False, most=4, kind="numeric")) == 4
+
+
+def test_multiset_and_mixed_distances(spark):
+    p = points(spark)
+    rows = {r.qid: r for r in p.collect()}
+    got = {(r.qid, r.other): r.dist for r in baselines.distances_to(p, p.where("qid < 3"), "mixed").collect()}
+    for (a, b), d in got.items():
+        x, y = rows[a], rows[b]
+        gap = np.sqrt(((np.array(x.num) - np.array(y.num)) ** 2).mean())
+        assert d == pytest.approx((gap + 1 - len(set(x.toks) & set(y.toks)) / len(set(x.toks) | set(y.toks))) / 2)
+    assert pairwise(None, [{"a": 3, "b": 1}, {"a": 1, "c": 2}], True)[0, 1] == pytest.approx(1 - 1 / 6)
+
+
+def test_boosting_and_settings(spark):
+    from repsum.operators import tuning
+    from repsum.plans.prepare import prepare
+
+    p = prepare(orders_log(spark, SF))
+    weights, history = tuning.boost_weights(p, 10, 3)
+    assert len(history) == 3 and len(weights) == len(p.d) and max(h["rho_l1"] for h in history) >= history[0]["rho_l1"]
+    rows = tuning.sweep(p, (1.0, 1e-10), (0.0, 1.0), (5, 10))
+    assert len(rows) == 8 and all(0 <= r["score"] <= 1 for r in rows)
+    best = tuning.best_setting(rows, 1.0, 10)
+    assert best["score"] == max(r["score"] for r in rows if r["beta"] == 1.0 and r["k"] == 10)
+
+
+def test_plan_tokens_name_the_operators(spark):
+    from repsum.functions.plantext import plan_tokens
+
+    spark.range(5).createOrReplaceTempView("five")
+    log = spark.createDataFrame([(1, "select id % 2, count(*) from five group by 1"), (2, "select id from five order by id"), (3, "select id from five order by id")], "qid long, sql string")
+    got = {(r.qid, r.token) for r in plan_tokens(spark, log).collect()}
+    assert (1, "Aggregate") in got and (2, "Sort") in got and (3, "Sort") in got and (2, "Aggregate") not in got
