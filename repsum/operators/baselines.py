@@ -37,10 +37,6 @@ def sample_knapsack(entries: DataFrame, budget: float, seed: int | str = 42) ->
     return run.where(F.col("spent") <= budget).select("pick_no", "qid", "cost")
 
 
-def bernoulli_sample(entries: DataFrame, share: float, seed: int = 42) -> DataFrame:
-    return entries.sample(fraction=share, seed=seed)
-
-
 def top_frequency(vectors: DataFrame, k: int) -> DataFrame:
     """(pick_no, qid, n): the smallest id of each of the k most frequent identical entries."""
     same = vectors.groupBy("tids", "mults").agg(F.min("qid").alias("qid"), F.count("*").alias("n"))
@@ -52,8 +48,7 @@ def max_cover(vectors: DataFrame, size: int, k: int) -> list[int]:
     """Greedy maximum coverage: each pick adds most tokens not seen so far."""
     from repsum.operators.greedy import compress
 
-    # with all-equal targets and the covered mass first, the limit objective counts new tokens
-    return compress(vectors, np.full(size, 1.0), k, "limit").ids()
+    return compress(vectors, np.full(size, 1.0), k, "cover").ids()
 
 
 def distances_to(points: DataFrame, chosen: DataFrame, kind: str = "numeric") -> DataFrame:

@@ -11,6 +11,8 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, Window, functions as F
 
 from repsum.functions.numeric import bounds, bucket
+from repsum.plans.ranks import positions
+from repsum.plans.scratch import materialise
 
 BUCKETS = 1000
 #: Tokens of one feature beyond which its domain is considered too large to be useful.
@@ -65,13 +67,35 @@ def distribution(toks: DataFrame) -> DataFrame:
     return freq.crossJoin(F.broadcast(total)).select("feature", "token", "freq", (F.col("freq") / F.col("z")).alias("p"))
 
 
+#: Domain sizes whose state may be shipped to every task: two doubles per token.
+MAX_DOMAIN = 20_000_000
+#: Distinct tokens that one task numbers, and that are broadcast to the tokens of a log.
+SMALL_DOMAIN = 1_000_000
+
+
 def domain(toks: DataFrame) -> DataFrame:
-    """(tid, feature, token, freq) with dense ids in (feature, token) order.
+    """(tid, feature, token, freq) with dense ids in (feature, token) order; its size is checked before anything else.
 
-    The window is over distinct tokens only. Domains beyond a broadcast never need dense ids:
-    see greedy.gains_by_join().
+    Up to a million distinct tokens are numbered in one task, more by ranges. Domains beyond a
+    broadcast have no dense ids: see greedy.compress_by_join().
     """
-    return frequencies(toks).select((F.row_number().over(Window.orderBy("feature", "token")) - 1).cast("int").alias("tid"), "feature", "token", "freq")
+    freq = materialise(frequencies(toks), "frequencies")
+    size = freq.count()
+    if size > MAX_DOMAIN:
+        raise ValueError(f"a domain of {size} tokens is too large to ship; use greedy.compress_by_join()")
+    if size > SMALL_DOMAIN:
+        ranked = positions(freq.withColumn("all", F.lit(0)), ["all"], ["feature", "token"], "tid")
+        return ranked.select(F.col("tid").cast("int").alias("tid"), "feature", "token", "freq")
+    return freq.select((F.row_number().over(Window.orderBy("feature", "token")) - 1).cast("int").alias("tid"), "feature", "token", "freq")
+
+
+def with_domain(toks: DataFrame, dom: DataFrame, salts: int = 16) -> DataFrame:
+    """Tokens beside the domain's columns. A small domain is broadcast; a larger one is repeated ``salts`` times,
+    so that a token that a third of the log has is spread over as many tasks."""
+    if dom.limit(SMALL_DOMAIN + 1).count() <= SMALL_DOMAIN:
+        return toks.join(F.broadcast(dom), ["feature", "token"])
+    salted = dom.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    return toks.withColumn("salt", F.pmod(F.xxhash64("qid"), F.lit(salts)).cast("int")).join(salted, ["feature", "token", "salt"]).drop("salt")
 
 
 def query_sizes(toks: DataFrame) -> DataFrame:
@@ -81,7 +105,7 @@ def query_sizes(toks: DataFrame) -> DataFrame:
 def pack(toks: DataFrame, dom: DataFrame, costs: DataFrame | None = None) -> DataFrame:
     """(qid, cost, tids, mults): one row per entry, sorted by tid; cost 1 unless given."""
     ids = dom.select("tid", "feature", "token")
-    wide = toks.join(ids, ["feature", "token"]).groupBy("qid").agg(F.array_sort(F.collect_list(F.struct("tid", "mult"))).alias("v"))
+    wide = with_domain(toks, ids).groupBy("qid").agg(F.array_sort(F.collect_list(F.struct("tid", "mult"))).alias("v"))
     packed = wide.select("qid", F.col("v.tid").alias("tids"), F.transform("v.mult", lambda m: m.cast("int")).alias("mults"))
     if costs is None:
         return packed.select("qid", F.lit(1.0).alias("cost"), "tids", "mults")

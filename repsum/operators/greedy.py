@@ -10,7 +10,10 @@ fenced  gains only shrink as the summary grows, so stale gains bound the present
         scores everything once and brings the best ``pool`` entries to the driver, where a lazy
         heap picks as long as its head beats the *fence*, the best bound left outside. Only
         when the fence is reached is another pass due.
-lazy    the same heap over all entries of a small log, without a fence.
+lazy    the same heap over all entries of a log of at most ``MAX_POOL``, without a fence.
+
+gamma 'limit' is the order that gains have as gamma goes to 0; gamma 'cover' counts target mass
+newly covered and nothing else.
 
 The best single entry that fits is kept as a safeguard for budgets over unequal costs.
 """
@@ -25,11 +28,14 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
+from repsum.operators.features import with_domain
+from repsum.plans.scratch import materialise
+
 GAMMA = 1e-25
 DIGITS = 9
 POOL = 4096
-#: Domain sizes whose state may be shipped to every task: two doubles per token.
-MAX_DOMAIN = 20_000_000
+#: Entries that a pass brings to the driver at most, and that the lazy strategy takes; more passes do the rest.
+MAX_POOL = 1 << 18
 
 
 @dataclass
@@ -59,7 +65,9 @@ def gain_of(d: np.ndarray, m: np.ndarray, tids: np.ndarray, mults: np.ndarray, s
     of sum d * ln m over what is already covered.
     """
     have, weight, c = m[tids], d[tids], mults.astype(np.float64)
-    if gamma == "limit":
+    if gamma == "cover":
+        parts = np.where(have == 0, weight, 0.0)
+    elif gamma == "limit":
         new = np.where(have == 0, weight, 0.0)
         old = weight * np.where(have == 0, np.log(c), np.log(np.where(have == 0, 1, have + c)) - np.log(np.where(have == 0, 1, have)))
         parts = np.stack([new, old], axis=1)
@@ -121,15 +129,9 @@ def lazy(pool: list[Pick], d: np.ndarray, m: np.ndarray, left: float, count: int
     return left
 
 
-def _state(spark: SparkSession, d: np.ndarray, m: np.ndarray):
-    if len(d) > MAX_DOMAIN:
-        raise ValueError(f"a domain of {len(d)} tokens is too large to ship; use gains_by_join()")
-    return spark.sparkContext.broadcast((d, m))
-
-
 def score_pass(vectors: DataFrame, d: np.ndarray, m: np.ndarray, left: float, picked: list[int], gamma, want: int) -> DataFrame:
     """The best ``want`` entries of every task that still fit: (k0, k1, qid, cost, gain, tids, mults)."""
-    shared = _state(vectors.sparkSession, d, m)
+    shared = vectors.sparkSession.sparkContext.broadcast((d, m))
     gone = np.sort(np.array(picked, np.int64))
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -191,7 +193,9 @@ def compress(vectors: DataFrame, d: np.ndarray, budget: float, gamma: float | st
         left -= p.cost
         result.picks.append(p)
     count = min((c for c in (int(budget) if unit else None, most) if c is not None), default=None)
-    want = 1 if strategy == "eager" else pool
+    want = 1 if strategy == "eager" else min(pool, MAX_POOL)
+    if strategy == "lazy" and vectors.limit(MAX_POOL + 1).count() > MAX_POOL:
+        raise ValueError(f"the lazy strategy holds all entries at once; more than {MAX_POOL} need the fenced one")
     single: Pick | None = None
     if not unit and safeguard and not result.picks:
         one_each = vectors.where(F.col("cost") <= left).select("qid", F.lit(1.0).alias("cost"), "tids", "mults", F.col("cost").alias("own"))
@@ -200,7 +204,7 @@ def compress(vectors: DataFrame, d: np.ndarray, budget: float, gamma: float | st
             single = _as_pick(found[0])
             single.cost = float(one_each.where(F.col("qid") == single.qid).head()["own"])
     while count is None or len(result.picks) < count:
-        ask = 1 << 30 if strategy == "lazy" else want + 1
+        ask = MAX_POOL if strategy == "lazy" else want + 1
         rows = _best(vectors, d, m, left, hidden + result.ids(), gamma, ask)
         result.passes += 1
         result.evaluations += len(rows) if strategy == "lazy" else 0
@@ -215,7 +219,7 @@ def compress(vectors: DataFrame, d: np.ndarray, budget: float, gamma: float | st
         if len(result.picks) == before or (outside is None and strategy != "eager"):
             break
         if strategy == "fenced" and len(result.picks) - before < 4:
-            want *= 2  # gains have flattened: a wider pool saves passes
+            want = min(2 * want, MAX_POOL)  # gains have flattened: a wider pool saves passes
     if single is not None and value(d, [single], gamma) > value(d, result.picks, gamma):
         result.picks, result.winner = [single], "single"
     return result
@@ -227,6 +231,8 @@ def value(d: np.ndarray, picks: list[Pick], gamma) -> tuple | float:
     for p in picks:
         m[p.tids] += p.mults
     hit = m > 0
+    if gamma == "cover":
+        return float(d[hit].sum())
     if gamma == "limit":
         return round(float(d[hit].sum()), 12), round(float((d[hit] * np.log(m[hit])).sum()), 12)
     return float((d[hit] * (np.log(m[hit] + gamma) - np.log(gamma))).sum())
@@ -239,10 +245,12 @@ def target_array(dom: DataFrame, target: DataFrame | None = None, weights: DataF
         rows = rows.join(target.select("feature", "token", "d"), ["feature", "token"], "left")
     if weights is not None:
         rows = rows.join(F.broadcast(weights.select("feature", "w")), "feature")
-    got = rows.toPandas().sort_values("tid")
-    d = got["d"].fillna(0).to_numpy(float) if target is not None else got["freq"].to_numpy(float) / got["freq"].sum()
+    share = F.coalesce("d", F.lit(0.0)) if target is not None else F.col("freq").cast("double")
+    scale = F.col("w") if weights is not None else F.lit(1.0)
+    got = rows.select("tid", share.alias("x"), scale.alias("w")).toPandas().sort_values("tid")  # numbers only, of a checked domain
+    d = got["x"].to_numpy(float) if target is not None else got["x"].to_numpy(float) / got["x"].sum()
     if weights is not None:
-        d = d * got["w"].to_numpy(float) * got["feature"].nunique()
+        d = d * got["w"].to_numpy(float) * rows.select("feature").distinct().count()
     return d
 
 
@@ -254,7 +262,7 @@ def trace(result: Result, d: np.ndarray, feature: np.ndarray, gamma, beta: float
     g = 0.0
     for n, p in enumerate(result.picks, 1):
         new = p.tids[m[p.tids] == 0]
-        if gamma != "limit":
+        if not isinstance(gamma, str):
             g += float((d[p.tids] * (np.log(m[p.tids] + p.mults + gamma) - np.log(m[p.tids] + gamma))).sum())
         m[p.tids] += p.mults
         hit += np.bincount(own[new], minlength=len(kinds))
@@ -266,6 +274,18 @@ def trace(result: Result, d: np.ndarray, feature: np.ndarray, gamma, beta: float
     return out
 
 
+def feature_scores(picks: list[Pick], d: np.ndarray, feature: np.ndarray, kinds: list[str]) -> list[tuple[str, float, float]]:
+    """(feature, coverage, representativity) of a summary with shares within each feature."""
+    m = np.zeros(len(d))
+    for p in picks:
+        m[p.tids] += p.mults
+    size, hit = np.bincount(feature, minlength=len(kinds)), np.bincount(feature, weights=m > 0, minlength=len(kinds))
+    have, want = np.bincount(feature, weights=m, minlength=len(kinds)), np.bincount(feature, weights=d, minlength=len(kinds))
+    gap = np.abs(m / np.maximum(have, 1)[feature] - d / np.where(want > 0, want, 1)[feature])
+    lost = np.bincount(feature, weights=gap, minlength=len(kinds))
+    return [(k, float(hit[i] / size[i]), float(1 - lost[i] / 2) if have[i] else 0.0) for i, k in enumerate(kinds)]
+
+
 def best_prefix(rows: list[dict]) -> int:
     """Length of the prefix with the best blended score; greedy prefixes nest, so one run serves every size."""
     return max(rows, key=lambda r: (r["score"], -r["pick_no"]))["pick_no"] if rows else 0
@@ -301,4 +321,36 @@ def gains_by_join(toks: DataFrame, target: DataFrame, state: DataFrame, gamma: f
     """(qid, gain) with the state as a table (feature, token, m): the pass for domains beyond a broadcast."""
     have = target.join(state.select("feature", "token", "m"), ["feature", "token"], "left").select("feature", "token", "d", F.coalesce("m", F.lit(0)).alias("m"))
     one = F.col("d") * (F.log(F.col("m") + F.col("mult") + F.lit(gamma)) - F.log(F.col("m") + F.lit(gamma)))
-    return toks.join(have, ["feature", "token"]).groupBy("qid").agg(F.sum(one).alias("gain"))
+    return with_domain(toks, have).groupBy("qid").agg(F.sum(one).alias("gain"))
+
+
+def compress_by_join(toks: DataFrame, target: DataFrame, budget: int, gamma: float = GAMMA, pool: int = 256) -> DataFrame:
+    """(pick_no, qid, gain): plain greedy over a domain of any size; nothing over the domain is shipped or collected.
+
+    ``target`` is (feature, token, d). A pass joins tokens to target and counts, and keeps the best
+    ``pool`` entries. Their tokens alone, a bounded table, are scored again after each pick; as gains
+    only shrink, picks go on until the best gain left outside the pool might win, then the next pass is due.
+    """
+    spark, picked = toks.sparkSession, []
+    state = target.select("feature", "token", F.lit(0).cast("long").alias("m")).where("false")
+    while len(picked) < budget:
+        gains = gains_by_join(toks.where(~F.col("qid").isin([q for q, _ in picked])) if picked else toks, target, state, gamma)
+        top = gains.select("qid", F.round("gain", DIGITS).alias("gain")).orderBy(F.desc("gain"), "qid").limit(pool + 1).collect()
+        if not top:
+            break
+        fence = (-top[pool]["gain"], top[pool]["qid"]) if len(top) > pool else None
+        inside = [r["qid"] for r in top[:pool]]
+        own = materialise(toks.where(F.col("qid").isin(inside)).join(target, ["feature", "token"]).join(state, ["feature", "token"], "left").select("qid", "feature", "token", "mult", "d", F.coalesce("m", F.lit(0)).alias("m")), "pool").toPandas()
+        names = own["feature"] + "\0" + own["token"]
+        tid = names.factorize()[0]
+        m, d = np.zeros(tid.max(initial=-1) + 1), np.zeros(tid.max(initial=-1) + 1)
+        m[tid], d[tid] = own["m"].to_numpy(float), own["d"].to_numpy(float)
+        at = own.groupby("qid").indices
+        picks = [Pick(r["qid"], r["gain"], 1.0, tid[at[r["qid"]]].astype(np.int64), own["mult"].to_numpy(np.int64)[at[r["qid"]]]) for r in top[:pool]]
+        bounds = [(r["gain"],) for r in top[:pool]]
+        got = Result()
+        lazy(picks, d, m, float(budget), budget - len(picked), gamma, ((fence[0],), fence[1]) if fence else None, got, bounds)
+        picked += [(p.qid, p.gain) for p in got.picks]
+        chosen = toks.where(F.col("qid").isin([p.qid for p in got.picks])).select("feature", "token", F.col("mult").alias("m"))
+        state = materialise(state.unionByName(chosen).groupBy("feature", "token").agg(F.sum("m").alias("m")), "state")  # tokens of the summary only
+    return spark.createDataFrame([(n, q, g) for n, (q, g) in enumerate(picked, 1)], "pick_no int, qid long, gain double")

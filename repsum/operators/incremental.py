@@ -2,17 +2,27 @@
 
 from __future__ import annotations
 
+import time
+
 import numpy as np
 from pyspark.sql import DataFrame, Window, functions as F
 
-from repsum.operators.features import frequencies
+from repsum.operators.features import frequencies, with_domain
 from repsum.operators.greedy import GAMMA, Pick, Result, compress
 from repsum.operators.partitioned import _local
+from repsum.plans.ranks import positions
+from repsum.plans.scratch import materialise
 
 
 def batches(entries: DataFrame, n: int, order: list[str]) -> DataFrame:
-    """(qid, batch): equal consecutive runs; ntile over the ids and order keys only."""
-    return entries.select("qid", F.ntile(n).over(Window.orderBy(*order)).alias("batch"))
+    """(qid, batch): equal consecutive runs, the first ones a row longer; ranks come from ranges, not from one task."""
+    narrow = entries.select("qid", *(c for c in order if c != "qid")).withColumn("all", F.lit(0))
+    ranked = materialise(positions(narrow, ["all"], order, "at"), "ranked")
+    total = ranked.count()
+    size, longer = divmod(total, n)
+    head = longer * (size + 1)
+    late = F.lit(longer) + (F.expr(f"(at - {head}) div {size}") if size else F.lit(0))
+    return ranked.select("qid", (F.when(F.col("at") < head, F.expr(f"at div {size + 1}")).otherwise(late) + 1).cast("int").alias("batch"))
 
 
 def batches_by_range(entries: DataFrame, n: int, column: str) -> DataFrame:
@@ -56,24 +66,44 @@ def merge_bounds(both_a: DataFrame, both_b: DataFrame, both_union: DataFrame, si
     return row.select("*", (F.least("alpha_a", "alpha_b") / 2).alias("alpha_bound"), F.least("rho_a", "rho_b").alias("rho_bound"), F.lit(s * w2 == s2 * w).alias("proportional"))
 
 
-def run_incremental(vectors: DataFrame, batch_of: DataFrame, d_of, n: int, budget_of, gamma=GAMMA) -> list[dict]:
-    """Add batches one at a time; ``d_of(b)`` is the target after batch b, ``budget_of(b)`` the number of picks.
+def prefix_targets(toks: DataFrame, dom: DataFrame, batch_of: DataFrame, n: int, size: int) -> list[np.ndarray]:
+    """Shares of the log up to each batch, by tid: what each batch's target is without looking ahead.
+
+    One pass counts every batch; n rows per token of a checked domain reach the driver.
+    """
+    per = with_domain(toks.join(batch_of, "qid"), dom.select("tid", "feature", "token")).groupBy("batch", "tid").agg(F.sum("mult").alias("freq")).toPandas()
+    counts = np.zeros((n, size))
+    counts[per["batch"].to_numpy(int) - 1, per["tid"].to_numpy(int)] = per["freq"].to_numpy(float)
+    upto = counts.cumsum(axis=0)
+    return list(upto / np.maximum(upto.sum(axis=1, keepdims=True), 1))
+
+
+def run_incremental(vectors: DataFrame, batch_of: DataFrame, targets: list[np.ndarray], budget_of, gamma=GAMMA, scratch: bool = True) -> list[dict]:
+    """Add batches one at a time; ``targets`` has the target after each, ``budget_of(entries so far)`` is the number of picks.
 
-    Returns, per batch, the merged result and how many entries were looked at, beside what a run
-    from scratch over all batches so far would look at.
+    Returns, per batch, the merged result with its seconds and entries looked at so far; and, if
+    ``scratch``, the same of a run over all entries up to the batch under the same target.
     """
     held: list[Pick] = []
-    out, seen = [], 0
-    tagged = vectors.join(batch_of, "qid")
-    for b in range(1, n + 1):
-        own = tagged.where(F.col("batch") == b).drop("batch")
-        d = d_of(b)
-        size = own.count()
-        seen += size
-        new = compress(own, d, min(budget_of(b), size), gamma)
-        merged = merge_compress(held, new.picks, budget_of(b), d, gamma)
+    out, seen, looked, afresh = [], 0, 0, 0
+    took = {"merged": 0.0, "scratch": 0.0}
+    tagged = materialise(vectors.join(batch_of, "qid"), "tagged")
+    sizes = {r["batch"]: r["count"] for r in tagged.groupBy("batch").count().collect()}
+    for b, d in enumerate(targets, 1):
+        seen += sizes.get(b, 0)
+        looked, afresh, k = looked + sizes.get(b, 0), afresh + seen, budget_of(seen)
+        began = time.perf_counter()
+        new = compress(tagged.where(F.col("batch") == b).drop("batch"), d, min(k, sizes.get(b, 0)), gamma)
+        merged = merge_compress(held, new.picks, k, d, gamma)
+        took["merged"] += time.perf_counter() - began
         held = merged.picks
-        out.append({"batch": b, "looked_at": size, "scratch": seen, "result": merged})
+        row = {"batch": b, "entries": seen, "looked_at": looked, "scratch_looked_at": afresh, "result": merged, "seconds": took["merged"], "target": d}
+        if scratch:
+            began = time.perf_counter()
+            row["scratch"] = compress(tagged.where(F.col("batch") <= b).drop("batch"), d, k, gamma)
+            took["scratch"] += time.perf_counter() - began
+            row["scratch_seconds"] = took["scratch"]
+        out.append(row)
     return out
 
 

@@ -53,6 +53,13 @@ def uniform_target(toks: DataFrame) -> DataFrame:
     return features.frequencies(toks).select("feature", "token", (1 / F.count("*").over(Window.partitionBy())).alias("d"))
 
 
+def even_target(toks: DataFrame) -> DataFrame:
+    """Every feature alike, and within a feature every token: large domains do not drown small ones."""
+    freq = features.frequencies(toks)
+    per = freq.groupBy("feature").agg(F.count("*").alias("n")).withColumn("kinds", F.count("*").over(Window.partitionBy()))  # a row per feature
+    return freq.join(F.broadcast(per), "feature").select("feature", "token", (1 / (F.col("n") * F.col("kinds"))).alias("d"))
+
+
 def boosted_target(toks: DataFrame, feature: str, factor: float) -> DataFrame:
     """The log's shares with one feature's multiplied by ``factor``."""
     raised = features.distribution(toks).withColumn("x", F.col("p") * F.when(F.col("feature") == feature, factor).otherwise(1.0))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 import numpy as np
@@ -85,6 +86,44 @@ def w_star_tokens(spark, sf_dir):
     return sql_tokens(templates.sql_log(spark, templates.STARS))
 
 
+@query
+def w_sql_odd_tokens(spark, sf_dir):
+    """Texts with ordinals, aliases, expressions, quoted names, comments and lists of literals."""
+    return sql_tokens(templates.odd_log(spark))
+
+
+@query
+def w_sql_mix_tokens(spark, sf_dir):
+    """The mixed log of both sets of templates, at the orders table's length."""
+    log = templates.mixed_log(spark, read(spark, sf_dir, "orders").count())
+    return sql_tokens(log).groupBy("feature", "token").agg(F.sum("mult").alias("freq"))
+
+
+@query
+def w_sql_where(spark, sf_dir):
+    return sql_tokens(templates.sql_log(spark, templates.STARS), ("where_column",)).groupBy("token").agg(F.sum("mult").alias("freq"))
+
+
+@query
+def w_sql_statistics(spark, sf_dir):
+    """How many different statistics and literals the modelled logs have, per template."""
+    log = templates.sql_log(spark, templates.REPORTS)
+    return log.groupBy("template").agg(F.count_distinct("sql").alias("texts"), F.count_distinct("exec_ms").alias("times"), F.min("n_joins").alias("n_joins"))
+
+
+@query
+def doc_words(spark, sf_dir):
+    return features.frequencies(logs.docs_log(spark, sf_dir).bags)
+
+
+@query
+def token_map(spark, sf_dir):
+    """Bags as maps: occurrences by feature of each entry, looked up by name."""
+    per = features.tokens(logs.orders_log(spark, sf_dir)).groupBy("qid", "feature").agg(F.sum("mult").alias("n"))
+    bags = per.groupBy("qid").agg(F.map_from_entries(F.collect_list(F.struct("feature", "n"))).alias("bag"))
+    return bags.select("qid", *(F.coalesce(F.element_at("bag", f), F.lit(0)).alias(f) for f in ("fn", "tb", "ob")), F.size("bag").alias("features"))
+
+
 @query
 def w_sql_joins(spark, sf_dir):
     return join_counts(templates.sql_log(spark, templates.REPORTS))
@@ -311,8 +350,9 @@ def greedy_target_8(spark, sf_dir):
 
 @query
 def testgen_uniform_8(spark, sf_dir):
-    """A test workload in which rare tokens count as much as frequent ones."""
-    return greedy_target_8(spark, sf_dir)
+    """A test workload in which every feature counts alike, and within it rare tokens as much as frequent ones."""
+    log = logs.orders_log(spark, sf_dir)
+    return _eight(prepare(log, target=tuning.even_target(features.tokens(log))))
 
 
 @query
@@ -325,12 +365,75 @@ def greedy_best_singleton(spark, sf_dir):
     return _eight(_orders(spark, sf_dir), budget=1)
 
 
+@query
+def greedy_safeguard(spark, sf_dir):
+    """The best single entry costs the whole budget, every other one 0.6 of it: density prefers those, the safeguard does not."""
+    p = _orders(spark, sf_dir)
+    best = greedy.compress(p.vectors, p.d, 1).picks[0].qid
+    priced = p.vectors.withColumn("cost", F.when(F.col("qid") == best, 100.0).otherwise(60.0))
+    return _rounded(greedy.summary(spark, greedy.compress(priced, p.d, 100, unit=False)), "gain")
+
+
+@query
+def greedy_collapsed_8(spark, sf_dir):
+    """Equal entries collapsed to as many copies as there are picks: the same summary from fewer rows."""
+    p = _orders(spark, sf_dir)
+    p.vectors = materialise(greedy.collapse(p.vectors, 8), "collapsed")
+    return _eight(p)
+
+
+@query
+def greedy_by_join_8(spark, sf_dir):
+    """Greedy whose domain is never shipped or collected."""
+    toks = materialise(features.tokens(logs.orders_log(spark, sf_dir)), "tokens")
+    target = materialise(features.distribution(toks).select("feature", "token", F.col("p").alias("d")), "target")
+    return _rounded(greedy.compress_by_join(toks, target, 8), "gain").withColumn("cost", F.lit(1.0))
+
+
 @query
 def greedy_trace_8(spark, sf_dir):
     p = _orders(spark, sf_dir)
     got = greedy.compress(p.vectors, p.d, 8)
     rows = greedy.trace(got, p.d, p.features(), greedy.GAMMA)
-    return spark.createDataFrame([tuple(r.values()) for r in rows], greedy.TRACE)
+    return _rounded(spark.createDataFrame([tuple(r.values()) for r in rows], greedy.TRACE), "gain", "g", "alpha_min", "alpha_avg", "rho_l1", "rho_linf", "score")
+
+
+@query
+def greedy_best_prefix(spark, sf_dir):
+    """The prefix of the summary with the best blended score, and the smallest that reaches nine tenths of it."""
+    p = _orders(spark, sf_dir)
+    rows = greedy.trace(greedy.compress(p.vectors, p.d, sqrt_budget(p.log.entries)), p.d, p.features(), greedy.GAMMA)
+    best = greedy.best_prefix(rows)
+    goal = 0.9 * rows[best - 1]["score"] if best else 0.0
+    return spark.createDataFrame([(best, greedy.size_for(rows, goal), goal)], "best_prefix int, size_for_score int, score double")
+
+
+@query
+def platform_choice(spark, sf_dir):
+    """A summary by numeric features alone, for choosing hardware: what queries cost, not what they say."""
+    log = logs.orders_log(spark, sf_dir)
+    return _eight(prepare(features.Log(log.entries, log.bags.where("false"), log.numeric)))
+
+
+@query
+def exhaustive_toy(spark, sf_dir):
+    """The best summary of the worked example by size, every subset tried; greedy's beside it."""
+    toks = materialise(logs.toy_tokens(spark), "toy")
+    out = None
+    for k, sets in ((1, ([1], [2], [3])), (2, ([1, 2], [1, 3], [2, 3])), (3, ([1, 2, 3],))):
+        for some in sets:
+            row = metrics.objective(metrics.compare(toks.where(F.col("qid").isin(some)), toks), 1.0).select(F.lit(k).alias("k"), F.lit(",".join(map(str, some))).alias("s"), F.round("g", 6).alias("g"))
+            out = row if out is None else out.unionByName(row)
+    best = out.groupBy("k").agg(F.max(F.struct("g", "s")).alias("b"))
+    return best.select("k", F.col("b.s").alias("s"), F.col("b.g").alias("g"))
+
+
+@query
+def tuning_grid(spark, sf_dir):
+    """Blended score by smoothing, blend and size, and which setting is best at each blend and size."""
+    rows = tuning.sweep(_orders(spark, sf_dir), (1.0, 1e-10, 1e-25), (0.0, 0.5, 1.0), (10, 50))
+    best = {(b, k): tuning.best_setting(rows, b, k)["gamma"] for b in (0.0, 0.5, 1.0) for k in (10, 50)}
+    return spark.createDataFrame([(r["gamma"], r["beta"], r["k"], r["score"], best[r["beta"], r["k"]] == r["gamma"]) for r in rows], "gamma string, beta double, k int, score double, best boolean")
 
 
 @query
@@ -353,18 +456,39 @@ def compliance_benchmark(spark, sf_dir):
     return _rounded(greedy.summary(spark, greedy.compress(vectors, p.d, cap, "limit", unit=False)), "gain")
 
 
+#: The smoothings of the published trade-off.
+TRADE_OFF = (1.0, 1e-3, 1e-10, 1e-15, 1e-20, 1e-25)
+
+
 @query
 def gamma_sweep(spark, sf_dir):
     """Scores of summaries by smoothing and size; greedy prefixes nest, so one run serves all sizes."""
     p = _orders(spark, sf_dir)
-    kinds = p.features()
+    kinds, sizes = p.features(), (25, 50, 100, 200, 400)
     out = []
-    for g in (*GAMMAS, "limit"):
-        rows = greedy.trace(greedy.compress(p.vectors, p.d, 100, g), p.d, kinds, g)
-        out += [(str(g), r["pick_no"], r["alpha_avg"], r["rho_l1"], r["score"]) for r in rows if r["pick_no"] in (25, 50, 100)]
+    for g in (*TRADE_OFF, "limit"):
+        rows = greedy.trace(greedy.compress(p.vectors, p.d, max(sizes), g), p.d, kinds, g)
+        out += [(str(g), r["pick_no"], r["alpha_avg"], r["rho_l1"], r["score"]) for r in rows if r["pick_no"] in sizes]
     return spark.createDataFrame(out, "gamma string, k int, alpha_avg double, rho_l1 double, score double")
 
 
+@query
+def gamma_by_feature(spark, sf_dir):
+    """Coverage and representativity of each feature by smoothing, at the default size."""
+    p = _orders(spark, sf_dir)
+    kinds, number, k = p.kinds(), p.features(), sqrt_budget(p.log.entries)
+    out = [(str(g), *row) for g in TRADE_OFF for row in greedy.feature_scores(greedy.compress(p.vectors, p.d, k, g).picks, p.d, number, kinds)]
+    return spark.createDataFrame(out, "gamma string, feature string, alpha double, rho_l1 double")
+
+
+@query
+def feature_scores_8(spark, sf_dir):
+    """Coverage and representativity of each feature after eight picks."""
+    p = _orders(spark, sf_dir)
+    got = greedy.feature_scores(greedy.compress(p.vectors, p.d, 8).picks, p.d, p.features(), p.kinds())
+    return _rounded(spark.createDataFrame(got, "feature string, alpha double, rho_l1 double"), "alpha", "rho_l1")
+
+
 @query
 def gains_by_join(spark, sf_dir):
     """First-round gains without shipping the domain: the pass for domains beyond a broadcast."""
@@ -403,6 +527,27 @@ def partition_merge(spark, sf_dir):
     return _rounded(greedy.summary(spark, partitioned.compress_partitioned(p.vectors, p.d, 20, 4)), "gain")
 
 
+@query
+def partition_merge_4(spark, sf_dir):
+    """Three parts of four picks each, and four picks of their union."""
+    p = _orders(spark, sf_dir)
+    return _rounded(greedy.summary(spark, partitioned.compress_partitioned(p.vectors, p.d, 4, 3)), "gain")
+
+
+@query
+def partition_shares(spark, sf_dir):
+    """What partitioning costs: the share of one part's value that is kept by parts, by as many parts as picks, by a tree, and by parts with targets of their own."""
+    p, k = _orders(spark, sf_dir), 40
+    whole = greedy.value(p.d, greedy.compress(p.vectors, p.d, k).picks, greedy.GAMMA)
+    runs = {f"{n} parts": {"parts": n} for n in (1, 2, 4, 6)} | {"as many parts as picks": {"parts": "budget"}, "tree of 16": {"parts": 16, "levels": 2, "fan": 4}, "4 parts, own targets": {"parts": 4, "scope": "local"}}
+    out = []
+    for name, how in runs.items():
+        picks = partitioned.compress_partitioned(p.vectors, p.d, k, **how).picks
+        row = greedy.trace(greedy.Result(picks), p.d, p.features(), greedy.GAMMA)[-1]
+        out.append((name, len(picks), greedy.value(p.d, picks, greedy.GAMMA) / whole, row["alpha_avg"], row["rho_l1"]))
+    return spark.createDataFrame(out, "how string, picks int, share double, alpha_avg double, rho_l1 double")
+
+
 @query
 def partition_tree(spark, sf_dir):
     p = _orders(spark, sf_dir)
@@ -444,20 +589,31 @@ def merge_bounds(spark, sf_dir):
     own = [h.join(F.broadcast(s), "qid", "left_semi") for h, s in zip(halves, picks)]
     size = [int(t.agg(F.sum("mult")).head()[0]) for t in (*own, *halves)]
     both = [metrics.compare(s, w) for s, w in zip(own, halves)]
-    return incremental.merge_bounds(both[0], both[1], metrics.compare(incremental.merge_append(*own), toks), tuple(size))
+    row = incremental.merge_bounds(both[0], both[1], metrics.compare(incremental.merge_append(*own), toks), tuple(size))
+    return _rounded(row, "alpha_a", "rho_a", "alpha_b", "rho_b", "alpha_ab", "rho_ab", "alpha_bound", "rho_bound")
+
+
+#: Numeric bounds of the events log, known before its batches arrive.
+PINNED_EVENTS = {"value": (0, 60_000), "k": (0, 99), "gap": (0, 7 * 86_400_000), "run": (1, 50)}
 
 
 @query
 def incremental_batches(spark, sf_dir):
-    """Seven batches added one at a time: entries looked at against from-scratch runs, and the value kept."""
+    """Seven batches added one at a time, each against a run from scratch over the log up to it.
+
+    Bounds are pinned and a batch's target is the log up to it, so nothing is known beforehand.
+    """
     log, b = _batches(spark, sf_dir)
-    p = prepare(log)
-    size = log.entries.count()
-    steps = incremental.run_incremental(p.vectors, b, lambda n: p.d, 7, lambda n: max(1, int((size * n / 7) ** 0.5)))
-    scratch = greedy.compress(p.vectors, p.d, max(1, int(size**0.5)))
-    best = greedy.value(p.d, scratch.picks, greedy.GAMMA)
-    rows = [(s["batch"], s["looked_at"], s["scratch"], len(s["result"].picks), greedy.value(p.d, s["result"].picks, greedy.GAMMA) / best) for s in steps]
-    return spark.createDataFrame(rows, "batch int, looked_at long, from_scratch long, picks int, share_of_scratch double")
+    b = materialise(b, "batches")
+    p = prepare(log, pinned=PINNED_EVENTS)
+    kinds = p.features()
+    targets = incremental.prefix_targets(p.tokens, p.domain, b, 7, len(p.d))
+    out = []
+    for s in incremental.run_incremental(p.vectors, b, targets, math.isqrt):
+        d = s["target"]
+        merged, scratch = (greedy.trace(s[x], d, kinds, greedy.GAMMA)[-1] for x in ("result", "scratch"))
+        out.append((s["batch"], s["entries"], s["looked_at"], s["scratch_looked_at"], len(s["result"].picks), merged["g"] / scratch["g"], merged["score"], scratch["score"]))
+    return spark.createDataFrame(out, "batch int, entries long, looked_at long, scratch_looked_at long, picks int, share_of_scratch double, score double, scratch_score double")
 
 
 @query
@@ -493,7 +649,7 @@ def sampling_curve(spark, sf_dir):
 @query
 def max_cover_8(spark, sf_dir):
     p = _orders(spark, sf_dir)
-    got = greedy.compress(p.vectors, np.ones(len(p.d)), 8, "limit")
+    got = greedy.compress(p.vectors, np.ones(len(p.d)), 8, "cover")
     return greedy.summary(spark, got).select("pick_no", "qid", F.col("gain").cast("long").alias("new_tokens"))
 
 
@@ -576,6 +732,49 @@ for _name, _linkage in (("agglomerative_small", "average"), ("divisive_small", "
     query(_run)
 
 
+@query
+def doubling_small(spark, sf_dir):
+    """Clusters doubled until the medoids cover half of the average feature."""
+    points = materialise(_conversation_points(spark, sf_dir), "points")
+    log = logs.conversations_log(spark, sf_dir)
+    toks = materialise(features.tokens(log), "tokens")
+
+    def covers(ids: list[int]) -> bool:
+        return metrics.coverage(metrics.compare(toks.where(F.col("qid").isin(ids)), toks)).head()["alpha_avg"] >= 0.5
+
+    return spark.createDataFrame([(i,) for i in baselines.k_medoids_doubling(points, covers, most=16, kind="mixed")], "qid long")
+
+
+@query
+def embedding_kmedoids(spark, sf_dir):
+    """Entries known by vectors only: k-medoids over embeddings, with how many true clusters each medoid's own holds."""
+    p = materialise(logs.embeddings_log(spark, sf_dir), "vectors")
+    ids, _ = baselines.k_medoids(p.select("qid", "num"), 10, "numeric")
+    assigned = baselines.medoid_assign(p.select("qid", "num"), p.where(F.col("qid").isin(ids)).select("qid", "num"))
+    return assigned.join(p.select("qid", "label"), "qid").groupBy("medoid").agg(F.count("*").alias("n"), F.count_distinct("label").alias("labels"))
+
+
+@query
+def plan_token_kmedoids(spark, sf_dir):
+    """Star queries clustered by the operators of their plans."""
+    from repsum.functions.plantext import plan_tokens
+
+    for t in _TABLES:
+        read(spark, sf_dir, t).createOrReplaceTempView(t)
+    log = templates.sql_log(spark, templates.STARS, 4)
+    toks = materialise(plan_tokens(spark, log), "plans")
+    points = baselines.dense_points(log.select("qid", *templates.STATISTICS), templates.STATISTICS, toks)
+    ids, cost = baselines.k_medoids(points, 5, "categorical")
+    return spark.createDataFrame([(i, round(cost, 6)) for i in ids], "qid long, cost double")
+
+
+@query
+def mixed_to_chosen(spark, sf_dir):
+    """Every conversation against eight by seeded hash, by numbers and names together."""
+    p = materialise(_conversation_points(spark, sf_dir), "points")
+    return _rounded(baselines.distances_to(p, _chosen(p), "mixed"), "dist")
+
+
 @query
 def compare_methods(spark, sf_dir):
     """Scores of the methods at the same size, over the skewed orders log.
@@ -589,7 +788,7 @@ def compare_methods(spark, sf_dir):
     ids = {
         "greedy": greedy.compress(p.vectors, p.d, k).ids(),
         "greedy_limit": greedy.compress(p.vectors, p.d, k, "limit").ids(),
-        "max_cover": greedy.compress(p.vectors, np.ones(len(p.d)), k, "limit").ids(),
+        "max_cover": greedy.compress(p.vectors, np.ones(len(p.d)), k, "cover").ids(),
         "random": [r["qid"] for r in baselines.random_sample(log.entries, k).collect()],
         "frequent": [r["qid"] for r in baselines.top_frequency(p.vectors, k).collect()],
     }
@@ -609,16 +808,16 @@ def compare_methods_shared(spark, sf_dir):
     sql = templates.sql_log(spark, templates.REPORTS + templates.STARS, 20)
     log = logs.skewed_log(features.Log(sql.select("qid", *templates.STATISTICS), sql_tokens(sql), templates.STATISTICS))
     p = prepare(log)
-    k = 40
+    k = 100
     ids = {
         "greedy": greedy.compress(p.vectors, p.d, k).ids(),
         "greedy_limit": greedy.compress(p.vectors, p.d, k, "limit").ids(),
-        "max_cover": greedy.compress(p.vectors, np.ones(len(p.d)), k, "limit").ids(),
+        "max_cover": greedy.compress(p.vectors, np.ones(len(p.d)), k, "cover").ids(),
         "random": [r["qid"] for r in baselines.random_sample(log.entries, k).collect()],
         "frequent": [r["qid"] for r in baselines.top_frequency(p.vectors, k).collect()],
     }
     points = materialise(baselines.dense_points(log.entries, log.numeric, p.tokens), "points")
-    for kind in ("numeric", "mixed"):
+    for kind in ("numeric", "categorical", "mixed"):
         ids[f"k_medoids_{kind}"] = baselines.k_medoids(points, k, kind, init="random")[0]
         ids[f"hierarchical_{kind}"] = baselines.hierarchical(points, k, "average", kind)
     return _method_scores(p, ids)
@@ -641,18 +840,29 @@ def _sql_prepared(spark, which):
     return log, prepare(features.Log(log.select("qid", *templates.STATISTICS), toks, templates.STATISTICS))
 
 
+_TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem")
+
+
+def _workload(spark, sf_dir, log) -> advisor.Workload:
+    return advisor.workload(spark, log, {t: read(spark, sf_dir, t) for t in _TABLES})
+
+
+def _marks(log) -> dict[int, str]:
+    """Shape of each entry of a log that fits a driver."""
+    return {r["qid"]: r["mark"] for r in advisor.mark_of(log).collect()}
+
+
 def _advised(kinds, which, spark, sf_dir):
     log, p = _sql_prepared(spark, which)
-    full = advisor.workload(spark, log, which, sf_dir)
+    full, marks = _workload(spark, sf_dir, log), _marks(log)
     ids = greedy.compress(p.vectors, p.d, sqrt_budget(log)).ids()
-    picked = [r["template"] for r in log.where(F.col("qid").isin(ids)).select("template").collect()]
     random = [r["qid"] for r in baselines.random_sample(log, len(ids)).collect()]
-    by_chance = [r["template"] for r in log.where(F.col("qid").isin(random)).select("template").collect()]
     budgets = [500, 2_000, 10_000, 50_000, 200_000, 1_000_000]
-    rows = advisor.sweep(full, advisor.summarised(full, picked), kinds, budgets)
-    chance = advisor.sweep(full, advisor.summarised(full, by_chance), kinds, budgets)
-    out = [(r["budget"], r["full"] / r["none"], r["summary"] / r["none"], c["summary"] / c["none"]) for r, c in zip(rows, chance)]
-    return spark.createDataFrame(out, "evaluations long, full_log double, summary double, random double")
+    rows = advisor.sweep(full, advisor.summarised(full, [marks[i] for i in ids]), kinds, budgets)
+    chance = advisor.sweep(full, advisor.summarised(full, [marks[i] for i in random]), kinds, budgets)
+    best = advisor.whatif_cost(full, advisor.optimal(full, kinds))
+    out = [(r["budget"], r["full"] / r["none"], r["summary"] / r["none"], c["summary"] / c["none"], best / r["none"]) for r, c in zip(rows, chance)]
+    return spark.createDataFrame(out, "evaluations long, full_log double, summary double, random double, optimal double")
 
 
 for _name, _kinds, _which in (
@@ -675,44 +885,76 @@ for _name, _kinds, _which in (
 def summary_size_sweep(spark, sf_dir):
     """Design cost by summary size, against random samples of the same size."""
     log, p = _sql_prepared(spark, templates.STARS)
-    full = advisor.workload(spark, log, templates.STARS, sf_dir)
-    names = {r["qid"]: r["template"] for r in log.select("qid", "template").collect()}
+    full, marks = _workload(spark, sf_dir, log), _marks(log)
     ids = greedy.compress(p.vectors, p.d, 39).ids()
     chance = [r["qid"] for r in baselines.random_sample(log, 39).orderBy("pick_no").collect()]
     none, rows = advisor.whatif_cost(full, []), []
     for k in range(3, 40, 3):
         cost = []
         for some in (ids[:k], chance[:k]):
-            w = advisor.summarised(full, [names[i] for i in some])
+            w = advisor.summarised(full, [marks[i] for i in some])
             cost.append(advisor.whatif_cost(full, advisor.advise(w, {"index", "view"}, 1_000_000)[0]) / none)
-        rows.append((k, *cost, len({names[i] for i in ids[:k]}), len({names[i] for i in chance[:k]})))
+        rows.append((k, *cost, len({marks[i] for i in ids[:k]}), len({marks[i] for i in chance[:k]})))
     return spark.createDataFrame(rows, "k int, summary double, random double, templates_summary int, templates_random int")
 
 
 @query
 def ablation_slowdown(spark, sf_dir):
-    """Designs from summaries on single features against all of them."""
+    """Designs for three tasks from summaries on some features, against the designs from all of them."""
     log, p = _sql_prepared(spark, templates.STARS)
-    full = advisor.workload(spark, log, templates.STARS, sf_dir)
-    names = {r["qid"]: r["template"] for r in log.select("qid", "template").collect()}
-
-    def run(toks):
+    full, marks = _workload(spark, sf_dir, log), _marks(log)
+    categorical = ["function_call", "table_reference", "group_by", "order_by"]
+    numeric = ["exec_ms", "rows_out", "n_joins"]
+    sets = {"all": []} | {f: [f] for f in (*numeric, *categorical)}
+    sets |= {"n_joins + rows_out": ["n_joins", "rows_out"], "exec_ms + n_joins": ["exec_ms", "n_joins"], "exec_ms + rows_out": ["exec_ms", "rows_out"], "all numeric": templates.STATISTICS, "all categorical": categorical}
+    tasks = {"index": {"index"}, "views": {"view"}, "index and views": {"index", "view"}}
+    cost, hit = {}, {}
+    for name, some in sets.items():
+        toks = p.tokens.where(F.col("feature").isin(some)) if some else p.tokens
         dom = features.domain(toks)
         got = greedy.compress(materialise(features.pack(toks, dom), "ablated"), greedy.target_array(dom), 13).ids()
-        w = advisor.summarised(full, [names[i] for i in got])
-        return advisor.whatif_cost(full, advisor.advise(w, {"index", "view"}, 1_000_000)[0]), len({names[i] for i in got})
+        w, hit[name] = advisor.summarised(full, [marks[i] for i in got]), len({marks[i] for i in got})
+        for task, kinds in tasks.items():
+            cost[name, task] = advisor.whatif_cost(full, advisor.advise(w, kinds, 1_000_000)[0])
+    out = [(name, task, c / cost["all", task], hit[name]) for (name, task), c in cost.items()]
+    return spark.createDataFrame(out, "features string, task string, slowdown double, templates_hit int")
 
-    categorical = ["function_call", "table_reference", "group_by", "order_by"]
-    sets = {f: [f] for f in (*categorical, *templates.STATISTICS)}
-    sets |= {"n_joins + rows_out": ["n_joins", "rows_out"], "n_joins + rows_read": ["n_joins", "rows_read"], "rows_read + rows_out": ["rows_read", "rows_out"], "all numeric": templates.STATISTICS, "all categorical": categorical}
-    rows = advisor.ablate(spark, p.tokens, sets, run)
-    return spark.createDataFrame([(r["features"], r["slowdown"], r["templates_hit"]) for r in rows], "features string, slowdown double, templates_hit int")
+
+@query
+def templates_hit(spark, sf_dir):
+    """Different texts of the star log that a summary of 13 entries by table references alone meets, and one by all features."""
+    log, p = _sql_prepared(spark, templates.STARS)
+    marks = _marks(log)
+    out = []
+    for name, toks in (("table_reference", p.tokens.where("feature = 'table_reference'")), ("all", p.tokens)):
+        dom = features.domain(toks)
+        got = greedy.compress(materialise(features.pack(toks, dom), "vectors"), greedy.target_array(dom), 13).ids()
+        out.append((name, len({marks[i] for i in got}), len(set(marks.values()))))
+    return spark.createDataFrame(out, "features string, hit int, texts int")
 
 
 @query
 def index_candidates(spark, sf_dir):
-    log, _ = _sql_prepared(spark, templates.STARS)
-    return advisor.design_table(spark, advisor.candidates(advisor.workload(spark, log, templates.STARS, sf_dir), {"index", "view"}))
+    log = templates.sql_log(spark, templates.STARS)
+    found = advisor.design_table(spark, advisor.candidates(_workload(spark, sf_dir, log), {"index", "view"}))
+    return found.select("kind", "tbl", F.array_join("cols", ",").alias("cols"), "rows")
+
+
+@query
+def whatif_cost(spark, sf_dir):
+    """What the whole star log reads under each candidate structure alone."""
+    log = templates.sql_log(spark, templates.STARS)
+    return advisor.whatif_table(spark, log, _workload(spark, sf_dir, log))
+
+
+@query
+def advise_greedy_4(spark, sf_dir):
+    """Four structures by greedy choice with all the patience needed, and what the star log reads after each."""
+    log = templates.sql_log(spark, templates.STARS)
+    w = _workload(spark, sf_dir, log)
+    design, _ = advisor.advise(w, {"index", "view"}, 1 << 60, 4)
+    rows = [(n, s.kind, ",".join(s.tables), ",".join(s.cols), advisor.whatif_cost(w, design[:n])) for n, s in enumerate(design, 1)]
+    return spark.createDataFrame(rows, "pick_no int, kind string, tbl string, cols string, cost long")
 
 
 # relational surface of the methods
@@ -736,9 +978,11 @@ def asof_prev_event(spark, sf_dir):
 
 @query
 def interval_concurrency(spark, sf_dir):
-    e = read(spark, sf_dir, "events").select("event_id", "user_id", "ts")
-    b = e.select(F.col("user_id").alias("u"), F.col("ts").alias("t"))
-    near = e.join(b, (F.col("user_id") == F.col("u")) & F.col("t").between(F.expr("ts - interval 1 hour"), F.expr("ts + interval 1 hour")))
+    """Events of a user within an hour of each event; hours are part of the key, so a busy user is spread over hours."""
+    e = read(spark, sf_dir, "events").select("event_id", "user_id", "ts", F.date_trunc("hour", "ts").alias("h"))
+    hours = F.explode(F.array(F.expr("h - interval 1 hour"), F.col("h"), F.expr("h + interval 1 hour"))).alias("g")
+    b = e.select(F.col("user_id").alias("u"), F.col("ts").alias("t"), hours)
+    near = e.join(b, (F.col("user_id") == F.col("u")) & (F.col("h") == F.col("g")) & F.col("t").between(F.expr("ts - interval 1 hour"), F.expr("ts + interval 1 hour")))
     return near.groupBy("event_id").agg((F.count("*") - 1).alias("near"))
 
 
@@ -839,6 +1083,19 @@ def set_except(spark, sf_dir):
     return a.subtract(b)
 
 
+@query
+def set_intersect_all(spark, sf_dir):
+    """Tokens as often as both the first and the last batch have them."""
+    a, b = _edge_batches(spark, sf_dir)
+    return a.intersectAll(b).groupBy("feature", "token").agg(F.count("*").alias("n"))
+
+
+@query
+def set_except_all(spark, sf_dir):
+    a, b = _edge_batches(spark, sf_dir)
+    return a.exceptAll(b).groupBy("feature", "token").agg(F.count("*").alias("n"))
+
+
 @query
 def boost_rounds(spark, sf_dir):
     """Representativity as the weights of under-represented tokens are raised."""
@@ -857,7 +1114,7 @@ def testgen_boosted(spark, sf_dir):
 def plan_operator_tokens(spark, sf_dir):
     from repsum.functions.plantext import plan_tokens
 
-    for t in ("region", "nation", "customer", "supplier", "part", "orders", "lineitem"):
+    for t in _TABLES:
         read(spark, sf_dir, t).createOrReplaceTempView(t)
     return plan_tokens(spark, templates.sql_log(spark, templates.STARS, 1))
 

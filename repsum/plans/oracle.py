@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
-from repsum.sources.templates import REPORTS, STARS, expected_tokens
+import re
+
+from repsum.operators.advisor import RANGE_KEEPS
+from repsum.sources.templates import JOINS, ODD_TEXTS, PREDICATES, REPORTS, STARS, expected_tokens, odd_tokens, render, statistics
 
 ORDERS = """
 lines AS (SELECT l_orderkey AS qid, l_returnflag || l_linestatus AS fn, p_brand AS tb, p_type AS gb
@@ -73,7 +76,9 @@ def greedy(rounds: int, gamma: float | str, key: str = "unit", head: str | None
     ]
     taken = []
     for r in range(1, rounds + 1):
-        if gamma == "limit":
+        if gamma == "cover":
+            score = "round(sum(CASE WHEN m = 0 THEN d ELSE 0 END), 9) AS g, 0 AS g2"
+        elif gamma == "limit":
             score = "round(sum(CASE WHEN m = 0 THEN d ELSE 0 END), 9) AS g, round(sum(CASE WHEN m = 0 THEN d * ln(mult) ELSE d * (ln(m + mult) - ln(m)) END), 9) AS g2"
         else:
             score = f"round(sum(d * (ln(m + mult + {gamma!r}) - ln(m + {gamma!r}))), 9) AS g, 0 AS g2"
@@ -86,6 +91,46 @@ def greedy(rounds: int, gamma: float | str, key: str = "unit", head: str | None
     return ", ".join(parts) + " " + union
 
 
+def chain(tag: str, rounds: int, gamma: float, only: str) -> list[str]:
+    """The rounds of greedy() under other names, over the entries that ``only`` (a condition on qid) admits."""
+    parts, taken = [f"{tag}m0 AS MATERIALIZED (SELECT tid, CAST(0 AS DOUBLE) AS m FROM dist)", f"{tag}v AS MATERIALIZED (SELECT * FROM vec WHERE {only})"], []
+    for r in range(1, rounds + 1):
+        out = " AND ".join([f"qid <> (SELECT qid FROM {tag}p{i})" for i in taken]) or "true"
+        parts.append(f"{tag}p{r} AS MATERIALIZED (SELECT qid, g FROM (SELECT qid, round(sum(d * (ln(m + mult + {gamma!r}) - ln(m + {gamma!r}))), 9) AS g FROM {tag}v JOIN {tag}m{r - 1} USING (tid) GROUP BY qid) WHERE {out} ORDER BY g DESC, qid LIMIT 1)")
+        parts.append(f"{tag}m{r} AS MATERIALIZED (SELECT a.tid, m + coalesce(mult, 0) AS m FROM {tag}m{r - 1} a LEFT JOIN (SELECT tid, mult FROM {tag}v WHERE qid = (SELECT qid FROM {tag}p{r})) x ON a.tid = x.tid)")
+        taken.append(r)
+    return parts
+
+
+def shape_rows(templates) -> tuple[str, str]:
+    """(CTEs shapes, tests, grouped of described templates with 100 entries each; CTEs with sizes and distinct values of what they read)."""
+    sh = ", ".join(f"('{t.name}', '{x}')" for t in templates for x in t.tables)
+    te = ", ".join(f"('{t.name}', '{c}', '{PREDICATES[c].split()[0]}')" for t in templates for c in t.where)
+    gr = ", ".join(f"('{t.name}', '{c}')" for t in templates for c in t.group)
+    tables = sorted({x for t in templates for x in t.tables})
+    columns = sorted({c for t in templates for c in (*t.where, *t.group)})
+    sizes = " UNION ALL ".join(f"SELECT '{x}' AS tbl, count(*) AS rows FROM {x}" for x in tables)
+    ndv = " UNION ALL ".join(f"SELECT '{c}' AS col, count(DISTINCT {c.split('.')[1]}) AS d FROM {c.split('.')[0]}" for c in columns)
+    return (
+        f"shapes(shape, tbl) AS (VALUES {sh}), tests(shape, col, by_) AS (VALUES {te}), grouped(shape, col) AS (VALUES {gr})",
+        f"sizes AS MATERIALIZED ({sizes}), ndv AS MATERIALIZED ({ndv})",
+    )
+
+
+def structures(templates) -> str:
+    """CTEs of every candidate structure: keeps (shape, col, keep), need (shape, col), cand (id, kind, tbl, cols, rows)."""
+    described, measured = shape_rows(templates)
+    ranges = ", ".join(f"('{b}', {k})" for b, k in RANGE_KEEPS.items())
+    return f"""{described}, {measured}, fixed(by_, k) AS (VALUES {ranges}),
+      keeps AS MATERIALIZED (SELECT shape, tests.col, string_split(tests.col, '.')[1] AS tbl, coalesce(k, least(1000, greatest(1, 1000 // greatest(1, d)))) AS keep FROM tests JOIN ndv ON tests.col = ndv.col LEFT JOIN fixed USING (by_)),
+      need AS (SELECT shape, col FROM tests UNION SELECT shape, col FROM grouped),
+      cols AS (SELECT shape, string_agg(col, ',' ORDER BY col) AS cols, list(col ORDER BY col) AS held, CAST(least(product(greatest(1, d)), 1e15) AS BIGINT) AS groups FROM need JOIN ndv USING (col) GROUP BY shape),
+      tabs AS (SELECT shape, string_agg(tbl, ',' ORDER BY tbl) AS tbl, max(rows) AS largest FROM shapes JOIN sizes USING (tbl) GROUP BY shape),
+      cand AS MATERIALIZED (SELECT DISTINCT 'index' AS kind, tbl, col AS cols, CAST(0 AS BIGINT) AS rows FROM keeps
+        UNION SELECT 'view', tbl, cols, least(groups, largest) FROM cols JOIN tabs USING (shape) WHERE shape IN (SELECT shape FROM grouped)),
+      usable AS MATERIALIZED (SELECT c.kind, c.tbl, c.cols, c.rows, t.shape FROM cand c JOIN tabs t ON c.kind = 'view' AND c.tbl = t.tbl JOIN cols n ON n.shape = t.shape WHERE len([x for x in n.held if NOT list_contains(string_split(c.cols, ','), x)]) = 0)"""
+
+
 def spec_rows(templates, instances: int = 100) -> str:
     """(n, feature, token) of the described templates, as VALUES."""
     rows = [(n, f, t) for n, x in enumerate(templates) for f, t in expected_tokens(x)]
@@ -146,6 +191,15 @@ def oracle() -> dict[str, str]:
       SELECT qid, feature, token, count(*) AS mult FROM t GROUP BY ALL"""
     for name, templates in (("w_sql_tokens", REPORTS), ("w_star_tokens", STARS)):
         o[name] = f"SELECT CAST(n * 100 + i AS BIGINT) AS qid, feature, token, count(*) AS mult FROM {spec_rows(templates)}, range(100) r(i) GROUP BY ALL"
+    o["w_sql_odd_tokens"] = "SELECT CAST(n * 20 + i AS BIGINT) AS qid, feature, token, count(*) AS mult FROM (VALUES " + ", ".join(f"({n}, '{f}', '{t}')" for n, (_, x) in enumerate(ODD_TEXTS) for f, t in odd_tokens(x)) + ") AS spec(n, feature, token), range(20) r(i) GROUP BY ALL"
+    o["w_sql_mix_tokens"] = f"WITH c AS (SELECT i % {len(REPORTS + STARS)} AS n, count(*) AS z FROM range((SELECT count(*) FROM orders)) r(i) GROUP BY ALL) SELECT feature, token, CAST(sum(z) AS BIGINT) AS freq FROM {spec_rows(REPORTS + STARS)} JOIN c USING (n) GROUP BY feature, token"
+    joined = lambda t: [c.strip() for k, a in enumerate(t.tables) for b in t.tables[k + 1 :] for c in (JOINS.get((a, b)) or JOINS.get((b, a)) or "").split("=") if c]
+    o["w_sql_where"] = "SELECT token, CAST(100 * count(*) AS BIGINT) AS freq FROM (VALUES " + ", ".join(f"('{c}')" for t in STARS for c in (*joined(t), *t.where)) + ") AS w(token) GROUP BY token"
+    o["w_sql_statistics"] = "SELECT * FROM (VALUES " + ", ".join(f"('{t.name}', CAST({len({render(t, i) for i in range(100)})} AS BIGINT), CAST({len({statistics(t, i)[0] for i in range(100)})} AS BIGINT), CAST({len(t.tables) - 1} AS BIGINT))" for t in REPORTS) + ") AS v(template, texts, times, n_joins)"
+    bare = lambda t: re.sub(r"'[^']*'|0\.0\d|(?<=[=<>] )\d+", "?", render(t, 0))
+    o["w_sql_fingerprints"] = "SELECT * FROM (VALUES " + ", ".join(f"('{t.name}', '{bare(t)}', CAST(1000 AS BIGINT))" for t in REPORTS + STARS) + ") AS v(template, fingerprint, n)"
+    o["doc_words"] = "WITH t AS (SELECT 'word' AS feature, unnest(string_split(lower(text), ' ')) AS token FROM documents UNION ALL SELECT 'lang', lang FROM documents UNION ALL SELECT 'source', source FROM documents) SELECT feature, token, count(*) AS freq FROM t WHERE token IS NOT NULL GROUP BY ALL"
+    o["token_map"] = tok + "SELECT qid, CAST(coalesce(sum(mult) FILTER (feature = 'fn'), 0) AS BIGINT) AS fn, CAST(coalesce(sum(mult) FILTER (feature = 'tb'), 0) AS BIGINT) AS tb, CAST(coalesce(sum(mult) FILTER (feature = 'ob'), 0) AS BIGINT) AS ob, CAST(count(DISTINCT feature) AS INTEGER) AS features FROM tok GROUP BY qid"
     o["w_sql_joins"] = "SELECT CAST(n * 100 + i AS BIGINT) AS qid, CAST(j AS BIGINT) AS n_joins FROM (VALUES " + ", ".join(f"({n}, {len(t.tables) - 1})" for n, t in enumerate(REPORTS)) + ") AS v(n, j), range(100) r(i)"
     o["bounds"] = f"WITH {ORDERS} SELECT feature, lo, hi FROM edge"
     for h in (10, 1000):
@@ -182,16 +236,36 @@ def oracle() -> dict[str, str]:
     o["greedy_limit_8"] = greedy(8, "limit")
     o["greedy_knapsack_8"] = greedy(8, 1e-25, "size", budget=200)
     o["greedy_weighted_8"] = greedy(8, 1e-25, target=f"SELECT feature, token, w * 10 * freq / sum(freq) OVER () AS d FROM freq JOIN {WEIGHT_ROWS} USING (feature)")
-    o["greedy_target_8"] = o["testgen_uniform_8"] = greedy(8, 1e-25, target=UNIFORM)
+    o["greedy_target_8"] = greedy(8, 1e-25, target=UNIFORM)
+    o["testgen_uniform_8"] = greedy(8, 1e-25, target="SELECT feature, token, 1.0 / (count(*) OVER (PARTITION BY feature) * (SELECT count(DISTINCT feature) FROM freq)) AS d FROM freq")
+    o["greedy_collapsed_8"] = o["greedy_by_join_8"] = o["greedy_unit_8"]
+    o["greedy_safeguard"] = greedy(1, 1e-25).replace("round(g, 6) AS gain, cost FROM", "round(g, 6) AS gain, CAST(100 AS DOUBLE) AS cost FROM")
+    numbers = orders_tokens().replace("tok AS (", "every AS (", 1) + ", tok AS (SELECT * FROM every WHERE feature IN ('n1', 'n2', 'n3', 'n4', 'n5', 'n6'))"
+    o["platform_choice"] = greedy(8, 1e-25, head=numbers)
+    scored = greedy(8, 1e-25).rsplit(" SELECT CAST(1 AS INTEGER)", 1)[0]
+    step = lambda r: f"SELECT CAST({r} AS INTEGER) AS pick_no, feature, d, m FROM m{r} JOIN dist USING (tid)"
+    picks = " UNION ALL ".join(f"SELECT CAST({r} AS INTEGER) AS pick_no, qid, round(g, 6) AS gain, cost FROM p{r}" for r in range(1, 9))
+    o["greedy_trace_8"] = f"""{scored}, steps AS MATERIALIZED ({' UNION ALL '.join(map(step, range(1, 9)))}), picked AS ({picks}),
+      al AS (SELECT pick_no, min(a) AS alpha_min, avg(a) AS alpha_avg FROM (SELECT pick_no, feature, count(*) FILTER (m > 0) / count(*) AS a FROM steps GROUP BY ALL) GROUP BY pick_no),
+      rh AS (SELECT pick_no, sum(CASE WHEN m > 0 THEN d * (ln(m + 1e-25) - ln(1e-25)) ELSE 0 END) AS g, 1 - sum(abs(m / z - d)) / 2 AS rho_l1, 1 - max(abs(m / z - d)) AS rho_linf FROM (SELECT *, sum(m) OVER (PARTITION BY pick_no) AS z FROM steps) GROUP BY pick_no)
+      SELECT pick_no, qid, gain, cost, round(g, 6) AS g, round(alpha_min, 6) AS alpha_min, round(alpha_avg, 6) AS alpha_avg, round(rho_l1, 6) AS rho_l1, round(rho_linf, 6) AS rho_linf, round(0.5 * alpha_avg + 0.5 * rho_l1, 6) AS score FROM picked JOIN al USING (pick_no) JOIN rh USING (pick_no)"""
+    o["feature_scores_8"] = f"""{scored}, last AS (SELECT feature, d, m, sum(m) OVER (PARTITION BY feature) AS zm, sum(d) OVER (PARTITION BY feature) AS zd FROM m8 JOIN dist USING (tid))
+      SELECT feature, round(count(*) FILTER (m > 0) / count(*), 6) AS alpha, round(1 - sum(abs(m / zm - d / zd)) / 2, 6) AS rho_l1 FROM last GROUP BY feature"""
     o["testgen_boosted"] = greedy(8, 1e-25, target="SELECT feature, token, x / sum(x) OVER () AS d FROM (SELECT feature, token, freq / sum(freq) OVER () * CASE WHEN feature = 'ob' THEN 20.0 ELSE 1.0 END AS x FROM freq)")
     o["greedy_events_8"] = greedy(8, 1e-25, head=EVENTS)
     o["greedy_best_singleton"] = greedy(1, 1e-25)
-    o["max_cover_8"] = greedy(8, "limit", target="SELECT feature, token, CAST(1 AS DOUBLE) AS d FROM freq").replace("round(g, 6) AS gain, cost", "CAST(round(g) AS BIGINT) AS new_tokens")
+    o["max_cover_8"] = greedy(8, "cover", target="SELECT feature, token, CAST(1 AS DOUBLE) AS d FROM freq").replace("round(g, 6) AS gain, cost", "CAST(round(g) AS BIGINT) AS new_tokens")
     part = "parts AS (SELECT o_orderkey AS qid, CAST(('0x' || substr(md5('42|' || o_orderkey), 1, 8)) AS BIGINT) % 3 AS part FROM orders)"
     o["partition_sizes"] = f"WITH {part} SELECT CAST(part AS INTEGER) AS part, count(*) AS n FROM parts GROUP BY part"
     for k in range(3):
         sub = greedy(3, 1e-25).replace("FROM vec JOIN m", f"FROM (SELECT * FROM vec WHERE qid IN (SELECT qid FROM parts WHERE part = {k})) vec JOIN m")
         o[f"partition_{k}_picks"] = sub.replace("WITH ", f"WITH {part}, ", 1)
+    start = greedy(0, 1e-25).strip()
+    local = [x for k in range(3) for x in chain(f"a{k}_", 4, 1e-25, f"qid IN (SELECT qid FROM parts WHERE part = {k})")]
+    union = " UNION ALL ".join(f"SELECT qid FROM a{k}_p{r}" for k in range(3) for r in range(1, 5))
+    merged = chain("b_", 4, 1e-25, f"qid IN ({union})")
+    sets = " UNION ALL ".join(f"SELECT {w} AS w, CAST({r} AS INTEGER) AS pick_no, qid, g FROM {tag}p{r}" for w, tag in enumerate(("b_", "a0_", "a1_", "a2_")) for r in range(1, 5))
+    o["partition_merge_4"] = ", ".join([start.replace("WITH ", f"WITH {part}, ", 1), *local, *merged]) + f", sets AS ({sets}) SELECT pick_no, qid, round(g, 6) AS gain, CAST(1 AS DOUBLE) AS cost FROM sets WHERE w = (SELECT w FROM sets GROUP BY w ORDER BY sum(g) DESC, w LIMIT 1)"
     # batches of the events log
     o["batch_ntile"] = f"WITH {_batch_tokens(7)} SELECT CAST(batch AS INTEGER) AS batch, count(*) AS n, min(qid) AS first_qid, max(qid) AS last_qid FROM bt GROUP BY batch"
     o["running_target"] = f"WITH {_batch_tokens(7)}, per AS (SELECT batch, feature, token, sum(mult) AS f FROM tok JOIN bt USING (qid) WHERE feature IN ('type', 'hour') GROUP BY ALL) SELECT CAST(b.batch AS INTEGER) AS batch, feature, token, CAST(sum(f) AS BIGINT) AS freq FROM per JOIN (SELECT DISTINCT batch FROM bt) b ON per.batch <= b.batch GROUP BY ALL"
@@ -201,9 +275,45 @@ def oracle() -> dict[str, str]:
       SELECT day, round(sum(abs(coalesce(p, 0) - coalesce(p0, 0))) / 2, 6) AS tv, count(*) FILTER (p0 IS NULL) AS n_new, count(*) FILTER (p IS NULL) AS n_gone FROM
       (SELECT coalesce(a.day, b.day) AS day, a.p, b.p0 FROM (SELECT sh.day, feature, token, p FROM sh JOIN ds ON sh.day = ds.day WHERE before IS NOT NULL) a
        FULL JOIN (SELECT ds.day, feature, token, p AS p0 FROM sh JOIN ds ON sh.day = ds.before) b ON a.day = b.day AND a.feature = b.feature AND a.token = b.token) GROUP BY day"""
+    side = lambda tag, s, w: f"""{tag}w AS (SELECT feature, token, sum(mult) AS mw FROM {w} GROUP BY ALL), {tag}s AS (SELECT feature, token, sum(mult) AS ms FROM {s} GROUP BY ALL),
+      {tag} AS (SELECT (SELECT min(a) FROM (SELECT feature, count(ms) / count(*) AS a FROM {tag}w LEFT JOIN {tag}s USING (feature, token) GROUP BY feature)) AS alpha,
+        (SELECT 1 - max(abs(coalesce(ms, 0) / zs - mw / zw)) FROM (SELECT *, sum(ms) OVER () AS zs, sum(mw) OVER () AS zw FROM {tag}w LEFT JOIN {tag}s USING (feature, token))) AS rho,
+        (SELECT sum(ms) FROM {tag}s) AS s, (SELECT sum(mw) FROM {tag}w) AS w)"""
+    o["merge_bounds"] = f"""WITH {_batch_tokens(2)}, tb AS MATERIALIZED (SELECT tok.*, batch FROM tok JOIN bt USING (qid)),
+      pk AS MATERIALIZED (SELECT qid FROM (SELECT DISTINCT qid, batch FROM tb) QUALIFY row_number() OVER (PARTITION BY batch ORDER BY md5('42|' || qid), qid) <= 50),
+      {side("x", "(SELECT * FROM tb WHERE batch = 1 AND qid IN (FROM pk))", "(SELECT * FROM tb WHERE batch = 1)")},
+      {side("y", "(SELECT * FROM tb WHERE batch = 2 AND qid IN (FROM pk))", "(SELECT * FROM tb WHERE batch = 2)")},
+      {side("u", "(SELECT * FROM tb WHERE qid IN (FROM pk))", "tb")}
+      SELECT round(x.alpha, 6) AS alpha_a, round(x.rho, 6) AS rho_a, round(y.alpha, 6) AS alpha_b, round(y.rho, 6) AS rho_b, round(u.alpha, 6) AS alpha_ab, round(u.rho, 6) AS rho_ab,
+        round(least(x.alpha, y.alpha) / 2, 6) AS alpha_bound, round(least(x.rho, y.rho), 6) AS rho_bound, x.s * y.w = y.s * x.w AS proportional FROM x, y, u"""
     # baselines
     o["gains_by_join"] = f"WITH {orders_tokens()}, {FREQ}, dist AS (SELECT feature, token, freq / sum(freq) OVER () AS d FROM freq) SELECT qid, round(sum(d * (ln(mult + 1e-25) - ln(1e-25))), 6) AS gain FROM tok JOIN dist USING (feature, token) GROUP BY qid"
     o["toy_scores"] = toy()
+    o["exhaustive_toy"] = f"SELECT CAST(len(string_split(s, ',')) AS INTEGER) AS k, s, g FROM ({toy()}) QUALIFY row_number() OVER (PARTITION BY len(string_split(s, ',')) ORDER BY g DESC, s DESC) = 1"
+    cand = f"WITH {structures(STARS)}"
+    o["index_candidates"] = f"{cand} SELECT kind, tbl, cols, rows FROM cand"
+    plain = "plain AS (SELECT shape, sum(rows) AS rows FROM shapes JOIN sizes USING (tbl) GROUP BY shape)"
+    o["whatif_cost"] = f"""{cand}, {plain}, none AS (SELECT 100 * sum(rows) AS none FROM plain),
+      gone AS (SELECT 'index' AS kind, tbl, col AS cols, sum(100 * (rows - rows * keep // 1000)) AS saved FROM keeps JOIN sizes USING (tbl) GROUP BY ALL
+        UNION ALL SELECT 'view', u.tbl, u.cols, sum(100 * greatest(0, p.rows - u.rows)) FROM usable u JOIN plain p USING (shape) GROUP BY ALL)
+      SELECT kind, tbl, cols, CAST(none - saved AS BIGINT) AS cost FROM gone, none"""
+    rounds = ["cur0 AS MATERIALIZED (SELECT shape, tbl, rows FROM shapes JOIN sizes USING (tbl))", "vis0 AS MATERIALIZED (SELECT DISTINCT shape, CAST(4e18 AS BIGINT) AS v FROM shapes)"]
+    for r in range(1, 5):
+        done = " AND ".join(f"(kind, tbl, cols) <> (SELECT (kind, tbl, cols) FROM s{i})" for i in range(1, r)) or "true"
+        rounds += [
+            f"t{r} AS (SELECT c.kind, c.tbl, c.cols, x.shape, sum(least(x.rows, CASE WHEN k.keep IS NULL THEN x.rows ELSE z.rows * k.keep // 1000 END)) AS rows FROM cand c CROSS JOIN cur{r - 1} x JOIN sizes z ON z.tbl = x.tbl LEFT JOIN keeps k ON c.kind = 'index' AND k.shape = x.shape AND k.col = c.cols AND x.tbl = c.tbl GROUP BY ALL)",
+            f"s{r} AS MATERIALIZED (SELECT t.kind, t.tbl, t.cols, sum(100 * least(t.rows, v.v, coalesce(u.rows, t.rows))) AS cost FROM t{r} t JOIN vis{r - 1} v USING (shape) LEFT JOIN usable u ON u.kind = t.kind AND u.tbl = t.tbl AND u.cols = t.cols AND u.shape = t.shape WHERE {done.replace('kind, tbl, cols) <>', 't.kind, t.tbl, t.cols) <>')} GROUP BY ALL ORDER BY cost, t.kind, t.tbl, t.cols LIMIT 1)",
+            f"cur{r} AS MATERIALIZED (SELECT x.shape, x.tbl, least(x.rows, CASE WHEN k.keep IS NULL THEN x.rows ELSE z.rows * k.keep // 1000 END) AS rows FROM cur{r - 1} x JOIN sizes z ON z.tbl = x.tbl LEFT JOIN (SELECT keeps.* FROM keeps JOIN s{r} ON s{r}.kind = 'index' AND s{r}.cols = keeps.col) k ON k.shape = x.shape AND k.tbl = x.tbl)",
+            f"vis{r} AS MATERIALIZED (SELECT v.shape, least(v.v, coalesce(u.rows, v.v)) AS v FROM vis{r - 1} v LEFT JOIN (SELECT usable.* FROM usable JOIN s{r} USING (kind, tbl, cols)) u USING (shape))",
+        ]
+    o["advise_greedy_4"] = ", ".join([cand, *rounds]) + " " + " UNION ALL ".join(f"SELECT CAST({r} AS INTEGER) AS pick_no, kind, tbl, cols, CAST(cost AS BIGINT) AS cost FROM s{r}" for r in range(1, 5))
+    points = """t AS (SELECT conv_id AS qid, role, lower(substr(text, 1, 1)) AS c, length(text) AS l FROM conversations),
+      n AS (SELECT qid, count(*) AS turns, sum(l) AS chars FROM t GROUP BY qid), e AS (SELECT min(turns) AS a, max(turns) AS b, min(chars) AS c, max(chars) AS d FROM n),
+      num AS (SELECT qid, CASE WHEN b > a THEN (turns - a) / (b - a) ELSE 0 END AS x, CASE WHEN d > c THEN (chars - c) / (d - c) ELSE 0 END AS y FROM n, e),
+      tk AS (SELECT qid, 'role=' || role AS k FROM t WHERE role IS NOT NULL UNION SELECT qid, 'opening=' || CASE WHEN regexp_matches(c, '^[aeiou]') THEN 'vowel' WHEN regexp_matches(c, '^[a-z]') THEN 'consonant' ELSE 'other' END FROM t),
+      pt AS (SELECT qid, x, y, coalesce(ks, []) AS ks FROM num LEFT JOIN (SELECT qid, list(k) AS ks FROM tk GROUP BY qid) USING (qid))"""
+    o["mixed_to_chosen"] = f"""WITH {points}, few AS (SELECT * FROM pt ORDER BY md5('42|' || qid), qid LIMIT 8)
+      SELECT p.qid, f.qid AS other, round((sqrt(((p.x - f.x) * (p.x - f.x) + (p.y - f.y) * (p.y - f.y)) / 2) + CASE WHEN len(list_distinct(p.ks || f.ks)) = 0 THEN 0 ELSE 1 - len(list_intersect(p.ks, f.ks)) / len(list_distinct(p.ks || f.ks)) END) / 2, 6) AS dist FROM pt p, few f"""
     o["random_sample"] = "SELECT CAST(n AS INTEGER) AS pick_no, qid FROM (SELECT o_orderkey AS qid, row_number() OVER (ORDER BY md5('42|' || o_orderkey), o_orderkey) AS n FROM orders) WHERE n <= 100"
     o["sample_knapsack"] = tok + ", c AS (SELECT qid, CAST(sum(mult) AS BIGINT) AS cost FROM tok GROUP BY qid) SELECT CAST(n AS INTEGER) AS pick_no, qid, cost FROM (SELECT qid, cost, row_number() OVER w AS n, sum(cost) OVER (w ROWS UNBOUNDED PRECEDING) AS spent FROM c WINDOW w AS (ORDER BY md5('42|' || qid), qid)) WHERE spent <= 1000"
     ks = (10, 25, 50, 100)
@@ -236,4 +346,6 @@ def oracle() -> dict[str, str]:
     o["pred_mix"] = "SELECT o_orderpriority, count(*) AS n FROM orders WHERE o_orderstatus IN ('F', 'O') AND o_totalprice BETWEEN 1000 AND 300000 AND o_orderpriority LIKE '%-%' AND o_orderdate IS NOT NULL GROUP BY ALL"
     o["set_intersect"] = f"WITH {_batch_tokens(7)} SELECT feature, token FROM tok JOIN bt USING (qid) WHERE batch = 1 INTERSECT SELECT feature, token FROM tok JOIN bt USING (qid) WHERE batch = 7"
     o["set_except"] = f"WITH {_batch_tokens(7)} SELECT feature, token FROM tok JOIN bt USING (qid) WHERE batch = 1 EXCEPT SELECT feature, token FROM tok JOIN bt USING (qid) WHERE batch = 7"
+    for how in ("intersect", "except"):
+        o[f"set_{how}_all"] = f"WITH {_batch_tokens(7)} SELECT feature, token, count(*) AS n FROM (SELECT feature, token FROM tok JOIN bt USING (qid) WHERE batch = 1 {how.upper()} ALL SELECT feature, token FROM tok JOIN bt USING (qid) WHERE batch = 7) GROUP BY ALL"
     return o

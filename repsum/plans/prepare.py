@@ -21,9 +21,15 @@ class Prepared:
     vectors: DataFrame
     d: np.ndarray
 
+    def kinds(self) -> list[str]:
+        """The features that have tokens, in order; a few, whatever the log."""
+        return [r["feature"] for r in self.domain.select("feature").distinct().orderBy("feature").collect()]
+
     def features(self) -> np.ndarray:
-        """Feature of each tid."""
-        return self.domain.select("tid", "feature").toPandas().sort_values("tid")["feature"].to_numpy()
+        """Number of each tid's feature among kinds(); tokens themselves stay where they are."""
+        names = F.array(*map(F.lit, self.kinds() or [""]))
+        got = self.domain.select("tid", F.array_position(names, F.col("feature")).cast("int").alias("k")).toPandas()
+        return got.sort_values("tid")["k"].to_numpy(dtype=int) - 1
 
     def of(self, qids: list[int] | DataFrame) -> DataFrame:
         """Tokens of some entries; a list is a summary and therefore small."""

@@ -3,6 +3,7 @@ import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from repsum.operators import greedy, incremental, partitioned
 from repsum.operators.greedy import Pick
@@ -134,8 +135,10 @@ def test_incremental(spark):
     picks, d = random_log(4, 70)
     df = frame(spark, picks).cache()
     batch = spark.createDataFrame([(p.qid, p.qid // 10 + 1) for p in picks], "qid long, batch int")
-    steps = incremental.run_incremental(df, batch, lambda b: d, 7, lambda b: 5, 1e-6)
-    assert [s["looked_at"] for s in steps] == [10] * 7 and steps[-1]["scratch"] == 70
+    steps = incremental.run_incremental(df, batch, [d] * 7, lambda n: 5, 1e-6)
+    assert [s["looked_at"] for s in steps] == list(range(10, 80, 10)) and steps[-1]["scratch_looked_at"] == 280
+    for n, s in enumerate(steps, 1):  # each run from scratch is greedy over the log up to its batch
+        assert s["scratch"].ids() == greedy.compress(df.where(F.col("qid") < 10 * n), d, 5, 1e-6).ids()
     whole = greedy.compress(df, d, 5, 1e-6)
     assert greedy.value(d, steps[-1]["result"].picks, 1e-6) >= 0.9 * greedy.value(d, whole.picks, 1e-6)
 
@@ -163,3 +166,76 @@ def test_trace_and_prefix():
     n = greedy.best_prefix(rows)
     assert rows[n - 1]["score"] == max(r["score"] for r in rows)
     assert greedy.size_for(rows, 2.0) is None and greedy.size_for(rows, 0.0) == 1
+
+
+def test_strategies_refuse_what_they_cannot_hold(spark, monkeypatch):
+    picks, d = random_log(5, 40)
+    df = frame(spark, picks)
+    monkeypatch.setattr(greedy, "MAX_POOL", 8)
+    with pytest.raises(ValueError):
+        greedy.compress(df, d, 5, 1e-6, strategy="lazy")
+    assert greedy.compress(df, d, 12, 1e-6, pool=64).ids() == greedy.compress(df, d, 12, 1e-6, strategy="eager").ids()
+
+
+def test_domain_is_checked_and_numbered_by_ranges(spark, monkeypatch):
+    from repsum.operators import features
+
+    rows = [(q, f"f{q % 3}", f"t{q * 7 % 50}", 1) for q in range(200)]
+    toks = spark.createDataFrame(rows, "qid long, feature string, token string, mult long")
+    small = [tuple(r) for r in features.domain(toks).orderBy("tid").collect()]
+    packed = sorted((r.qid, *r.tids) for r in features.pack(toks, features.domain(toks)).collect())
+    monkeypatch.setattr(features, "SMALL_DOMAIN", 10)
+    dom = features.domain(toks)
+    assert [tuple(r) for r in dom.orderBy("tid").collect()] == small
+    assert sorted((r.qid, *r.tids) for r in features.pack(toks, dom).collect()) == packed  # salted join
+    monkeypatch.setattr(features, "MAX_DOMAIN", 20)
+    with pytest.raises(ValueError):
+        features.domain(toks)
+
+
+def test_greedy_by_join_equals_greedy(spark):
+    from repsum.operators import features
+
+    rng = np.random.default_rng(6)
+    rows = sorted({(int(q), f"f{q % 2}", f"t{t}") for q, t in zip(rng.integers(0, 60, 400), rng.integers(0, 40, 400))})
+    toks = spark.createDataFrame([(*r, int(rng.integers(1, 4))) for r in rows], "qid long, feature string, token string, mult long").cache()
+    dom = features.domain(toks)
+    vectors = features.pack(toks, dom)
+    want = greedy.compress(vectors, greedy.target_array(dom), 15, 0.01, strategy="eager")
+    target = features.distribution(toks).select("feature", "token", F.col("p").alias("d"))
+    for pool in (1, 7, 256):
+        got = greedy.compress_by_join(toks, target, 15, 0.01, pool).collect()
+        assert [r.qid for r in got] == want.ids()
+        assert [r.gain for r in got] == pytest.approx([p.gain for p in want.picks], abs=1e-6)
+
+
+def test_cover_counts_new_tokens(spark):
+    picks, d = random_log(7, 60)
+    df, ones = frame(spark, picks), np.ones(len(d))
+    got = greedy.compress(df, ones, 6, "cover")
+    seen, left = set(), {p.qid: set(p.tids.tolist()) for p in picks}
+    for p in got.picks:
+        best = max(left, key=lambda q: (len(left[q] - seen), -q))
+        assert p.qid == best and p.gain == len(left[best] - seen)
+        seen |= left.pop(best)
+
+
+def test_prefix_targets_and_feature_scores(spark):
+    from repsum.operators import features, metrics
+
+    toks = spark.createDataFrame([(1, "a", "x", 2), (2, "a", "y", 1), (2, "b", "z", 1), (3, "b", "w", 4)], "qid long, feature string, token string, mult long")
+    dom = features.domain(toks)
+    of = spark.createDataFrame([(1, 1), (2, 2), (3, 3)], "qid long, batch int")
+    got = incremental.prefix_targets(toks, dom, of, 3, 4)
+    assert [t.tolist() for t in got] == [[1.0, 0, 0, 0], [0.5, 0.25, 0, 0.25], [0.25, 0.125, 0.5, 0.125]]
+    vectors = features.pack(toks, dom)
+    picks = greedy.compress(vectors, got[-1], 2).picks
+    want = {r.feature: (r.alpha, r.rho_l1) for r in metrics.scores_by_feature(metrics.compare(toks.where(F.col("qid").isin([p.qid for p in picks])), toks)).collect()}
+    rows = greedy.feature_scores(picks, got[-1], np.array([0, 0, 1, 1]), ["a", "b"])
+    assert {f: (a, pytest.approx(r)) for f, a, r in rows} == want
+
+
+def test_merge_refuses_nothing_it_knows():
+    rows = [{"score": s, "pick_no": n} for n, s in enumerate((0.2, 0.5, 0.5, 0.4), 1)]
+    assert greedy.best_prefix(rows) == 2 and greedy.size_for(rows, 0.45) == 2 and greedy.size_for(rows, 0.9) is None
+    assert greedy.best_prefix([]) == 0
