@@ -14,8 +14,12 @@ array of those rows, built by linear grouping (see suffixes.py), brings equal st
 a window is repeated if and only if a neighbour shares as many symbols as it spans. Only the
 starts of repeated windows travel back to the documents.
 
-A key with more than ``crowd`` different contexts is not gathered: each of its windows is hashed
-to 128 bits instead and counted, which is exact up to hash collisions and leaves no large group.
+Keys of which very many different contexts exist (a passage shorter than ``length`` that many
+texts have) are dealt again: under another hash every window of these contexts gets another
+anchor, and the bytes behind it and the distance of the two anchors make a finer key, whose
+contexts are treated as those of any key. Windows that stay crowded are dealt again, and after
+``DEPTH`` times by their own bytes, so no task ever holds more than ``crowd`` contexts of a key.
+Rows are told apart by 64 bits of their text, contexts by 128 (key and context hash).
 
 Edge cases: null and empty texts have no bytes; texts shorter than ``length`` lose nothing;
 repeated rows are copies of each other; rows that share a doc_id but not a text are told apart by
@@ -30,7 +34,7 @@ from collections.abc import Iterable, Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
 from repsum.llm.arrow import slices
 from repsum.llm.suffixes import common_prefixes, suffix_array
@@ -39,33 +43,36 @@ from repsum.plans.scratch import materialise
 LENGTH = 200
 SPREAD = 160
 GRAM = 16
-CROWD = 1 << 15
+#: Different contexts of a key that one task sorts, and how often more of them are dealt by other anchors.
+CROWD = 1 << 10
+DEPTH = 6
 #: Windows handled at once in one text, and symbols sorted at once in a task.
 STRETCH = 1 << 19
 SYMBOLS = 1 << 17
 
 
-def gram_hashes(raw: np.ndarray, gram: int = GRAM) -> np.ndarray:
-    """A 64-bit hash of the ``gram`` (a power of two) bytes from each position."""
+def gram_hashes(raw: np.ndarray, gram: int = GRAM, salt: int = 0) -> np.ndarray:
+    """A 64-bit hash of the ``gram`` (a power of two) bytes from each position; another one for each salt."""
     h = raw.astype(np.uint64) + np.uint64(1)
     step, odd = 1, 0x9E3779B97F4A7C15
     while step < gram:
         h = h[:-step] * np.uint64(odd) + h[step:]
         odd = (odd * odd + 2 * step) % (1 << 64)
         step *= 2
+    h ^= np.uint64(salt * 0x9E3779B97F4A7C15 % (1 << 64))
     h ^= h >> np.uint64(31)
     h *= np.uint64(0xBF58476D1CE4E5B9)
     return h
 
 
-def anchors(raw: np.ndarray, length: int = LENGTH, spread: int = SPREAD, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def anchors(raw: np.ndarray, length: int = LENGTH, spread: int = SPREAD, gram: int = GRAM, salt: int = 0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(anchor position, first window start, number of windows) of a text of at least ``length`` bytes."""
     last = len(raw) - length + 1  # windows start at 0 .. last - 1
     where, first = [], []
     low = np.uint64((1 << 20) - 1)
     for begin in range(0, last, STRETCH):
         end = min(begin + STRETCH, last)
-        h = gram_hashes(raw[begin : end + spread - 1 + gram - 1], gram)
+        h = gram_hashes(raw[begin : end + spread - 1 + gram - 1], gram, salt)
         least = (h & ~low) | np.arange(len(h), dtype=np.uint64)
         width = 1
         while width < spread:
@@ -84,14 +91,14 @@ def anchors(raw: np.ndarray, length: int = LENGTH, spread: int = SPREAD, gram: i
 
 
 def anchor_rows(docs: DataFrame, length: int = LENGTH, spread: int = SPREAD) -> DataFrame:
-    """(key, context, doc_id, place) of every anchor; place packs first window (32 bits), windows (8), offset (8) and a text hash (16)."""
+    """(key, context, doc_id, mark, place) of every anchor; mark is a hash of the text, see pack() for place."""
     tail = length - spread + 1
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key_of, context_of = xxhash.xxh64_intdigest, xxhash.xxh3_64_intdigest
         for whole in batches:
             for part in slices(whole, "raw"):
-                docs_out, keys, contexts, places = [], [], [], []
+                docs_out, marks, keys, contexts, places = [], [], [], [], []
                 for doc, raw in zip(part.column("doc_id").to_pylist(), part.column("raw").to_pylist()):
                     if raw is None or len(raw) < length:
                         continue
@@ -100,12 +107,23 @@ def anchor_rows(docs: DataFrame, length: int = LENGTH, spread: int = SPREAD) ->
                     keys += [key_of(raw[p : p + tail]) for p in at.tolist()]
                     # offsets are part of a context, so that equal contexts have equal windows
                     contexts += [context_of(raw[b:e], p - b) for b, e, p in zip(begin, end, at.tolist())]
-                    places.append((first << 32) | (count << 24) | ((at - first) << 16) | (xxhash.xxh32_intdigest(raw) & 0xFFFF))
+                    places.append(pack(first, count, at - first))
                     docs_out += [doc] * len(begin)
+                    marks += [text_mark(raw)] * len(begin)
                 if docs_out:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.array(keys, np.uint64).view(np.int64)), pa.array(np.array(contexts, np.uint64).view(np.int64)), pa.array(docs_out, pa.int64()), pa.array(np.concatenate(places))], names=["key", "context", "doc_id", "place"])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.array(keys, np.uint64).view(np.int64)), pa.array(np.array(contexts, np.uint64).view(np.int64)), pa.array(docs_out, pa.int64()), pa.array(marks, pa.int64()), pa.array(np.concatenate(places))], names=["key", "context", "doc_id", "mark", "place"])
 
-    return docs.mapInArrow(run, "key long, context long, doc_id long, place long")
+    return docs.mapInArrow(run, "key long, context long, doc_id long, mark long, place long")
+
+
+def text_mark(raw: bytes) -> int:
+    """64 bits of a text, as a signed number."""
+    return xxhash.xxh64_intdigest(raw, 7) - (1 << 63)
+
+
+def pack(first, windows, offset):
+    """One number of a first window (32 bits), a number of windows (8) and the anchor's offset in the first (8)."""
+    return (first << 32) | (windows << 24) | (offset << 16)
 
 
 def unpack(place: int) -> tuple[int, int, int]:
@@ -272,21 +290,61 @@ def sort_contexts(contexts: DataFrame, length: int = LENGTH) -> DataFrame:
     return contexts.repartition("key").sortWithinPartitions("key", "context").mapInArrow(run, f"key long, context long, runs {_RUNS}")
 
 
-def count_windows(contexts: DataFrame, length: int = LENGTH) -> DataFrame:
-    """(key, context, runs) like sort_contexts(), by counting 128-bit hashes of every window; for crowded keys."""
+_BACK = "okey long, ocontext long, base int, key long, context long, place long, bytes binary"
+
+
+def deal_again(contexts: DataFrame, length: int, spread: int, depth: int, last: bool) -> DataFrame:
+    """Parts of contexts under finer keys: (okey, ocontext, base, key, context, place, bytes).
+
+    ``base`` is a part's first window in its context. Keys come from anchors under another hash,
+    and the ``last`` time from whole windows, whose parts are equal wherever they meet.
+    """
+    tail = length - spread + 1
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key_of, context_of = xxhash.xxh64_intdigest, xxhash.xxh3_64_intdigest
         for batch in batches:
-            for i in range(batch.num_rows):
-                key, context, place, raw = (batch.column(n)[i].as_py() for n in ("key", "context", "place", "bytes"))
-                _, count, _ = unpack(place)
-                hashes = [hashlib.md5(raw[w : w + length]).digest() for w in range(count)]
-                yield pa.RecordBatch.from_arrays([pa.array([key] * count, pa.int64()), pa.array([context] * count, pa.int64()), pa.array(range(count), pa.int32()), pa.array(hashes, pa.binary())], names=["key", "context", "w", "h"])
+            out: list[list] = [[] for _ in range(7)]
+            for key, context, place, raw in zip(*(batch.column(n).to_pylist() for n in ("key", "context", "place", "bytes"))):
+                _, count, offset = unpack(place)
+                if last:
+                    at = first = np.arange(count)
+                    many = np.ones(count, np.int64)
+                else:
+                    at, first, many = anchors(np.frombuffer(raw, np.uint8), length, spread, salt=depth)
+                for p, f, n in zip(at.tolist(), first.tolist(), many.tolist()):
+                    part = raw[f : f + n - 1 + length]
+                    named = part if last else raw[p : p + tail] + (p - offset).to_bytes(4, "little", signed=True)
+                    row = (key, context, f, key_of(named, key % (1 << 64)) - (1 << 63), context_of(part, p - f) - (1 << 63), pack(0, n, p - f), part)
+                    for column, value in zip(out, row):
+                        column.append(value)
+            kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(out, kinds)], names=["okey", "ocontext", "base", "key", "context", "place", "bytes"])
+
+    return contexts.select("key", "context", "place", "bytes").mapInArrow(run, _BACK)
+
+
+def settle(contexts: DataFrame, length: int, spread: int, crowd: int, depth: int = 0) -> DataFrame:
+    """(key, context, runs) of repeated windows of different contexts (key, context, place, bytes, m), m of each key."""
+    found = sort_contexts(contexts.where(F.col("m") <= crowd).drop("m"), length)
+    hot = contexts.where(F.col("m") > crowd)
+    if depth > DEPTH or hot.isEmpty():
+        return found
+    parts = materialise(deal_again(hot, length, spread, depth + 1, depth == DEPTH), "parts")
+    distinct = materialise(parts.groupBy("key", "context").agg(F.count("*").alias("n"), F.any_value("place").alias("place"), F.any_value("bytes").alias("bytes")), "part-contexts")
+    several = distinct.groupBy("key").agg(F.count("*").alias("m")).where("m > 1")
+    finer = settle(materialise(distinct.join(several, "key").select("key", "context", "place", "bytes", "m"), "finer"), length, spread, crowd, depth + 1)
+    once = distinct.where("n = 1").select("key", "context")
+    runs = finer.join(once, ["key", "context"], "left_semi").unionByName(distinct.where("n > 1").select("key", "context", _every().alias("runs")))
+    moved = F.transform("runs", lambda r: F.struct((r["begin"] + F.col("base")).alias("begin"), (r["end"] + F.col("base")).alias("end")))
+    back = parts.select("okey", "ocontext", "base", "key", "context").join(runs, ["key", "context"]).select("okey", "ocontext", moved.alias("runs"))
+    per = back.groupBy("okey", "ocontext").agg(F.array_sort(F.flatten(F.collect_list("runs"))).alias("runs"))  # at most ``spread`` of a context
+    return found.unionByName(per.select(F.col("okey").alias("key"), F.col("ocontext").alias("context"), "runs"))
+
 
-    windows = materialise(contexts.mapInArrow(run, "key long, context long, w int, h binary"), "windows")
-    often = windows.groupBy("h").count().where("count > 1").select("h")
-    found = windows.join(often, "h").groupBy("key", "context").agg(F.array_sort(F.collect_set("w")).alias("ws"))  # at most ``spread`` a context
-    return found.select("key", "context", F.transform("ws", lambda w: F.struct(w.alias("begin"), (w + 1).cast("int").alias("end"))).alias("runs"))
+def _every() -> Column:
+    """All windows of a place as one run."""
+    return F.array(F.struct(F.lit(0).alias("begin"), F.expr("cast(shiftright(place, 24) & 255 as int)").alias("end")))
 
 
 def repeated_windows(raw: DataFrame, length: int = LENGTH, spread: int = SPREAD, crowd: int = CROWD) -> DataFrame:
@@ -295,19 +353,18 @@ def repeated_windows(raw: DataFrame, length: int = LENGTH, spread: int = SPREAD,
     # written, so that the join below has shuffles of its own, whose crowded keys can be split
     keys = materialise(rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "repeated-keys")
     dup = materialise(rows.join(keys, "key"), "repeated-anchors")
-    distinct = dup.groupBy("key", "context").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "place")).alias("one"))
-    distinct = materialise(distinct.select("key", "context", "n", "one.doc_id", "one.place"), "contexts")
+    distinct = dup.groupBy("key", "context").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "mark", "place")).alias("one"))
+    distinct = materialise(distinct.select("key", "context", "n", "one.doc_id", "one.mark", "one.place"), "contexts")
     several = materialise(distinct.groupBy("key").agg(F.count("*").alias("m")).where("m > 1"), "several")
-    asked = distinct.join(several, "key").select("key", "context", "doc_id", "place", "m")
-    mark = F.col("place").bitwiseAND(0xFFFF)
-    per_doc = asked.groupBy("doc_id", mark.alias("mark")).agg(F.collect_list(F.struct("key", "context", "place", "m")).alias("asked"))  # bounded by the text
+    asked = distinct.join(several, "key").select("key", "context", "doc_id", "mark", "place", "m")
+    per_doc = asked.groupBy("doc_id", "mark").agg(F.collect_list(F.struct("key", "context", "place", "m")).alias("asked"))  # bounded by the text
 
     def cut(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for part in slices(whole, "raw"):
                 out: list[list] = [[], [], [], [], []]
                 for text, mark, asked in zip(*(part.column(n).to_pylist() for n in ("raw", "mark", "asked"))):
-                    if xxhash.xxh32_intdigest(text) & 0xFFFF != mark:
+                    if text_mark(text) != mark:
                         continue  # another text under the same doc_id
                     for a in asked:
                         first, count, offset = unpack(a["place"])
@@ -320,17 +377,13 @@ def repeated_windows(raw: DataFrame, length: int = LENGTH, spread: int = SPREAD,
 
     wide = raw.join(per_doc, raw["doc_id"].eqNullSafe(per_doc["doc_id"])).select("raw", "mark", "asked")
     contexts = wide.mapInArrow(cut, "key long, context long, place long, bytes binary, m long")
+    # rows equal in doc_id and text bring a context more than once, which a crowded key's parts must not count
     crowded = not several.where(F.col("m") > crowd).isEmpty()
-    if crowded:
-        contexts = materialise(contexts, "context-bytes").dropDuplicates(["key", "context"])
-        found = sort_contexts(contexts.where(F.col("m") <= crowd).drop("m"), length).unionByName(count_windows(contexts.where(F.col("m") > crowd).drop("m"), length))
-    else:
-        found = sort_contexts(contexts.drop("m"), length)
+    found = settle(materialise(contexts.dropDuplicates(["key", "context"]), "context-bytes"), length, spread, crowd) if crowded else sort_contexts(contexts.drop("m"), length)
     single = distinct.where("n = 1").select("key", "context")
-    every = F.array(F.struct(F.lit(0).alias("begin"), F.expr("cast(shiftright(place, 24) & 255 as int)").alias("end")))
-    copied = distinct.where("n > 1").select("key", "context", every.alias("runs"))
+    copied = distinct.where("n > 1").select("key", "context", _every().alias("runs"))
     runs = found.join(single, ["key", "context"], "left_semi").unionByName(copied.select("key", "context", "runs"))
-    hit = dup.join(runs, ["key", "context"]).select("doc_id", mark.alias("mark"), F.shiftright("place", 32).alias("first"), F.explode("runs").alias("r"))
+    hit = dup.join(runs, ["key", "context"]).select("doc_id", "mark", F.shiftright("place", 32).alias("first"), F.explode("runs").alias("r"))
     return hit.select("doc_id", "mark", (F.col("first") + F.col("r.begin")).alias("begin"), (F.col("first") + F.col("r.end")).alias("end"))
 
 
@@ -351,7 +404,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, spread: int = SPREAD,
                 for doc, text, marks in zip(*(part.column(n).to_pylist() for n in ("doc_id", "raw", "marks"))):
                     spans: list[tuple[int, int]] = []
                     if marks:
-                        own = xxhash.xxh32_intdigest(text) & 0xFFFF
+                        own = text_mark(text)
                         starts = sorted((s["begin"], s["end"] - 1 + length) for m in marks if m["mark"] == own for s in m["starts"])
                         for a, b in starts:
                             if spans and a <= spans[-1][1]:

@@ -4,6 +4,7 @@ import random
 
 import pytest
 
+from repsum.llm import substrings
 from repsum.llm.substrings import remove_repeats
 from repsum.llm.suffixes import common_prefixes, suffix_array
 
@@ -68,6 +69,16 @@ def test_equals_brute_force(documents, crowd):
     assert run(documents(rows), crowd=crowd) == brute(rows, 200)
 
 
+@pytest.mark.parametrize("depth", [0, 1, 6])
+def test_a_common_passage_among_many_texts(documents, monkeypatch, depth):
+    """A passage a little shorter and one a little longer than the strings, in texts that differ around it."""
+    monkeypatch.setattr(substrings, "DEPTH", depth)
+    rng = random.Random(depth)
+    short, long = ("".join(rng.choice("abcdefgh ") for _ in range(n)) for n in (185, 215))
+    rows = [(i, "".join(rng.choice("abcdefgh ") for _ in range(rng.randint(20, 90))) + (short if i % 3 else long) + "".join(rng.choice("ab") for _ in range(rng.randint(5, 60)))) for i in range(70)]
+    assert run(documents(rows), crowd=8) == brute(rows, 200)
+
+
 def test_odd_rows(odd):
     assert run(odd) == brute([r[:2] for r in odd_rows()], 200)
 
