@@ -597,23 +597,29 @@ def merge_bounds(spark, sf_dir):
 PINNED_EVENTS = {"value": (0, 60_000), "k": (0, 99), "gap": (0, 7 * 86_400_000), "run": (1, 50)}
 
 
-@query
-def incremental_batches(spark, sf_dir):
-    """Seven batches added one at a time, each against a run from scratch over the log up to it.
-
-    Bounds are pinned and a batch's target is the log up to it, so nothing is known beforehand.
-    """
+def _increments(spark, sf_dir, scratch: bool):
+    """Steps of seven batches with pinned bounds, each under the target of the log up to it, so nothing is known beforehand."""
     log, b = _batches(spark, sf_dir)
     b = materialise(b, "batches")
     p = prepare(log, pinned=PINNED_EVENTS)
-    kinds = p.features()
     targets = incremental.prefix_targets(p.tokens, p.domain, b, 7, len(p.d))
-    out = []
-    for s in incremental.run_incremental(p.vectors, b, targets, math.isqrt):
-        d = s["target"]
-        merged, scratch = (greedy.trace(s[x], d, kinds, greedy.GAMMA)[-1] for x in ("result", "scratch"))
-        out.append((s["batch"], s["entries"], s["looked_at"], s["scratch_looked_at"], len(s["result"].picks), merged["g"] / scratch["g"], merged["score"], scratch["score"]))
-    return spark.createDataFrame(out, "batch int, entries long, looked_at long, scratch_looked_at long, picks int, share_of_scratch double, score double, scratch_score double")
+    kinds = p.features()
+    for s in incremental.run_incremental(p.vectors, b, targets, math.isqrt, scratch=scratch):
+        yield s, greedy.trace(s["result"], s["target"], kinds, greedy.GAMMA)[-1], greedy.trace(s["scratch"], s["target"], kinds, greedy.GAMMA)[-1] if scratch else None
+
+
+@query
+def incremental_batches(spark, sf_dir):
+    """Seven batches added one at a time: entries looked at, and the scores of the merged summary under each batch's target."""
+    out = [(s["batch"], s["entries"], s["looked_at"], len(s["result"].picks), m["alpha_avg"], m["rho_l1"], m["score"]) for s, m, _ in _increments(spark, sf_dir, False)]
+    return spark.createDataFrame(out, "batch int, entries long, looked_at long, picks int, alpha_avg double, rho_l1 double, score double")
+
+
+@query
+def increments_vs_scratch(spark, sf_dir):
+    """The same batches, each against a run from scratch over the log up to it under the same target."""
+    out = [(s["batch"], s["looked_at"], s["scratch_looked_at"], m["g"] / z["g"], m["score"], z["score"]) for s, m, z in _increments(spark, sf_dir, True)]
+    return spark.createDataFrame(out, "batch int, looked_at long, scratch_looked_at long, share_of_scratch double, score double, scratch_score double")
 
 
 @query
