@@ -326,6 +326,9 @@ def oracle() -> dict[str, str]:
     o["medoid_assign"] = f"WITH {emb} SELECT qid, medoid, round(dist, 6) AS dist FROM ({near})"
     o["medoid_update_1"] = f"WITH {emb}, n AS ({near}), s AS (SELECT n.medoid, a.qid, round(sum({dist}), 6) AS s FROM n JOIN e a ON n.qid = a.qid JOIN n n2 ON n2.medoid = n.medoid JOIN e b ON b.qid = n2.qid GROUP BY ALL) SELECT medoid, qid AS \"new\" FROM s QUALIFY row_number() OVER (PARTITION BY medoid ORDER BY s, qid) = 1"
     o["euclid_pairs"] = f"WITH {emb} SELECT a.qid AS a, b.qid AS b, round({dist}, 6) AS dist FROM e a JOIN e b ON a.qid < b.qid WHERE b.qid < 60"
+    chosen = lambda source: f"few AS (SELECT qid FROM {source} ORDER BY md5('42|' || qid), qid LIMIT 8)"
+    o["euclid_to_chosen"] = f"WITH {emb}, {chosen('e')} SELECT a.qid, b.qid AS other, round({dist}, 6) AS dist FROM e a, e b WHERE b.qid IN (FROM few)"
+    o["jaccard_to_chosen"] = tok + f", {chosen('ent')}, s AS (SELECT DISTINCT qid, feature || '=' || token AS t FROM tok), z AS (SELECT ent.qid, count(t) AS n FROM ent LEFT JOIN s USING (qid) GROUP BY ent.qid), both_ AS (SELECT x.qid, y.qid AS other, count(*) AS i FROM s x JOIN s y ON x.t = y.t WHERE y.qid IN (FROM few) GROUP BY ALL) SELECT a.qid, b.qid AS other, round(CASE WHEN a.n + b.n = 0 THEN 0 ELSE 1 - coalesce(i, 0) / (a.n + b.n - coalesce(i, 0)) END, 6) AS dist FROM z a JOIN z b ON b.qid IN (FROM few) LEFT JOIN both_ ON both_.qid = a.qid AND both_.other = b.qid"
     o["jaccard_pairs"] = tok + ", s AS (SELECT DISTINCT qid, feature || '=' || token AS t FROM tok WHERE qid < 60), z AS (SELECT qid, count(*) AS n FROM s GROUP BY qid) SELECT a.qid AS a, b.qid AS b, round(1 - coalesce(i, 0) / (a.n + b.n - coalesce(i, 0)), 6) AS dist FROM z a JOIN z b ON a.qid < b.qid LEFT JOIN (SELECT x.qid AS p, y.qid AS q, count(*) AS i FROM s x JOIN s y ON x.t = y.t AND x.qid < y.qid GROUP BY ALL) ON p = a.qid AND q = b.qid"
     # relational surface
     o["bucket_range_join"] = "WITH b AS (SELECT i AS bucket, i * 50000 AS lo, (i + 1) * 50000 AS hi FROM range(10) r(i)) SELECT bucket, count(*) AS n FROM orders JOIN b ON o_totalprice >= lo AND o_totalprice < hi GROUP BY bucket"

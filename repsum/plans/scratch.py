@@ -2,8 +2,8 @@
 
 Intermediate tables that several later stages read are written as Parquet below the
 folder that the session names in ``spark.checkpoint.dir``. A written table cuts lineage
-and survives the loss of any executor. Only where that setting is absent (tests, a local
-shell) a folder of our own is set.
+and survives the loss of any executor. Only where that setting is absent in a single local
+process (tests, a local shell) a folder of our own is set; on a cluster its absence is an error.
 """
 
 from __future__ import annotations
@@ -23,6 +23,8 @@ def scratch_root(spark: SparkSession) -> str:
     sc = spark.sparkContext
     base = sc.getConf().get("spark.checkpoint.dir")
     if not base:
+        if not (sc.master == "local" or sc.master.startswith("local[")):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         base = f"file://{_LOCAL_DEFAULT}"
         if sc._jsc.sc().getCheckpointDir().isEmpty():
             sc.setCheckpointDir(base)
