@@ -4,12 +4,12 @@ from __future__ import annotations
 
 import math
 from collections.abc import Callable
+from functools import reduce
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
 from repsum.functions import numeric
-from repsum.functions.distance import euclid, jaccard
 from repsum.functions.sqltext import fingerprint, join_counts, sql_tokens
 from repsum.operators import advisor, baselines, features, greedy, incremental, metrics, partitioned, tuning
 from repsum.plans.oracle import BETAS, GAMMAS, PINNED, WEIGHTS
@@ -568,15 +568,14 @@ def batch_ntile(spark, sf_dir):
 @query
 def running_target(spark, sf_dir):
     log, b = _batches(spark, sf_dir)
-    return incremental.running_target(features.tokens(log).where(F.col("feature").isin("type", "hour")), b)
+    return incremental.running_target(features.tokens(log), b)
 
 
 @query
 def merge_append(spark, sf_dir):
     log, b = _batches(spark, sf_dir)
-    tagged = features.tokens(log).join(b, "qid")
-    one, two = (features.frequencies(tagged.where(F.col("batch") == n)) for n in (1, 2))
-    return incremental.merge_counts(one, two)
+    tagged = materialise(features.tokens(log).join(b, "qid"), "tagged")
+    return reduce(incremental.merge_counts, (features.frequencies(tagged.where(F.col("batch") == n)) for n in range(1, 8)))
 
 
 @query
@@ -697,23 +696,6 @@ def jaccard_to_chosen(spark, sf_dir):
     return _rounded(baselines.distances_to(p, _chosen(p), "categorical"), "dist")
 
 
-@query
-def euclid_pairs(spark, sf_dir):
-    """Pairs of the entries under 60 only, as the SQL has it; ``euclid_to_chosen`` takes the whole table."""
-    p = logs.embeddings_log(spark, sf_dir).where("qid < 60").select("qid", "num")
-    other = p.select(F.col("qid").alias("b"), F.col("num").alias("other"))
-    return p.join(other, F.col("qid") < F.col("b")).select(F.col("qid").alias("a"), "b", F.round(euclid(F.col("num"), F.col("other")), 6).alias("dist"))
-
-
-@query
-def jaccard_pairs(spark, sf_dir):
-    """Pairs of the entries under 60 only, as the SQL has it; ``jaccard_to_chosen`` takes the whole log."""
-    toks = features.tokens(logs.orders_log(spark, sf_dir)).where("qid < 60")
-    sets = toks.groupBy("qid").agg(F.collect_set(F.concat_ws("=", "feature", "token")).alias("t"))
-    other = sets.select(F.col("qid").alias("b"), F.col("t").alias("o"))
-    return sets.join(other, F.col("qid") < F.col("b")).select(F.col("qid").alias("a"), "b", F.round(jaccard(F.col("t"), F.col("o")), 6).alias("dist"))
-
-
 def _conversation_points(spark, sf_dir):
     log = logs.conversations_log(spark, sf_dir)
     return baselines.dense_points(log.entries, log.numeric, log.bags)
@@ -783,10 +765,9 @@ def mixed_to_chosen(spark, sf_dir):
 
 @query
 def compare_methods(spark, sf_dir):
-    """Scores of the methods at the same size, over the skewed orders log.
+    """Scores at the same size of the methods that no log is too long for, over the skewed orders log.
 
-    Hierarchical clustering is quadratic and gets 300 entries of it, as its rows' names say;
-    ``compare_methods_shared`` has every method on one log that all of them take whole.
+    ``compare_methods_shared`` has the quadratic ones beside them, on a log that all take whole.
     """
     log = logs.skewed_log(logs.orders_log(spark, sf_dir))
     p = prepare(log)
@@ -798,10 +779,6 @@ def compare_methods(spark, sf_dir):
         "random": [r["qid"] for r in baselines.random_sample(log.entries, k).collect()],
         "frequent": [r["qid"] for r in baselines.top_frequency(p.vectors, k).collect()],
     }
-    sample = baselines.random_sample(log.entries, 300)
-    points = baselines.dense_points(log.entries.join(F.broadcast(sample), "qid", "left_semi"), log.numeric, p.of(sample))
-    for kind in ("numeric", "mixed"):
-        ids[f"hierarchical_{kind}_of_300"] = baselines.hierarchical(points, k, "average", kind)
     return _method_scores(p, ids)
 
 
@@ -1000,7 +977,7 @@ def view_sizes_cube(spark, sf_dir):
 @query
 def scores_rollup(spark, sf_dir):
     log = logs.events_log(spark, sf_dir)
-    toks = log.bags.where(F.col("feature").isin("type", "hour")).join(log.entries.select("qid", F.to_date("ts").alias("day")), "qid")
+    toks = features.tokens(log).join(log.entries.select("qid", F.to_date("ts").alias("day")), "qid")
     return toks.rollup("feature", "day").agg(F.sum("mult").alias("n"))
 
 
@@ -1074,7 +1051,7 @@ def pred_mix(spark, sf_dir):
 def _edge_batches(spark, sf_dir):
     log, b = _batches(spark, sf_dir)
     tagged = features.tokens(log).join(b, "qid")
-    return (tagged.where(F.col("batch") == n).select("feature", "token") for n in (1, 7))
+    return (tagged.where(part).select("feature", "token") for part in (F.col("batch") == 1, F.col("batch") > 1))
 
 
 @query
@@ -1091,7 +1068,7 @@ def set_except(spark, sf_dir):
 
 @query
 def set_intersect_all(spark, sf_dir):
-    """Tokens as often as both the first and the last batch have them."""
+    """Tokens as often as both the first batch and all later ones have them."""
     a, b = _edge_batches(spark, sf_dir)
     return a.intersectAll(b).groupBy("feature", "token").agg(F.count("*").alias("n"))
 

@@ -268,8 +268,8 @@ def oracle() -> dict[str, str]:
     o["partition_merge_4"] = ", ".join([start.replace("WITH ", f"WITH {part}, ", 1), *local, *merged]) + f", sets AS ({sets}) SELECT pick_no, qid, round(g, 6) AS gain, CAST(1 AS DOUBLE) AS cost FROM sets WHERE w = (SELECT w FROM sets GROUP BY w ORDER BY sum(g) DESC, w LIMIT 1)"
     # batches of the events log
     o["batch_ntile"] = f"WITH {_batch_tokens(7)} SELECT CAST(batch AS INTEGER) AS batch, count(*) AS n, min(qid) AS first_qid, max(qid) AS last_qid FROM bt GROUP BY batch"
-    o["running_target"] = f"WITH {_batch_tokens(7)}, per AS (SELECT batch, feature, token, sum(mult) AS f FROM tok JOIN bt USING (qid) WHERE feature IN ('type', 'hour') GROUP BY ALL) SELECT CAST(b.batch AS INTEGER) AS batch, feature, token, CAST(sum(f) AS BIGINT) AS freq FROM per JOIN (SELECT DISTINCT batch FROM bt) b ON per.batch <= b.batch GROUP BY ALL"
-    o["merge_append"] = f"WITH {_batch_tokens(7)} SELECT feature, token, CAST(sum(mult) AS BIGINT) AS freq FROM tok JOIN bt USING (qid) WHERE batch <= 2 GROUP BY ALL"
+    o["running_target"] = f"WITH {_batch_tokens(7)}, per AS (SELECT batch, feature, token, sum(mult) AS f FROM tok JOIN bt USING (qid) GROUP BY ALL) SELECT CAST(b.batch AS INTEGER) AS batch, feature, token, CAST(sum(f) AS BIGINT) AS freq FROM per JOIN (SELECT DISTINCT batch FROM bt) b ON per.batch <= b.batch GROUP BY ALL"
+    o["merge_append"] = f"WITH {_batch_tokens(7)} SELECT feature, token, CAST(sum(mult) AS BIGINT) AS freq FROM tok JOIN bt USING (qid) GROUP BY ALL"
     o["drift_tv"] = f"""WITH {EVENTS}, dy AS (SELECT CAST(ts AS DATE) AS day, feature, token, sum(mult) AS f FROM tok JOIN ev USING (qid) WHERE feature IN ('type', 'bigram', 'hour', 'user') GROUP BY ALL),
       sh AS (SELECT day, feature, token, f / sum(f) OVER (PARTITION BY day) AS p FROM dy), ds AS (SELECT day, lag(day) OVER (ORDER BY day) AS before FROM (SELECT DISTINCT day FROM dy))
       SELECT day, round(sum(abs(coalesce(p, 0) - coalesce(p0, 0))) / 2, 6) AS tv, count(*) FILTER (p0 IS NULL) AS n_new, count(*) FILTER (p IS NULL) AS n_gone FROM
@@ -325,17 +325,15 @@ def oracle() -> dict[str, str]:
     near = f"SELECT a.qid, b.qid AS medoid, round({dist}, 9) AS dist FROM e a, e b WHERE b.qid < 8 QUALIFY row_number() OVER (PARTITION BY a.qid ORDER BY round({dist}, 9), b.qid) = 1"
     o["medoid_assign"] = f"WITH {emb} SELECT qid, medoid, round(dist, 6) AS dist FROM ({near})"
     o["medoid_update_1"] = f"WITH {emb}, n AS ({near}), s AS (SELECT n.medoid, a.qid, round(sum({dist}), 6) AS s FROM n JOIN e a ON n.qid = a.qid JOIN n n2 ON n2.medoid = n.medoid JOIN e b ON b.qid = n2.qid GROUP BY ALL) SELECT medoid, qid AS \"new\" FROM s QUALIFY row_number() OVER (PARTITION BY medoid ORDER BY s, qid) = 1"
-    o["euclid_pairs"] = f"WITH {emb} SELECT a.qid AS a, b.qid AS b, round({dist}, 6) AS dist FROM e a JOIN e b ON a.qid < b.qid WHERE b.qid < 60"
     chosen = lambda source: f"few AS (SELECT qid FROM {source} ORDER BY md5('42|' || qid), qid LIMIT 8)"
     o["euclid_to_chosen"] = f"WITH {emb}, {chosen('e')} SELECT a.qid, b.qid AS other, round({dist}, 6) AS dist FROM e a, e b WHERE b.qid IN (FROM few)"
     o["jaccard_to_chosen"] = tok + f", {chosen('ent')}, s AS (SELECT DISTINCT qid, feature || '=' || token AS t FROM tok), z AS (SELECT ent.qid, count(t) AS n FROM ent LEFT JOIN s USING (qid) GROUP BY ent.qid), both_ AS (SELECT x.qid, y.qid AS other, count(*) AS i FROM s x JOIN s y ON x.t = y.t WHERE y.qid IN (FROM few) GROUP BY ALL) SELECT a.qid, b.qid AS other, round(CASE WHEN a.n + b.n = 0 THEN 0 ELSE 1 - coalesce(i, 0) / (a.n + b.n - coalesce(i, 0)) END, 6) AS dist FROM z a JOIN z b ON b.qid IN (FROM few) LEFT JOIN both_ ON both_.qid = a.qid AND both_.other = b.qid"
-    o["jaccard_pairs"] = tok + ", s AS (SELECT DISTINCT qid, feature || '=' || token AS t FROM tok WHERE qid < 60), z AS (SELECT qid, count(*) AS n FROM s GROUP BY qid) SELECT a.qid AS a, b.qid AS b, round(1 - coalesce(i, 0) / (a.n + b.n - coalesce(i, 0)), 6) AS dist FROM z a JOIN z b ON a.qid < b.qid LEFT JOIN (SELECT x.qid AS p, y.qid AS q, count(*) AS i FROM s x JOIN s y ON x.t = y.t AND x.qid < y.qid GROUP BY ALL) ON p = a.qid AND q = b.qid"
     # relational surface
     o["bucket_range_join"] = "WITH b AS (SELECT i AS bucket, i * 50000 AS lo, (i + 1) * 50000 AS hi FROM range(10) r(i)) SELECT bucket, count(*) AS n FROM orders JOIN b ON o_totalprice >= lo AND o_totalprice < hi GROUP BY bucket"
     o["asof_prev_event"] = f"WITH {EVENTS} SELECT o_orderkey, qid AS event_id FROM orders ASOF JOIN (SELECT qid, ts, user_id FROM ev) e ON o_custkey = e.user_id AND o_orderdate + INTERVAL 25 YEAR >= e.ts"
     o["interval_concurrency"] = "SELECT a.event_id, count(*) - 1 AS near FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts BETWEEN a.ts - INTERVAL 1 HOUR AND a.ts + INTERVAL 1 HOUR GROUP BY a.event_id"
     o["view_sizes_cube"] = "SELECT l_returnflag, l_linestatus, CAST(grouping(l_returnflag, l_linestatus) AS BIGINT) AS gid, count(*) AS n, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS qty FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)"
-    o["scores_rollup"] = f"WITH {EVENTS} SELECT feature, CAST(ts AS DATE) AS day, CAST(sum(mult) AS BIGINT) AS n FROM tok JOIN ev USING (qid) WHERE feature IN ('type', 'hour') GROUP BY ROLLUP (feature, day)"
+    o["scores_rollup"] = f"WITH {EVENTS} SELECT feature, CAST(ts AS DATE) AS day, CAST(sum(mult) AS BIGINT) AS n FROM tok JOIN ev USING (qid) GROUP BY ROLLUP (feature, day)"
     o["scores_gsets"] = "SELECT event_type, user_id, count(*) AS n FROM events GROUP BY GROUPING SETS ((event_type), (user_id), ())"
     o["gamma_grid"] = on_sample("SELECT * FROM (" + " UNION ALL ".join(f"SELECT feature, round(sum(CASE WHEN ms > 0 THEN d * (ln(ms + {g!r}) - ln({g!r})) ELSE 0 END), 6) AS g, '{n}' AS col {_B} GROUP BY feature" for n, g in (("g1", 1.0), ("g2", 0.001), ("g3", 1e-10))) + ") PIVOT (max(g) FOR col IN ('g1', 'g2', 'g3') GROUP BY feature)")
     o["profile_numeric"] = f"WITH {ORDERS} SELECT feature, round(avg(v), 3) AS mean, round(median(v), 3) AS median, round(quantile_cont(v, 0.9), 3) AS p90 FROM numv GROUP BY feature"
@@ -347,8 +345,8 @@ def oracle() -> dict[str, str]:
     o["sliding_counts"] = "SELECT CAST(d AS TIMESTAMP) AS start, count(*) AS n FROM (SELECT unnest(generate_series(date_trunc('day', ts) - INTERVAL 6 DAY, date_trunc('day', ts), INTERVAL 1 DAY)) AS d FROM events) GROUP BY d"
     o["session_counts"] = "WITH s AS (SELECT user_id, ts, CASE WHEN lag(ts) OVER w IS NULL OR ts - lag(ts) OVER w >= INTERVAL 6 HOUR THEN 1 ELSE 0 END AS b FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), g AS (SELECT user_id, sum(b) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM s) SELECT user_id, count(DISTINCT k) AS sessions, count(*) AS n FROM g GROUP BY user_id"
     o["pred_mix"] = "SELECT o_orderpriority, count(*) AS n FROM orders WHERE o_orderstatus IN ('F', 'O') AND o_totalprice BETWEEN 1000 AND 300000 AND o_orderpriority LIKE '%-%' AND o_orderdate IS NOT NULL GROUP BY ALL"
-    o["set_intersect"] = f"WITH {_batch_tokens(7)} SELECT feature, token FROM tok JOIN bt USING (qid) WHERE batch = 1 INTERSECT SELECT feature, token FROM tok JOIN bt USING (qid) WHERE batch = 7"
-    o["set_except"] = f"WITH {_batch_tokens(7)} SELECT feature, token FROM tok JOIN bt USING (qid) WHERE batch = 1 EXCEPT SELECT feature, token FROM tok JOIN bt USING (qid) WHERE batch = 7"
-    for how in ("intersect", "except"):
-        o[f"set_{how}_all"] = f"WITH {_batch_tokens(7)} SELECT feature, token, count(*) AS n FROM (SELECT feature, token FROM tok JOIN bt USING (qid) WHERE batch = 1 {how.upper()} ALL SELECT feature, token FROM tok JOIN bt USING (qid) WHERE batch = 7) GROUP BY ALL"
+    first, later = (f"SELECT feature, token FROM tok JOIN bt USING (qid) WHERE batch {which}" for which in ("= 1", "> 1"))
+    for name, how in (("set_intersect", "INTERSECT"), ("set_except", "EXCEPT")):
+        o[name] = f"WITH {_batch_tokens(7)} {first} {how} {later}"
+        o[f"{name}_all"] = f"WITH {_batch_tokens(7)} SELECT feature, token, count(*) AS n FROM ({first} {how} ALL {later}) GROUP BY ALL"
     return o
