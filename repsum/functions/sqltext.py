@@ -310,7 +310,7 @@ def anonymise(sql: Column, salt: str) -> Column:
 
 
 def register(spark) -> None:
-    """SQL surface: token_bag(sql) as a function, tokens_of(sql) as a table function."""
+    """SQL surface: token_bag(sql) and token_bucket(value, low, high, buckets) as functions, tokens_of(sql) as a table function."""
     from pyspark.sql.functions import udtf
 
     @udtf(returnType="feature string, token string")
@@ -320,3 +320,7 @@ def register(spark) -> None:
 
     spark.udf.register("token_bag", _parse_udf)
     spark.udtf.register("tokens_of", TokensOf)
+    spark.sql(
+        """CREATE OR REPLACE TEMPORARY FUNCTION token_bucket(value BIGINT, low BIGINT, high BIGINT, buckets BIGINT) RETURNS BIGINT
+        RETURN CASE WHEN value IS NULL THEN NULL WHEN high = low THEN 0 ELSE ((least(greatest(value, low), high) - low) * buckets) DIV (high - low) END"""
+    )

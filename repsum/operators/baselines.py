@@ -26,12 +26,17 @@ def random_sample(entries: DataFrame, k: int, seed: int | str = 42) -> DataFrame
 def sample_knapsack(entries: DataFrame, budget: float, seed: int | str = 42) -> DataFrame:
     """(pick_no, qid, cost): the longest prefix of the hash order whose costs fit the budget.
 
-    Costs are positive, so no prefix needs more than the cheapest ones allow; the running sum
-    is over the prefix only.
+    A sort of the first rows only, as many as the average cost lets expect, doubled until they
+    pass the budget; the running sum is over them. Null costs count nothing.
     """
-    least = entries.where(F.col("cost") > 0).agg(F.min("cost")).head()[0] or 1
-    most = min(int(budget / least) + 1, 1 << 30)
-    top = entries.select("qid", "cost", hash_order(seed).alias("h")).orderBy("h", "qid").limit(most)
+    priced = entries.select("qid", F.coalesce("cost", F.lit(0)).alias("cost"), hash_order(seed).alias("h"))
+    rows, total = priced.agg(F.count("*"), F.sum("cost")).head()
+    most = min(rows, int(2 * budget * rows / total) + 16) if total else rows
+    while True:
+        top = priced.orderBy("h", "qid").limit(most)
+        if most >= rows or top.agg(F.sum("cost")).head()[0] > budget:
+            break
+        most = min(rows, 2 * most)
     w = Window.orderBy("h", "qid")
     run = top.select("qid", "cost", F.row_number().over(w).alias("pick_no"), F.sum("cost").over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("spent"))
     return run.where(F.col("spent") <= budget).select("pick_no", "qid", "cost")

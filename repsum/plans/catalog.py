@@ -10,10 +10,10 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
 from repsum.functions import numeric
-from repsum.functions.sqltext import fingerprint, join_counts, sql_tokens
+from repsum.functions.sqltext import fingerprint, join_counts, register, sql_tokens
 from repsum.operators import advisor, baselines, features, greedy, incremental, metrics, partitioned, tuning
 from repsum.plans.oracle import BETAS, GAMMAS, PINNED, WEIGHTS
-from repsum.plans.prepare import Prepared, prepare, sqrt_budget
+from repsum.plans.prepare import Prepared, prepare, sqrt_budget, views
 from repsum.plans.scratch import materialise, ship_package
 from repsum.sources import logs, templates
 from repsum.sources.tables import cents, read
@@ -445,17 +445,34 @@ def greedy_sqrt(spark, sf_dir):
     return spark.createDataFrame([tuple(r.values()) for r in rows], greedy.TRACE)
 
 
+def _priced(spark, sf_dir):
+    """The orders log at the price of each order, and a cap of 0.2 % of them all."""
+    log = logs.orders_log(spark, sf_dir)
+    p = prepare(log)
+    costs = log.entries.select("qid", F.col("n1").cast("double").alias("cost"))
+    vectors = materialise(p.vectors.drop("cost").join(costs, "qid").select("qid", "cost", "tids", "mults"), "priced")
+    return p, vectors, float(vectors.agg(F.sum("cost")).head()[0]) * 0.002
+
+
 @query
 def compliance_benchmark(spark, sf_dir):
     """Every kind of query within a cap on summed price, the cost of an order: knapsack with the safeguard."""
-    log = logs.orders_log(spark, sf_dir)
-    p = prepare(log)
-    costs = log.entries.select("qid", F.col("n1").cast("double").alias("c"))
-    vectors = materialise(p.vectors.drop("cost").join(costs, "qid").select("qid", F.col("c").alias("cost"), "tids", "mults"), "priced")
-    cap = float(costs.agg(F.sum("c")).head()[0]) * 0.002
+    p, vectors, cap = _priced(spark, sf_dir)
     return _rounded(greedy.summary(spark, greedy.compress(vectors, p.d, cap, "limit", unit=False)), "gain")
 
 
+@query
+def capped_vs_sample(spark, sf_dir):
+    """The capped summary's scores against a random sample that spends no more than the same cap."""
+    p, vectors, cap = _priced(spark, sf_dir)
+    ids = {
+        "greedy_limit": greedy.compress(vectors, p.d, cap, "limit", unit=False).ids(),
+        "greedy": greedy.compress(vectors, p.d, cap, unit=False).ids(),
+        "sample": baselines.sample_knapsack(vectors, cap),
+    }
+    return _method_scores(p, ids)
+
+
 #: The smoothings of the published trade-off.
 TRADE_OFF = (1.0, 1e-3, 1e-10, 1e-15, 1e-20, 1e-25)
 
@@ -806,7 +823,7 @@ def compare_methods_shared(spark, sf_dir):
     return _method_scores(p, ids)
 
 
-def _method_scores(p: Prepared, ids: dict[str, list[int]]) -> DataFrame:
+def _method_scores(p: Prepared, ids: dict[str, list[int] | DataFrame]) -> DataFrame:
     out = None
     for name, some in ids.items():
         row = metrics.scores(metrics.compare(p.of(some), p.tokens)).select(F.lit(name).alias("method"), *(F.round(c, 6).alias(c) for c in ("alpha_min", "alpha_avg", "rho_l1", "rho_linf")))
@@ -943,6 +960,18 @@ def advise_greedy_4(spark, sf_dir):
 # relational surface of the methods
 
 
+@query
+def sql_surface(spark, sf_dir):
+    """Views of a log and the registered functions in plain SQL: tokens of each feature by price bucket."""
+    register(spark)
+    log = logs.orders_log(spark, sf_dir)
+    views(log, "orders_log")
+    return spark.sql(
+        """WITH e AS (SELECT qid, token_bucket(n1, (SELECT min(n1) FROM orders_log_entries), (SELECT max(n1) FROM orders_log_entries), 10) AS bucket FROM orders_log_entries)
+        SELECT bucket, feature, sum(mult) AS n FROM e JOIN orders_log_tokens USING (qid) GROUP BY bucket, feature"""
+    )
+
+
 @query
 def bucket_range_join(spark, sf_dir):
     b = spark.range(10).select(F.col("id").alias("bucket"), (F.col("id") * 50000).alias("lo"), ((F.col("id") + 1) * 50000).alias("hi"))

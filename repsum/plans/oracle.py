@@ -329,6 +329,7 @@ def oracle() -> dict[str, str]:
     o["euclid_to_chosen"] = f"WITH {emb}, {chosen('e')} SELECT a.qid, b.qid AS other, round({dist}, 6) AS dist FROM e a, e b WHERE b.qid IN (FROM few)"
     o["jaccard_to_chosen"] = tok + f", {chosen('ent')}, s AS (SELECT DISTINCT qid, feature || '=' || token AS t FROM tok), z AS (SELECT ent.qid, count(t) AS n FROM ent LEFT JOIN s USING (qid) GROUP BY ent.qid), both_ AS (SELECT x.qid, y.qid AS other, count(*) AS i FROM s x JOIN s y ON x.t = y.t WHERE y.qid IN (FROM few) GROUP BY ALL) SELECT a.qid, b.qid AS other, round(CASE WHEN a.n + b.n = 0 THEN 0 ELSE 1 - coalesce(i, 0) / (a.n + b.n - coalesce(i, 0)) END, 6) AS dist FROM z a JOIN z b ON b.qid IN (FROM few) LEFT JOIN both_ ON both_.qid = a.qid AND both_.other = b.qid"
     # relational surface
+    o["sql_surface"] = tok + "SELECT CAST(CASE WHEN hi = lo THEN 0 ELSE ((n1 - lo) * 10) // (hi - lo) END AS BIGINT) AS bucket, feature, CAST(sum(mult) AS BIGINT) AS n FROM ent JOIN tok USING (qid), (SELECT min(n1) AS lo, max(n1) AS hi FROM ent) GROUP BY ALL"
     o["bucket_range_join"] = "WITH b AS (SELECT i AS bucket, i * 50000 AS lo, (i + 1) * 50000 AS hi FROM range(10) r(i)) SELECT bucket, count(*) AS n FROM orders JOIN b ON o_totalprice >= lo AND o_totalprice < hi GROUP BY bucket"
     o["asof_prev_event"] = f"WITH {EVENTS} SELECT o_orderkey, qid AS event_id FROM orders ASOF JOIN (SELECT qid, ts, user_id FROM ev) e ON o_custkey = e.user_id AND o_orderdate + INTERVAL 25 YEAR >= e.ts"
     o["interval_concurrency"] = "SELECT a.event_id, count(*) - 1 AS near FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts BETWEEN a.ts - INTERVAL 1 HOUR AND a.ts + INTERVAL 1 HOUR GROUP BY a.event_id"

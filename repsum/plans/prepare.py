@@ -32,9 +32,9 @@ class Prepared:
         return got.sort_values("tid")["k"].to_numpy(dtype=int) - 1
 
     def of(self, qids: list[int] | DataFrame) -> DataFrame:
-        """Tokens of some entries; a list is a summary and therefore small."""
+        """Tokens of some entries; a list is a summary and therefore small, a table is sent around only if the session's limit allows."""
         if isinstance(qids, DataFrame):
-            return self.tokens.join(F.broadcast(qids.select("qid")), "qid", "left_semi")
+            return self.tokens.join(qids.select("qid"), "qid", "left_semi")
         return self.tokens.where(F.col("qid").isin(qids))
 
 
@@ -46,5 +46,12 @@ def prepare(log: Log, buckets: int = BUCKETS, pinned=None, target: DataFrame | N
     return Prepared(log, toks, dom, vectors, target_array(dom, target, weights))
 
 
+def views(log: Log, name: str, buckets: int = BUCKETS) -> None:
+    """Temporary views of a log for SQL: ``name``_entries, ``name``_tokens and ``name``_domain."""
+    toks = tokens(log, buckets)
+    for kind, table in (("entries", log.entries), ("tokens", toks), ("domain", domain(toks))):
+        table.createOrReplaceTempView(f"{name}_{kind}")
+
+
 def sqrt_budget(entries: DataFrame) -> int:
     return math.isqrt(entries.count())

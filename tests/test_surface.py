@@ -285,3 +285,44 @@ def test_plan_tokens_name_the_operators(spark):
     log = spark.createDataFrame([(1, "select id % 2, count(*) from five group by 1"), (2, "select id from five order by id"), (3, "select id from five order by id")], "qid long, sql string")
     got = {(r.qid, r.token) for r in plan_tokens(spark, log).collect()}
     assert (1, "Aggregate") in got and (2, "Sort") in got and (3, "Sort") in got and (2, "Aggregate") not in got
+
+
+def test_views_and_bucket_in_sql(spark):
+    from repsum.plans.prepare import views
+    from repsum.sources import logs
+
+    sqltext.register(spark)
+    views(logs.orders_log(spark, SF), "surface")
+    assert {r.qid for r in spark.sql("SELECT DISTINCT qid FROM surface_tokens").collect()} <= {r.qid for r in spark.table("surface_entries").select("qid").collect()}
+    assert spark.table("surface_domain").count() == spark.table("surface_tokens").select("feature", "token").distinct().count()
+    got = spark.sql("SELECT token_bucket(v, 0, 10, 4) AS b FROM VALUES (CAST(NULL AS BIGINT)), (-5), (0), (3), (9), (10), (99) AS t(v)").collect()
+    assert [r.b for r in got] == [None, 0, 0, 1, 3, 4, 4]
+    assert spark.sql("SELECT token_bucket(7, 5, 5, 4) AS b").head().b == 0
+
+
+def test_statistics_over_jdbc(spark):
+    from repsum.sources.tables import read_statistics
+
+    url = "jdbc:derby:memory:statistics;create=true"
+    log = [(i, 10.0 * i) for i in range(40)]
+    spark.createDataFrame(log, "id long, ms double").write.jdbc(url, "calls", "overwrite")
+    got = read_statistics(spark, url, "calls", "id", 0, 40, 4)
+    assert got.rdd.getNumPartitions() == 4
+    assert sorted(tuple(r) for r in got.collect()) == log
+
+
+def test_sample_knapsack_takes_the_longest_prefix(spark):
+    from repsum.operators import baselines
+
+    costs = {i: (i * 37) % 50 + (1000 if i % 41 == 0 else 0) for i in range(300)}
+    e = spark.createDataFrame(list(costs.items()), "qid long, cost long")
+    order = [r.qid for r in baselines.random_sample(e, 300).orderBy("pick_no").collect()]
+    for budget in (0, 60, 2_000, 9_000, 10**9):
+        want, spent = [], 0
+        for q in order:
+            spent += costs[q]
+            if spent > budget:
+                break
+            want.append(q)
+        assert [r.qid for r in baselines.sample_knapsack(e, budget).orderBy("pick_no").collect()] == want
+    assert baselines.sample_knapsack(e.where("qid < 0"), 5).count() == 0
