@@ -26,8 +26,8 @@ from repsum.plans.scratch import materialise
 
 BUCKETS = 10_000
 SMOOTHING = 1.0
-#: Good rows that the target model is fitted on, by smallest hash of the id.
-TARGET_ROWS = 20_000
+#: Good rows that the target model is fitted on at most, by smallest hash of the id: their ids, 16 MB, go to every task.
+TARGET_ROWS = 2_000_000
 #: Log importances are divided by it before the draw; 1 draws by the ratio of the models itself.
 TEMPERATURE = 1.0
 
@@ -97,14 +97,14 @@ def gumbel(key: Column, seed: int | Column) -> Column:
     return -F.log(-F.log(uniform))
 
 
-def importances(docs: DataFrame, target: DataFrame, temperature: float = TEMPERATURE, seed: int = 7) -> DataFrame:
+def importances(docs: DataFrame, target: DataFrame, temperature: float = TEMPERATURE, seed: int = 7, target_rows: int = TARGET_ROWS) -> DataFrame:
     """(doc_id, text_hash, log_importance, key) of every row; ``target`` holds the doc_ids of good rows.
 
-    The target model is fitted on at most ``TARGET_ROWS`` good rows, so their ids can be sent to
+    The target model is fitted on at most ``target_rows`` good rows, so their ids can be sent to
     every task and no text is shuffled; the raw model counts all rows.
     """
     rows = docs.select("doc_id", "text")
-    marks = target.select(F.col("doc_id").alias("good_id")).distinct().orderBy(F.xxhash64("good_id"), "good_id").limit(TARGET_ROWS)
+    marks = target.select(F.col("doc_id").alias("good_id")).distinct().orderBy(F.xxhash64("good_id"), "good_id").limit(target_rows)
     marked = rows.join(F.broadcast(marks), rows["doc_id"] == marks["good_id"], "left").select("doc_id", "text", F.col("good_id").isNotNull().alias("is_target"))
     ratio = log_ratio(count_grams(marked))
     scored = add_importance(rows, ratio).select("doc_id", F.xxhash64("text").alias("text_hash"), "log_importance")
