@@ -7,10 +7,10 @@ ties go to the smallest id, so every strategy picks the same entries:
 
 eager   scores every entry in every round, one distributed pass per pick.
 fenced  gains only shrink as the summary grows, so stale gains bound the present ones. A pass
-        scores everything once and brings the best ``pool`` entries to the driver, where a lazy
-        heap picks as long as its head beats the *fence*, the best bound left outside. Only
+        scores everything once and brings the best ``pool`` entries to the driver, where the
+        best is picked as long as it beats the *fence*, the best bound left outside. Only
         when the fence is reached is another pass due.
-lazy    the same heap over all entries of a log of at most ``MAX_POOL``, without a fence.
+lazy    the same over all entries of a log of at most ``MAX_POOL``, without a fence.
 
 gamma 'limit' is the order that gains have as gamma goes to 0; gamma 'cover' counts target mass
 newly covered and nothing else.
@@ -20,12 +20,12 @@ The best single entry that fits is kept as a safeguard for budgets over unequal
 
 from __future__ import annotations
 
-import heapq
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401  (makes pa.compute available)
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from repsum.operators.features import with_domain
@@ -33,7 +33,9 @@ from repsum.plans.scratch import materialise
 
 GAMMA = 1e-25
 DIGITS = 9
-POOL = 4096
+POOL = 16384
+#: Rows that a task hands over at least.
+LEAST_OF_TASK = 8
 #: Entries that a pass brings to the driver at most, and that the lazy strategy takes; more passes do the rest.
 MAX_POOL = 1 << 18
 
@@ -78,61 +80,119 @@ def gain_of(d: np.ndarray, m: np.ndarray, tids: np.ndarray, mults: np.ndarray, s
     return np.add.reduceat(parts, starts, axis=0)
 
 
-def _key(gain: np.ndarray, cost: float) -> tuple:
-    """Comparable value of a gain per cost, larger is better; free entries with a gain come first."""
-    if np.ndim(gain):
-        a, b = round(float(gain[0]), DIGITS), round(float(gain[1]), DIGITS)
-        return (a / cost, b / cost) if cost > 0 else ((np.inf, a) if a > 0 or b > 0 else (0.0, 0.0))
-    g = round(float(gain), DIGITS)
-    return (round(g / cost, DIGITS),) if cost > 0 else ((np.inf, g) if g > 0 else (0.0,))
-
-
-def lazy(pool: list[Pick], d: np.ndarray, m: np.ndarray, left: float, count: int | None, gamma, fence: tuple | None, result: Result, bounds: list[tuple]) -> float:
-    """Pick from ``pool`` while the head beats ``fence``; updates ``m`` and returns the budget left.
-
-    ``bounds`` are the pool's exact keys under the present summary and ``fence`` is (negated
-    key, qid) of the best entry outside. A stale key bounds the present one, except the second
-    part of a 'limit' key, which may grow: there every entry whose first part could still
-    reach the head's is scored again before the head is taken.
+def keys_of(gain: np.ndarray, cost: np.ndarray) -> np.ndarray:
+    """Comparable values of gains per cost, a row each and larger first; free entries with a gain come before all."""
+    free = cost <= 0
+    per = np.where(free, 1.0, cost)
+    rounded = np.round(gain, DIGITS)
+    if gain.ndim == 2:
+        first, second = rounded[:, 0], rounded[:, 1]
+        some, own = (first > 0) | (second > 0), np.stack([first / per, second / per], axis=1)
+    else:
+        first, some = rounded, rounded > 0
+        own = np.stack([np.round(rounded / per, DIGITS), np.zeros(len(gain))], axis=1)
+    return np.where(free[:, None], np.stack([np.where(some, np.inf, 0.0), np.where(some, first, 0.0)], axis=1), own)
+
+
+#: Stale entries of a pool that are scored again together.
+CHUNK = 256
+
+
+class Pool:
+    """Entries in memory, end to end, with the gains and keys they had when they were last scored."""
+
+    def __init__(self, picks: list[Pick], gamma) -> None:
+        self.picks, self.gamma, n = picks, gamma, len(picks)
+        self.qid = np.fromiter((p.qid for p in picks), np.int64, n)
+        self.cost = np.fromiter((p.cost for p in picks), np.float64, n)
+        self.size = np.fromiter((len(p.tids) for p in picks), np.int64, n)
+        self.start = np.cumsum(self.size) - self.size
+        self.tids = np.concatenate([p.tids for p in picks]) if n else np.zeros(0, np.int64)
+        self.mults = np.concatenate([p.mults for p in picks]) if n else np.zeros(0, np.int64)
+        self.gain = np.fromiter((p.gain for p in picks), np.float64, n)
+        self.key = np.zeros((n, 2))
+
+    def score(self, some: np.ndarray, d: np.ndarray, m: np.ndarray) -> None:
+        size = self.size[some]
+        gain = np.zeros((len(some), 2) if self.gamma == "limit" else len(some))
+        begin = np.cumsum(size) - size
+        at = np.repeat(self.start[some] - begin, size) + np.arange(size.sum())
+        gain[size > 0] = gain_of(d, m, self.tids[at], self.mults[at], begin[size > 0], self.gamma)
+        self.key[some] = keys_of(gain, self.cost[some])
+        self.gain[some] = gain[:, 0] if gain.ndim == 2 else gain
+
+    def best(self, some: np.ndarray) -> int:
+        """The entry of the largest key, ties to the smallest id."""
+        for part in (0, 1):
+            own = self.key[some, part]
+            some = some[own == own.max()]
+        return int(some[np.argmin(self.qid[some])])
+
+    def ahead(self, some: np.ndarray, of: int) -> np.ndarray:
+        """Those of ``some`` whose old keys leave open that they come before ``of``: the first part of a
+        'limit' key never grows, the second may."""
+        a, (b0, b1) = self.key[some], self.key[of]
+        if self.gamma == "limit":
+            return some[a[:, 0] >= b0]
+        tied = a[:, 0] == b0
+        return some[(a[:, 0] > b0) | tied & ((a[:, 1] > b1) | (a[:, 1] == b1) & (self.qid[some] < self.qid[of]))]
+
+
+def lazy(picks: list[Pick], d: np.ndarray, m: np.ndarray, left: float, count: int | None, gamma, fence: tuple | None, result: Result, keys: np.ndarray | None = None) -> float:
+    """Pick from ``picks`` while the best of them beats ``fence``; updates ``m`` and returns the budget left.
+
+    ``keys`` are exact under the present summary (scored here if not given) and ``fence`` is (key, key,
+    qid) of the best entry outside. Old keys bound the present ones, so only entries whose old key
+    could still win are scored again, the most promising of them together.
     """
-    limit, start = gamma == "limit", len(result.picks)
-    heap = [(tuple(-x for x in key), p.qid, i, start) for i, (p, key) in enumerate(zip(pool, bounds))]
-    heapq.heapify(heap)
-    one = np.zeros(1, np.int64)
-
-    def fresh(i: int) -> tuple:
-        p = pool[i]
-        result.evaluations += 1
-        gain = gain_of(d, m, p.tids, p.mults, one, gamma)[0] if len(p.tids) else np.zeros(2 if limit else ())
-        p.gain = float(gain[0] if limit else gain)
-        return (tuple(-x for x in _key(gain, p.cost)), p.qid, i, len(result.picks))
-
-    while heap and (count is None or len(result.picks) < count):
-        top, qid, i, seen = heap[0]
-        p = pool[i]
-        if p.cost > left:
-            heapq.heappop(heap)
-            continue
-        if seen != len(result.picks):
-            heapq.heapreplace(heap, fresh(i))
-            continue
-        if limit and any(h[3] != seen and h[0][0] <= top[0] for h in heap):
-            heap = [fresh(h[2]) if h[3] != seen and h[0][0] <= top[0] else h for h in heap]
-            heapq.heapify(heap)
-            continue
-        if fence is not None and ((top, qid) >= fence if not limit or len(result.picks) == start else top[0] >= fence[0][0]):
+    pool, start = Pool(picks, gamma), len(result.picks)
+    live = np.ones(len(picks), bool)
+    if keys is None:
+        pool.score(np.arange(len(picks)), d, m)
+        result.evaluations += len(picks)
+    else:
+        pool.key = keys
+    seen = np.full(len(picks), start)
+    while count is None or len(result.picks) < count:
+        now = len(result.picks)
+        live &= pool.cost <= left  # the budget only falls
+        open_ = np.flatnonzero(live)
+        if not len(open_):
             break
-        heapq.heappop(heap)
+        stale = open_[seen[open_] != now]
+        lead = pool.best(open_[seen[open_] == now]) if len(stale) < len(open_) else None
+        while len(stale):
+            rivals = stale if lead is None else pool.ahead(stale, lead)
+            if not len(rivals):
+                break
+            if len(rivals) > CHUNK:
+                rivals = rivals[np.argpartition(-pool.key[rivals, 0], CHUNK)[:CHUNK]]
+            pool.score(rivals, d, m)
+            result.evaluations += len(rivals)
+            seen[rivals] = now
+            stale = stale[seen[stale] != now]
+            lead = pool.best(rivals if lead is None else np.append(rivals, lead))
+        k0, k1 = pool.key[lead]
+        if fence is not None:
+            exact = gamma != "limit" or now == start
+            if (-k0, -k1, pool.qid[lead]) >= (-fence[0], -fence[1], fence[2]) if exact else k0 <= fence[0]:
+                break
+        p = pool.picks[lead]
+        p.gain, live[lead] = float(pool.gain[lead]), False
         m[p.tids] += p.mults
         left -= p.cost
         result.picks.append(p)
     return left
 
 
+_PASS = "k0 double, k1 double, qid long, outside boolean, cost double, gain double, tids array<int>, mults array<int>"
+
+
 def score_pass(vectors: DataFrame, d: np.ndarray, m: np.ndarray, left: float, picked: list[int], gamma, want: int) -> DataFrame:
-    """The best ``want`` entries of every task that still fit: (k0, k1, qid, cost, gain, tids, mults)."""
+    """The best ``want`` entries of every task that still fit, and the next one without its tokens, marked ``outside``."""
     shared = vectors.sparkSession.sparkContext.broadcast((d, m))
     gone = np.sort(np.array(picked, np.int64))
+    order = [("k0", "descending"), ("k1", "descending"), ("qid", "ascending")]
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         d, m = shared.value
@@ -143,44 +203,53 @@ def score_pass(vectors: DataFrame, d: np.ndarray, m: np.ndarray, left: float, pi
             off = lists.offsets.to_numpy().astype(np.int64)
             tids, mults = lists.flatten().to_numpy(), batch.column("mults").flatten().to_numpy()
             size = np.diff(off)
-            shape = (len(qid), 2) if gamma == "limit" else (len(qid),)
-            gain = np.zeros(shape)
+            gain = np.zeros((len(qid), 2) if gamma == "limit" else len(qid))
             full = np.flatnonzero(size)
             if len(full):
                 gain[full] = gain_of(d, m, tids, mults, (off[:-1] - off[0])[full], gamma)
-            rounded = np.round(gain, DIGITS)
-            k0, k1 = (rounded[:, 0], rounded[:, 1]) if gamma == "limit" else (rounded, np.zeros(len(qid)))
-            free = cost <= 0
-            per = np.where(free, 1.0, cost)
-            k0, k1 = np.where(free, np.where((k0 > 0) | (k1 > 0), np.inf, 0.0), np.round(k0 / per, DIGITS) if gamma != "limit" else k0 / per), np.where(free, np.where(k0 > 0, k0, 0.0), k1 / per)
+            key = keys_of(gain, cost)
             ok = np.flatnonzero((cost <= left) & ~np.isin(qid, gone))
-            ok = ok[np.lexsort((qid[ok], -k1[ok], -k0[ok]))][:want]
+            ok = ok[np.lexsort((qid[ok], -key[ok, 1], -key[ok, 0]))][: want + 1]
             took = batch.take(pa.array(ok))
-            table = pa.table({"k0": k0[ok], "k1": k1[ok], "qid": took.column("qid"), "cost": took.column("cost"), "gain": gain[ok, 0] if gamma == "limit" else gain[ok], "tids": took.column("tids"), "mults": took.column("mults")})
+            table = pa.table({"k0": key[ok, 0], "k1": key[ok, 1], "qid": took.column("qid"), "cost": took.column("cost"), "gain": gain[ok, 0] if gamma == "limit" else gain[ok], "tids": took.column("tids"), "mults": took.column("mults")})
             best = table if best is None else pa.concat_tables([best, table])
-            if best.num_rows > 2 * want:
-                best = best.sort_by([("k0", "descending"), ("k1", "descending"), ("qid", "ascending")]).slice(0, want)
+            if best.num_rows > 2 * want + 1:
+                best = best.sort_by(order).slice(0, want + 1)
         if best is not None:
-            yield from best.sort_by([("k0", "descending"), ("k1", "descending"), ("qid", "ascending")]).slice(0, want).to_batches()
+            best = best.sort_by(order).slice(0, want + 1)
+            n = best.num_rows
+            kept = pa.array([i if i < want else None for i in range(n)], pa.int64())
+            best = best.add_column(3, "outside", pa.array(np.arange(n) >= want))
+            for name in ("tids", "mults"):
+                best = best.set_column(best.schema.get_field_index(name), name, best.column(name).take(kept))
+            yield from best.combine_chunks().to_batches()
+
+    return vectors.mapInArrow(run, _PASS)
 
-    return vectors.mapInArrow(run, "k0 double, k1 double, qid long, cost double, gain double, tids array<int>, mults array<int>")
 
+def _best(vectors: DataFrame, d, m, left, picked, gamma, want: int, tasks: int = 1) -> tuple[list[Pick], np.ndarray, tuple | None]:
+    """(best entries, their keys, key and id of the best one left out): at most ``want`` entries.
 
-def _best(vectors: DataFrame, d, m, left, picked, gamma, want: int) -> list:
-    order = (F.desc("k0"), F.desc("k1"), F.asc("qid"))
-    return score_pass(vectors, d, m, left, picked, gamma, want).orderBy(*order).limit(want).collect()
+    Every task hands over its fair share four times over, not ``want`` rows, so what meets in one place
+    does not grow with the tasks beyond a few rows of each; what a task leaves out bounds the fence.
+    """
+    own = min(want, max(LEAST_OF_TASK, -(-4 * want // max(1, tasks))))
+    found = score_pass(vectors, d, m, left, picked, gamma, own).orderBy(F.desc("k0"), F.desc("k1"), F.asc("qid")).limit(want + 1).toArrow().combine_chunks()
+    key = np.stack([found.column("k0").to_numpy(), found.column("k1").to_numpy()], axis=1) if found.num_rows else np.zeros((0, 2))
+    qid, cut = found.column("qid").to_pylist(), np.flatnonzero(found.column("outside").to_numpy(zero_copy_only=False))
+    n = min([want, found.num_rows, *cut[:1].tolist()])
+    fence = (float(key[n, 0]), float(key[n, 1]), qid[n]) if n < found.num_rows else None
+    inside = found.slice(0, n)
+    size = pa.compute.list_value_length(inside.column("tids")).to_numpy() if n else np.zeros(0, np.int64)
+    ends = np.cumsum(size)[:-1]
+    parts = [np.split(pa.compute.list_flatten(inside.column(c)).to_numpy().astype(np.int64), ends) if n else [] for c in ("tids", "mults")]
+    return [Pick(*row) for row in zip(qid, inside.column("gain").to_pylist(), inside.column("cost").to_pylist(), *parts)], key[:n].copy(), fence
 
 
 def _as_pick(r) -> Pick:
     return Pick(r["qid"], r["gain"], r["cost"], np.array(r["tids"], np.int64), np.array(r["mults"], np.int64))
 
 
-def _keys(r, gamma) -> tuple:
-    if gamma == "limit":
-        return (r["k0"], r["k1"])
-    return (r["k0"], r["k1"]) if np.isinf(r["k0"]) else (r["k0"],)
-
-
 def compress(vectors: DataFrame, d: np.ndarray, budget: float, gamma: float | str = GAMMA, strategy: str = "fenced", pool: int = POOL, unit: bool = True, include: list[Pick] | None = None, exclude: list[int] | None = None, safeguard: bool = True, most: int | None = None) -> Result:
     """Pick entries within ``budget``; ``unit`` says that every cost is 1, so the budget is a count.
 
@@ -199,24 +268,20 @@ def compress(vectors: DataFrame, d: np.ndarray, budget: float, gamma: float | st
     single: Pick | None = None
     if not unit and safeguard and not result.picks:
         one_each = vectors.where(F.col("cost") <= left).select("qid", F.lit(1.0).alias("cost"), "tids", "mults", F.col("cost").alias("own"))
-        found = _best(one_each.drop("own"), d, m, 1.0, hidden, gamma, 1)
+        found, *_ = _best(one_each.drop("own"), d, m, 1.0, hidden, gamma, 1)
         if found:
-            single = _as_pick(found[0])
+            single = found[0]
             single.cost = float(one_each.where(F.col("qid") == single.qid).head()["own"])
+    tasks = vectors.rdd.getNumPartitions()
     while count is None or len(result.picks) < count:
-        ask = MAX_POOL if strategy == "lazy" else want + 1
-        rows = _best(vectors, d, m, left, hidden + result.ids(), gamma, ask)
+        inside, keys, fence = _best(vectors, d, m, left, hidden + result.ids(), gamma, MAX_POOL if strategy == "lazy" else want, 1 if strategy == "lazy" else tasks)
         result.passes += 1
-        result.evaluations += len(rows) if strategy == "lazy" else 0
-        if not rows:
+        result.evaluations += len(inside) if strategy == "lazy" else 0
+        if not inside:
             break
-        outside = rows[want] if strategy != "lazy" and len(rows) > want else None
-        inside = rows if strategy == "lazy" else rows[:want]
-        fence = (tuple(-x for x in _keys(outside, gamma)), outside["qid"]) if outside is not None else None
         before = len(result.picks)
-        stop = before + 1 if strategy == "eager" else count
-        left = lazy([_as_pick(r) for r in inside], d, m, left, stop, gamma, fence, result, [_keys(r, gamma) for r in inside])
-        if len(result.picks) == before or (outside is None and strategy != "eager"):
+        left = lazy(inside, d, m, left, before + 1 if strategy == "eager" else count, gamma, fence, result, keys)
+        if len(result.picks) == before or (fence is None and strategy != "eager"):
             break
         if strategy == "fenced" and len(result.picks) - before < 4:
             want = min(2 * want, MAX_POOL)  # gains have flattened: a wider pool saves passes
@@ -338,7 +403,7 @@ def compress_by_join(toks: DataFrame, target: DataFrame, budget: int, gamma: flo
         top = gains.select("qid", F.round("gain", DIGITS).alias("gain")).orderBy(F.desc("gain"), "qid").limit(pool + 1).collect()
         if not top:
             break
-        fence = (-top[pool]["gain"], top[pool]["qid"]) if len(top) > pool else None
+        fence = (top[pool]["gain"], 0.0, top[pool]["qid"]) if len(top) > pool else None
         inside = [r["qid"] for r in top[:pool]]
         own = materialise(toks.where(F.col("qid").isin(inside)).join(target, ["feature", "token"]).join(state, ["feature", "token"], "left").select("qid", "feature", "token", "mult", "d", F.coalesce("m", F.lit(0)).alias("m")), "pool").toPandas()
         names = own["feature"] + "\0" + own["token"]
@@ -347,9 +412,9 @@ def compress_by_join(toks: DataFrame, target: DataFrame, budget: int, gamma: flo
         m[tid], d[tid] = own["m"].to_numpy(float), own["d"].to_numpy(float)
         at = own.groupby("qid").indices
         picks = [Pick(r["qid"], r["gain"], 1.0, tid[at[r["qid"]]].astype(np.int64), own["mult"].to_numpy(np.int64)[at[r["qid"]]]) for r in top[:pool]]
-        bounds = [(r["gain"],) for r in top[:pool]]
+        keys = np.array([(p.gain, 0.0) for p in picks])
         got = Result()
-        lazy(picks, d, m, float(budget), budget - len(picked), gamma, ((fence[0],), fence[1]) if fence else None, got, bounds)
+        lazy(picks, d, m, float(budget), budget - len(picked), gamma, fence, got, keys)
         picked += [(p.qid, p.gain) for p in got.picks]
         chosen = toks.where(F.col("qid").isin([p.qid for p in got.picks])).select("feature", "token", F.col("mult").alias("m"))
         state = materialise(state.unionByName(chosen).groupBy("feature", "token").agg(F.sum("m").alias("m")), "state")  # tokens of the summary only

@@ -8,7 +8,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
-from repsum.operators.greedy import GAMMA, Pick, Result, _as_pick, _key, gain_of, lazy, value
+from repsum.operators.greedy import GAMMA, Pick, Result, _as_pick, lazy, value
 from repsum.plans.scratch import materialise
 
 
@@ -20,14 +20,8 @@ def part_of(parts: int, seed: int = 42) -> Column:
 
 def _local(picks: list[Pick], d: np.ndarray, budget: float, unit: bool, gamma) -> Result:
     """Lazy greedy over entries in memory."""
-    m, result, one = np.zeros(len(d)), Result(), np.zeros(1, np.int64)
-    bounds = []
-    for p in picks:
-        gain = gain_of(d, m, p.tids, p.mults, one, gamma)[0]
-        p.gain = float(gain[0] if gamma == "limit" else gain)
-        bounds.append(_key(gain, p.cost))
-    lazy(picks, d, m, float(budget), int(budget) if unit else None, gamma, None, result, bounds)
-    result.evaluations += len(picks)
+    m, result = np.zeros(len(d)), Result()
+    lazy(picks, d, m, float(budget), int(budget) if unit else None, gamma, None, result)
     return result
 
 

@@ -35,7 +35,11 @@ def reference(picks, d, budget, gamma, unit=True):
         fit = [p for p in rest if p.cost <= left]
         if not fit:
             break
-        key = lambda p: (greedy._key(greedy.gain_of(d, m, p.tids, p.mults, np.zeros(1, np.int64), gamma)[0], p.cost), -p.qid)
+
+        def key(p):
+            gain = np.round(greedy.gain_of(d, m, p.tids, p.mults, np.zeros(1, np.int64), gamma)[0], greedy.DIGITS)
+            return (tuple(gain / p.cost) if gamma == "limit" else (np.round(gain / p.cost, greedy.DIGITS),), -p.qid)
+
         best = max(fit, key=key)
         m[best.tids] += best.mults
         left -= best.cost
@@ -56,6 +60,19 @@ def test_strategies_pick_alike(spark, gamma, costs):
         assert got.ids() == want, (strategy, pool)
 
 
+@pytest.mark.parametrize("gamma", [1.0, 1e-25, "limit"])
+def test_few_rows_of_each_task_suffice(spark, gamma, monkeypatch):
+    """Tasks hand over their share and a marker of what they leave out, here one row of twelve tasks with the best entries in one of them."""
+    monkeypatch.setattr(greedy, "LEAST_OF_TASK", 1)
+    monkeypatch.setattr(greedy, "CHUNK", 3)
+    picks, d = random_log(11, 240)
+    order = reference(picks, d, 240, gamma)
+    place = {q: n for n, q in enumerate(order)}
+    df = frame(spark, picks).repartitionByRange(12, F.element_at(F.create_map(*(F.lit(x) for kv in place.items() for x in kv)), F.col("qid"))).cache()
+    for pool in (1, 5, 40):
+        assert greedy.compress(df, d, 30, gamma, "fenced", pool).ids() == order[:30], pool
+
+
 @pytest.mark.parametrize("seed", range(6))
 def test_local_lazy_equals_definition(seed):
     for gamma in (1.0, 1e-6, 1e-25, "limit"):
