@@ -33,7 +33,7 @@ from repsum.plans.scratch import materialise
 
 GAMMA = 1e-25
 DIGITS = 9
-POOL = 16384
+POOL = 4096
 #: Rows that a task hands over at least.
 LEAST_OF_TASK = 8
 #: Entries that a pass brings to the driver at most, and that the lazy strategy takes; more passes do the rest.
@@ -94,7 +94,7 @@ def keys_of(gain: np.ndarray, cost: np.ndarray) -> np.ndarray:
     return np.where(free[:, None], np.stack([np.where(some, np.inf, 0.0), np.where(some, first, 0.0)], axis=1), own)
 
 
-#: Stale entries of a pool that are scored again together.
+#: Stale entries of a pool that are scored again together, twice as many each time until a pick is sure.
 CHUNK = 256
 
 
@@ -161,12 +161,14 @@ def lazy(picks: list[Pick], d: np.ndarray, m: np.ndarray, left: float, count: in
             break
         stale = open_[seen[open_] != now]
         lead = pool.best(open_[seen[open_] == now]) if len(stale) < len(open_) else None
+        chunk = CHUNK
         while len(stale):
             rivals = stale if lead is None else pool.ahead(stale, lead)
             if not len(rivals):
                 break
-            if len(rivals) > CHUNK:
-                rivals = rivals[np.argpartition(-pool.key[rivals, 0], CHUNK)[:CHUNK]]
+            if len(rivals) > chunk:
+                rivals = rivals[np.argpartition(-pool.key[rivals, 0], chunk)[:chunk]]
+            chunk *= 2
             pool.score(rivals, d, m)
             result.evaluations += len(rivals)
             seen[rivals] = now
@@ -241,8 +243,11 @@ def _best(vectors: DataFrame, d, m, left, picked, gamma, want: int, tasks: int =
     fence = (float(key[n, 0]), float(key[n, 1]), qid[n]) if n < found.num_rows else None
     inside = found.slice(0, n)
     size = pa.compute.list_value_length(inside.column("tids")).to_numpy() if n else np.zeros(0, np.int64)
-    ends = np.cumsum(size)[:-1]
-    parts = [np.split(pa.compute.list_flatten(inside.column(c)).to_numpy().astype(np.int64), ends) if n else [] for c in ("tids", "mults")]
+    ends = np.cumsum(size).tolist()
+    parts = []
+    for name in ("tids", "mults"):
+        flat = pa.compute.list_flatten(inside.column(name)).to_numpy().astype(np.int64) if n else []
+        parts.append([flat[a:b] for a, b in zip([0, *ends], ends)])
     return [Pick(*row) for row in zip(qid, inside.column("gain").to_pylist(), inside.column("cost").to_pylist(), *parts)], key[:n].copy(), fence
 
 
