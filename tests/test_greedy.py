@@ -256,3 +256,15 @@ def test_merge_refuses_nothing_it_knows():
     rows = [{"score": s, "pick_no": n} for n, s in enumerate((0.2, 0.5, 0.5, 0.4), 1)]
     assert greedy.best_prefix(rows) == 2 and greedy.size_for(rows, 0.45) == 2 and greedy.size_for(rows, 0.9) is None
     assert greedy.best_prefix([]) == 0
+
+
+def test_pools_are_arrays_and_limit_needs_few_passes(spark):
+    """A pool of any size is a few arrays, and a covered log is picked from by bounds: one pass serves many picks."""
+    picks, d = random_log(13, 300)
+    df = frame(spark, picks).repartition(3).cache()
+    inside, keys, fence = greedy._best(df, d, np.zeros(len(d)), 40.0, [], "limit", 50, 3)
+    assert isinstance(inside, greedy.Entries) and inside.tids.dtype == np.int32 and len(inside) == len(keys[0]) and fence is not None
+    got = greedy.compress(df, d, 40, "limit", "fenced", 100)
+    assert got.ids() == reference(picks, d, 40, "limit") and got.passes <= 20
+    long = frame(spark, make([(q, 1, {t: 1 for t in range(12)}) for q in range(50)])).cache()
+    assert greedy.compress(long, d, 50, 1e-6, pool=1).ids() == list(range(50))
