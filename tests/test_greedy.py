@@ -268,3 +268,13 @@ def test_pools_are_arrays_and_limit_needs_few_passes(spark):
     assert got.ids() == reference(picks, d, 40, "limit") and got.passes <= 20
     long = frame(spark, make([(q, 1, {t: 1 for t in range(12)}) for q in range(50)])).cache()
     assert greedy.compress(long, d, 50, 1e-6, pool=1).ids() == list(range(50))
+
+
+def test_large_parts_are_picked_from_by_passes(spark, monkeypatch):
+    picks, d = random_log(17, 90)
+    df = frame(spark, picks).cache()
+    rows = lambda scope: sorted((r.part, r.pick_no, r.qid) for r in partitioned.local_summaries(df, d, 4, 3, 1e-6, scope=scope).collect())
+    small = {s: rows(s) for s in ("global", "local")}
+    for most in (0, 29, 31):  # all, some and some other parts go beyond the memory of a task
+        monkeypatch.setattr(partitioned, "PART_ENTRIES", most)
+        assert {s: rows(s) for s in ("global", "local")} == small
