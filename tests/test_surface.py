@@ -326,3 +326,24 @@ def test_sample_knapsack_takes_the_longest_prefix(spark):
             want.append(q)
         assert [r.qid for r in baselines.sample_knapsack(e, budget).orderBy("pick_no").collect()] == want
     assert baselines.sample_knapsack(e.where("qid < 0"), 5).count() == 0
+
+
+@pytest.mark.parametrize("name", ["w_sql_tokens", "w_star_tokens", "w_sql_odd_tokens", "w_sql_where", "w_sql_statistics", "w_sql_joins", "w_sql_fingerprints", "plan_operator_tokens"])
+def test_sql_logs_are_over_the_orders_table(spark, tmp_path, name):
+    """An order more is an entry more of the log; results equal the SQL's over the same table."""
+    import os
+
+    import duckdb
+
+    from repsum.plans.oracle import oracle
+
+    for t in ("region", "nation", "customer", "supplier", "part", "lineitem"):
+        os.symlink(f"{SF}/{t}.parquet", tmp_path / f"{t}.parquet")
+    db = duckdb.connect()
+    db.sql(f"create view orders as select * from '{SF}/orders.parquet' where o_orderkey < 500 or o_orderkey % 7 = 3")
+    db.sql(f"copy (select * from orders) to '{tmp_path}/orders.parquet' (format parquet)")
+    got = sorted(tuple(r) for r in QUERIES[name](spark, str(tmp_path)).collect())
+    if name in oracle():
+        assert got == sorted(db.sql(oracle()[name]).fetchall())
+    else:
+        assert {r[0] for r in got} == {r[0] for r in db.sql("select o_orderkey from orders").fetchall()}
