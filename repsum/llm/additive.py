@@ -12,8 +12,11 @@ along u plus a rest across it, and the rest adds at most its length times the le
 query across u to the product. Every row whose bound reaches the floor is ranked exactly too, so
 the result is that of brute force however coarse the codes are; coarse codes only cost time.
 
-Queries come in blocks of bounded size against all rows of the index; each task keeps its
-own exact best, and the tasks' lists meet once per query.
+Queries come in blocks of bounded size against all rows of the index. A task takes a few thousand
+rows and some queries at a time: lookup tables and bounds in single precision, with what that loses
+added, then products in single precision of what the bounds leave open, then exact ones of what
+still reaches the floor, which rises with the best found. Each task keeps its own exact best, and
+the tasks' lists meet once per query.
 
 Edge cases: vectors that are null, empty, zero, hold null or non-finite components, or whose
 length is not the most frequent one take no part; repeated rows are candidates of their own, but
@@ -39,8 +42,12 @@ BEAM = 4
 TRAIN_ROWS = 8192
 #: Rows whose exact products set the floor.
 SHORTLIST = 400
-#: Share of the codewords' lengths below which a decoded vector has no direction, and slack of the bounds.
-LEAST, SLACK = 1e-6, 1e-7
+#: Share of the codewords' lengths below which a decoded vector has no direction.
+LEAST = 1e-6
+#: What sums in single precision lose at most over 64 components, as a share of the lengths that go into them.
+SINGLE = 2e-5
+#: Queries and rows whose scores stay in a processor's cache together, and pairs that are ranked exactly together.
+QUERIES_AT_ONCE, SCAN_ROWS, PAIRS_AT_ONCE = 64, 2048, 1 << 14
 QUERY_BLOCK = 4096
 #: Rows of the index that one task scans.
 TASK_ROWS = 1 << 16
@@ -155,21 +162,12 @@ def products(x: np.ndarray, q: np.ndarray) -> np.ndarray:
     return out
 
 
-def _best(scores: np.ndarray, ids: np.ndarray, want: int) -> np.ndarray:
-    """Positions of the largest scores, ties to smaller ids; ids ascend."""
-    if len(scores) <= want:
-        chosen = np.arange(len(scores))
-    else:
-        level = np.partition(scores, len(scores) - want)[len(scores) - want]
-        over = np.flatnonzero(scores > level)
-        chosen = np.concatenate([over, np.flatnonzero(scores == level)[: want - len(over)]])
-    return chosen[np.lexsort((ids[chosen], -scores[chosen]))]
-
-
 def search_block(index: DataFrame, books: np.ndarray, query_ids: np.ndarray, queries: np.ndarray, want: int, shortlist: int = SHORTLIST) -> DataFrame:
     """(query_id, vec_id, score): each query's best of all rows of the index, not itself."""
     shared = index.sparkSession.sparkContext.broadcast((books, query_ids, queries))
 
+    queries_at_once, scan_rows, pairs_at_once = QUERIES_AT_ONCE, SCAN_ROWS, PAIRS_AT_ONCE
+
     def scan(ids: np.ndarray, x: np.ndarray, codes: np.ndarray, norm: np.ndarray) -> Iterator[tuple]:
         own, qids, qs = shared.value
         order = np.argsort(ids, kind="stable")
@@ -181,26 +179,77 @@ def search_block(index: DataFrame, books: np.ndarray, query_ids: np.ndarray, que
         clear = length > LEAST * reach
         along = np.where(clear, (x * made).sum(1) / size, 0.0)
         across = np.where(clear, np.sqrt(((x - (along / size)[:, None] * made) ** 2).sum(1)), norm)
-        for begin in range(0, len(qids), 64):
-            q = qs[begin : begin + 64]
-            tables = np.einsum("mkd,qd->mkq", own, q)
-            cosine = np.zeros((len(ids), len(q)))
-            for i in range(len(own)):
-                cosine += tables[i][codes[:, i]]
-            cosine /= size[:, None]
-            for j, qid in enumerate(qids[begin : begin + 64].tolist()):
-                other, near, far = ids != qid, cosine[:, j], np.sqrt((q[j] ** 2).sum())
-                short = np.sort(_best(np.where(other, near * norm, -np.inf), ids, shortlist))
-                short = short[other[short]]
-                if len(short) >= want:
-                    floor = np.partition((x[short] * q[j]).sum(axis=1), len(short) - want)[len(short) - want]
-                    aside = np.where(clear, np.sqrt(np.maximum(far**2 - near**2, 0.0) + SLACK * far**2), far)
-                    short = np.flatnonzero(other & (along * near + across * aside + SLACK * norm * far >= floor))
+        del made
+        # in single precision rows are parts of the longest, queries have length 1; ``lost`` bounds what that loses
+        longest, lost = norm.max(), SINGLE * max(1.0, x.shape[1] / 64)
+        single = lambda a: a[:, None].astype(np.float32)
+        turn, loose = single(np.where(clear, reach / size, 0.0)), single(np.where(clear, lost * reach / size, 0.0))
+        part, rest, slack = single(along / longest), single(across / longest), single(lost * norm / longest)
+        slack += np.abs(part) * loose
+        thin = (x / longest).astype(np.float32)
+        for begin in range(0, len(qids), queries_at_once):
+            q, asked = qs[begin : begin + queries_at_once], qids[begin : begin + queries_at_once]
+            far = np.sqrt((q**2).sum(1))
+            plain = bool(np.isfinite(longest) and (norm > 0).all() and (far > 0).all() and np.isfinite(far * longest).all())
+            if plain:
+                unit = (q / far[:, None]).astype(np.float32)
+                tables = (np.einsum("mkd,qd->mqk", own, q / far[:, None]) / reach).transpose(0, 2, 1).astype(np.float32, order="C")
+            best_of, best_id, best = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+            floor = np.full(len(q), -np.inf)
+            for first in range(0, len(ids), scan_rows):
+                rows = slice(first, first + scan_rows)
+                if plain:
+                    near = tables[0].take(codes[rows, 0], axis=0)
+                    for i in range(1, len(own)):
+                        near += tables[i].take(codes[rows, i], axis=0)
+                    near *= turn[rows]
+                    if first == 0 and len(near) > shortlist > want:  # the best by their codes set the floor
+                        score = near * single(norm[rows] / longest)
+                        score[ids[rows, None] == asked] = -np.inf
+                        top = np.argpartition(-score, shortlist - 1, axis=0)[:shortlist]
+                        for j in range(len(q)):
+                            some = top[score[top[:, j], j] > -np.inf, j]
+                            if len(some) >= want:
+                                floor[j] = np.partition(products(x[some], q[j]), len(some) - want)[len(some) - want]
+                    least = floor / (far * longest)
+                    least = np.where(np.isfinite(least), least - 1e-6 * np.abs(least) - 1e-37, -np.inf).astype(np.float32)
+                    most = np.abs(near)
+                    most -= loose[rows]
+                    np.maximum(most, 0, out=most)
+                    most *= most
+                    np.subtract(1, most, out=most)
+                    np.sqrt(np.maximum(most, 0, out=most), out=most)
+                    most *= rest[rows]
+                    near *= part[rows]
+                    most += near
+                    most += slack[rows]
+                    open_ = most >= least
+                    if np.count_nonzero(open_) > open_.size // 32:  # else the few are ranked exactly at once
+                        about = thin[rows] @ unit.T
+                        about += slack[rows]
+                        open_ &= about >= least
                 else:
-                    short = np.flatnonzero(other)
-                exact = products(x[short], q[j])
-                best = _best(exact, ids[short], want)
-                yield qid, ids[short[best]], exact[best]
+                    open_ = np.ones((len(ids[rows]), len(q)), bool)
+                r, c = np.nonzero(open_)
+                other = ids[rows][r] != asked[c]
+                r, c = r[other] + first, c[other]
+                for at in range(0, len(r), pairs_at_once):
+                    a, b = r[at : at + pairs_at_once], c[at : at + pairs_at_once]
+                    exact = x[a, 0] * q[b, 0]
+                    for d in range(1, x.shape[1]):
+                        exact += x[a, d] * q[b, d]
+                    best_of, best_id, best = np.concatenate([best_of, b]), np.concatenate([best_id, ids[a]]), np.concatenate([best, exact])
+                    by = np.lexsort((best_id, -best, best_of))
+                    place = np.arange(len(by)) - np.searchsorted(best_of[by], best_of[by])
+                    by = by[place < want]
+                    best_of, best_id, best = best_of[by], best_id[by], best[by]
+                n = np.bincount(best_of, minlength=len(q))
+                ends = np.cumsum(n)
+                full = n >= want
+                floor[full] = np.maximum(floor[full], best[ends[full] - 1])
+            ends = np.concatenate([[0], np.cumsum(np.bincount(best_of, minlength=len(q)))])
+            for j, qid in enumerate(asked.tolist()):
+                yield qid, best_id[ends[j] : ends[j + 1]], best[ends[j] : ends[j + 1]]
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple] = []

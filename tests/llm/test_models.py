@@ -258,3 +258,25 @@ def test_importance_of_odd_and_empty(spark, odd, empty):
     assert {r.log_importance for r in importance.resample(odd, none, 0.5).collect()} == {0.0}
     assert importance.resample(odd, none, 0.5).where("selected").count() == -(-len(odd_rows()) // 2)
     assert importance.resample(empty, none, 0.5).count() == 0
+
+
+def test_search_in_blocks_equals_brute_force(spark, monkeypatch):
+    """Small blocks of rows, queries and pairs; random vectors, a group of equal ones, one of a thousand times the length."""
+    monkeypatch.setattr(additive, "SCAN_ROWS", 100)
+    monkeypatch.setattr(additive, "QUERIES_AT_ONCE", 7)
+    monkeypatch.setattr(additive, "PAIRS_AT_ONCE", 50)
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(900, 16))
+    x[300:360], x[40] = x[20], 1000 * x[41]
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    index, books = additive.build_index(additive.usable(df), 4, 32, 500)
+    asked = np.arange(0, 900, 20)
+    found: dict = {}
+    for r in additive.search_block(index.coalesce(1), books, asked, x[asked], 20, 40).orderBy("query_id", "rank").collect():
+        found.setdefault(r.query_id, []).append((r.vec_id, r.score))
+    for q in asked.tolist():
+        score = x[:, 0] * x[q, 0]
+        for d in range(1, 16):
+            score += x[:, d] * x[q, d]
+        want = [i for i in np.lexsort((np.arange(900), -score)).tolist() if i != q][:20]
+        assert found[q] == [(i, score[i]) for i in want]
