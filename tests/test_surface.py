@@ -347,3 +347,24 @@ def test_sql_logs_are_over_the_orders_table(spark, tmp_path, name):
         assert got == sorted(db.sql(oracle()[name]).fetchall())
     else:
         assert {r[0] for r in got} == {r[0] for r in db.sql("select o_orderkey from orders").fetchall()}
+
+
+@pytest.mark.parametrize("kind", ["numeric", "categorical", "mixed"])
+def test_clusters_are_compared_in_pieces(spark, monkeypatch, kind):
+    """Medoids, sums and widest pairs of clusters dealt into pieces; logs beyond a matrix are clustered too."""
+    rng = np.random.default_rng(3)
+    rows = [(q, rng.normal(size=9 if kind == "numeric" else 2).tolist(), sorted({f"t{t}" for t in rng.integers(0, 6, 1 + q % 3)})) for q in range(80)]
+    df = spark.createDataFrame(rows, "qid long, num array<double>, toks array<string>").cache()
+    of = spark.createDataFrame([(q, q % 3) for q in range(80)], "qid long, medoid long").cache()
+    ids, dist = baselines.distance_matrix(df, kind)
+    got = {(r.medoid, r.qid): r for r in baselines.pair_statistics(df, of, kind, 10).collect()}
+    assert len(got) == 80
+    for (m, q), r in got.items():
+        own = dist[q, m::3]
+        assert r.total == pytest.approx(own.sum(), abs=1e-5)
+        assert r.far == pytest.approx(own.max(), abs=1e-6) and dist[q, r.other] == pytest.approx(r.far, abs=1e-6)
+    want = {m: min(range(m, 80, 3), key=lambda q: (round(float(dist[q, m::3].sum()), 6), q)) for m in range(3)}
+    assert {r.medoid: r.new for r in baselines.medoid_update(df, of, kind).collect()} == want
+    whole = baselines.hierarchical(df, 4, "divisive", kind), baselines.k_medoids(df, 4, kind)
+    monkeypatch.setattr(baselines, "MAX_PAIRWISE", 50)
+    assert (baselines.hierarchical(df, 4, "divisive", kind), baselines.k_medoids(df, 4, kind)) == whole
